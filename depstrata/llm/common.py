@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -50,3 +51,9 @@ def held(df: DataFrame, **made: Column) -> DataFrame:
     """Add columns that later expressions read as values: Catalyst does not inline through a generator."""
     row = F.struct(*[c.alias(n) for n, c in made.items()])
     return df.select("*", F.inline(F.array(row)))
+
+
+def release(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of frames that are no longer in use, instead of at some later collection."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
