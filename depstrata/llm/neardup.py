@@ -77,7 +77,7 @@ class Weigher:
     @staticmethod
     def of(docs: DataFrame, bits: int = 18) -> Weigher:
         df, n = word_frequencies(docs, bits)
-        return Weigher((np.log((n + 1) / (df + 1)) + 0.1).astype(np.float32), bits)
+        return Weigher((np.log((n + 1) / (df + 1)) + 1).astype(np.float32), bits)
 
     def __call__(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         if not len(h):

@@ -116,7 +116,8 @@ def _listed(spans: Column) -> Column:
 def digest(found: DataFrame) -> DataFrame:
     """doc_id, counts of the base kinds, base_sha256, spans, scores."""
     base = F.filter("spans", lambda x: x["k"] < len(BASE))
-    count = [F.size(F.filter("spans", lambda x, i=i: x["k"] == i)).cast("long").alias(f"n_{k}") for i, k in enumerate(BASE)]
+    of = lambda i: F.size(F.filter("spans", lambda x: x["k"] == i)).cast("long")
+    count = [of(i).alias(f"n_{k}") for i, k in enumerate(BASE)]
     scores = F.array_join(F.transform("spans", lambda x: x["score"].cast("decimal(3,1)").cast("string")), ",")
     return found.select(F.col("doc_id").cast("long").alias("doc_id"), *count, F.sha2(_listed(base), 256).alias("base_sha256"), _listed(F.col("spans")).alias("spans"), scores.alias("scores"))
 
