@@ -28,6 +28,8 @@ from pyspark.sql import functions as F
 from depstrata.llm.common import staged
 
 _U = np.uint64
+#: Plain and weighted similarity differ by less than this where a link is in doubt.
+_MARGIN = 0.05
 _MIX = (_U(0xFF51AFD7ED558CCD), _U(0xC4CEB9FE1A85EC53))
 
 
@@ -101,6 +103,15 @@ def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray
     return float(both / (total - both)) if total > both else 1.0
 
 
+def linked(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], least: float) -> tuple[float, bool]:
+    """Weighted similarity, and whether it or that of the plain sets of shingles is enough."""
+    s = similarity(a, b)
+    if least - _MARGIN <= s < least:
+        both = len(np.intersect1d(a[0], b[0], assume_unique=True))
+        return s, both >= least * (len(a[0]) + len(b[0]) - both)
+    return s, s >= least
+
+
 class Sampler:
     """Consistent weighted samples: two texts agree in one with their weighted Jaccard similarity as probability.
 
@@ -162,8 +173,8 @@ def signatures(docs: DataFrame, weigher: Weigher, bands: int = 10, rows: int = 3
     return rows_.mapInArrow(sign, "doc_id long, k1 long, k2 long, buckets array<long>")
 
 
-def _compare(pairs: DataFrame, texts: DataFrame, weigher: Weigher) -> DataFrame:
-    """(a, b, sim) for pairs (a, b) of ids."""
+def _compare(pairs: DataFrame, texts: DataFrame, weigher: Weigher, least: float) -> DataFrame:
+    """(a, b, sim, link) for pairs (a, b) of ids."""
     left = texts.select(F.col("id").alias("a"), F.col("text").alias("text_a"))
     right = texts.select(F.col("id").alias("b"), F.col("text").alias("text_b"))
     both = pairs.join(left, "a").join(right, "b").select("a", "b", "text_a", "text_b")
@@ -177,10 +188,11 @@ def _compare(pairs: DataFrame, texts: DataFrame, weigher: Weigher) -> DataFrame:
                 for b, x, y in zip(*(part.column(i).to_pylist() for i in (1, 2, 3))):
                     if b != last:
                         last, known = b, weigher(word_hashes(y)[1])
-                    out.append(similarity(weigher(word_hashes(x)[1]), known))
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(out, pa.float64())], names=["a", "b", "sim"])
+                    out.append(linked(weigher(word_hashes(x)[1]), known, least))
+                arrays = [pa.array([o[i] for o in out], t) for i, t in ((0, pa.float64()), (1, pa.bool_()))]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), *arrays], names=["a", "b", "sim", "link"])
 
-    return both.mapInArrow(run, "a long, b long, sim double")
+    return both.mapInArrow(run, "a long, b long, sim double, link boolean")
 
 
 def classes(links: DataFrame) -> DataFrame:
@@ -205,7 +217,7 @@ def _blocks(left: DataFrame, texts: DataFrame, weigher: Weigher, least: float, b
     Only pairs with a loose member, of different components, and with distances to the bucket's first document
     that differ by no more than a link allows, are compared.
     """
-    most = 1.0 - least + 1e-9
+    most = 1.0 - least + _MARGIN
     chunks = lambda n: F.ceil(n / block).cast("long")
     size = left.groupBy("bucket").agg(chunks(F.count("*")).alias("n"), chunks(F.count_if("loose")).alias("m"))
     part = left.join(size, "bucket")
@@ -234,10 +246,10 @@ def _blocks(left: DataFrame, texts: DataFrame, weigher: Weigher, least: float, b
                 if not probe[p] or probe[q] or group[p] == group[q] or abs(d[p] - d[q]) > most:
                     continue
                 (x, nx), (y, ny) = of(p), of(q)
-                if min(nx, ny) < least * max(nx, ny):
+                if min(nx, ny) < (least - _MARGIN) * max(nx, ny):
                     continue
-                s = similarity(x, y)
-                if s >= least:
+                s, link = linked(x, y, least)
+                if link:
                     out.append((ids[p], ids[q], s))
                     old = group[p]
                     group = [group[q] if g == old else g for g in group]
@@ -264,14 +276,14 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 10, rows:
         if texts is None:
             ids = wanted.select("a").union(wanted.select("b")).distinct().withColumnRenamed("a", "doc_id")
             texts = staged(docs.join(ids, "doc_id").dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("id"), "text"), "texts")
-        sims = staged(_compare(wanted, texts, weigher), "similarities")
+        sims = staged(_compare(wanted, texts, weigher, least), "similarities")
         # Distances to the first document of the bucket in the first round; later ones only tell who is linked.
-        now = pairs.join(sims, ["a", "b"]).select("bucket", "a", "b", "sim")
+        now = pairs.join(sims, ["a", "b"]).select("bucket", "a", "b", "sim", "link")
         met = staged(now if met is None else met.unionByName(now), "met")
-        open_ = staged(now.where(F.col("sim") < least).select(F.col("a").alias("id"), "bucket"), "open")
+        open_ = staged(now.where("not link").select(F.col("a").alias("id"), "bucket"), "open")
         if not open_.limit(1).count():
             break
-    links = met.where(F.col("sim") >= least).select("a", "b")
+    links = met.where("link").select("a", "b")
     joined = classes(links)
     rest = _left(met, joined, least)
     if rest.limit(1).count():
@@ -297,7 +309,7 @@ def _left(met: DataFrame, joined: DataFrame, least: float) -> DataFrame:
     span = own.where("loose").groupBy("bucket").agg(F.min("d").alias("lo"), F.countDistinct("c").alias("kinds"))
     own = own.join(span, "bucket")
     # A linked member can be near a loose one only if its distance is within reach; loose members of one class need nothing.
-    reach = F.col("loose") | (F.col("d") >= F.col("lo") - (1 - least) - 1e-9)
+    reach = F.col("loose") | (F.col("d") >= F.col("lo") - (1 - least) - _MARGIN)
     own = own.where(reach).select("bucket", "id", "loose", "d", "c")
     more = own.groupBy("bucket").agg(F.countDistinct("c").alias("k")).where("k > 1").select("bucket")
     return staged(own.join(more, "bucket", "left_semi"), "left")
