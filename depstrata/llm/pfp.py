@@ -58,7 +58,8 @@ class Parse:
         end = np.cumsum(size)
         b = np.frombuffer(b"".join(texts), np.uint8)
         self.doc = self.start = self.count = np.zeros(0, np.int64)
-        self.trigger = self.phrase = np.zeros(0, np.uint64)
+        self.trigger = self.phrase = self.left = self.right = np.zeros(0, np.uint64)
+        self.has_left = self.has_right = np.zeros(0, bool)
         if len(b) < length:
             return
         short, long_ = _hashes(b)
@@ -86,6 +87,12 @@ class Parse:
             last = first + self.count + length - 1 - _HALF
             middle = np.minimum(first + _HALF, last)
             self.phrase = _mix(_mix(_mix(long_[first]) + long_[middle]) + long_[last]) + self.count.astype(np.uint64)
+            # A window reaches 34 bytes or more to one side of its trigger: the gram on that side, where a window of the phrase has it.
+            side = (length - _GRAM + 1) // 2
+            a = at[first]
+            self.has_left, self.has_right = a - first >= side, last + _HALF - a - _GRAM >= side
+            self.left = short[np.where(self.has_left, a - _GRAM, a)]
+            self.right = short[np.where(self.has_right, a + _GRAM, a)]
 
 
 def _bytes(text: str | None) -> bytes:
@@ -123,33 +130,62 @@ def slots(repeated: DataFrame, bits: int) -> np.ndarray:
     return out.view(np.uint64)
 
 
+def _in(seen: np.ndarray, bits: int, h: np.ndarray) -> np.ndarray:
+    slot = h >> _U(64 - bits)
+    return (seen[(slot >> _U(6)).astype(np.int64)] >> (slot & _U(63))) & _U(1) == 1
+
+
 def phrases(docs: DataFrame, length: int, seen: np.ndarray, bits: int) -> DataFrame:
-    """h, ph, doc, place (start * 256 + windows) of the phrases whose trigger the bitmap has."""
+    """h, ph, doc, place (start * 256 + windows), lh, rh (hashes beside the trigger) of the phrases whose trigger the bitmap has."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for ids, p in _parses(batch, length, True):
-                slot = p.trigger >> _U(64 - bits)
-                keep = (seen[(slot >> _U(6)).astype(np.int64)] >> (slot & _U(63))) & _U(1) == 1
-                arrays = [_i64(p.trigger[keep]), _i64(p.phrase[keep]), _i64(ids[p.doc[keep]]), _i64((p.start * 256 + p.count)[keep])]
-                yield pa.RecordBatch.from_arrays(arrays, names=["h", "ph", "doc", "place"])
+                keep = _in(seen, bits, p.trigger)
+                sides = [pa.array(x[keep].view(np.int64), mask=~m[keep]) for x, m in ((p.left, p.has_left), (p.right, p.has_right))]
+                arrays = [_i64(p.trigger[keep]), _i64(p.phrase[keep]), _i64(ids[p.doc[keep]]), _i64((p.start * 256 + p.count)[keep]), *sides]
+                yield pa.RecordBatch.from_arrays(arrays, names=["h", "ph", "doc", "place", "lh", "rh"])
+
+    return docs.mapInArrow(run, "h long, ph long, doc long, place long, lh long, rh long")
 
-    return docs.mapInArrow(run, "h long, ph long, doc long, place long")
 
+def _gathered(parts: Iterator[tuple[np.ndarray, ...]], rows: int = 100_000) -> Iterator[tuple[np.ndarray, ...]]:
+    """The same rows in fewer, larger parts."""
+    held: list[tuple[np.ndarray, ...]] = []
+    for part in parts:
+        held.append(part)
+        if sum(len(p[0]) for p in held[-64:]) >= rows or len(held) >= 1024:
+            yield tuple(map(np.concatenate, zip(*held)))
+            held = []
+    if held:
+        yield tuple(map(np.concatenate, zip(*held)))
 
-def suffixes(docs: DataFrame, wanted: DataFrame, length: int) -> DataFrame:
-    """w1, w2 (hash of the window), doc, at: all windows of the phrases wanted (doc, place)."""
+
+def suffixes(docs: DataFrame, wanted: DataFrame, length: int, bits: int) -> DataFrame:
+    """w1, w2 (hash of the window), doc, at: windows of the phrases wanted (doc, place) that may stand elsewhere too."""
     lists = wanted.groupBy("doc").agg(F.collect_list("place").alias("places"))
-    both = docs.join(lists, F.col("doc_id") == F.col("doc")).select("doc", "text", "places")
+    both = staged(docs.join(lists, F.col("doc_id") == F.col("doc")).select("doc", "text", "places"), "phrase-texts")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, ...]]:
         for batch in batches:
             for doc, text, places in zip(*(batch.column(i) for i in range(3))):
                 h = _hashes(np.frombuffer(_bytes(text.as_py()), np.uint8))[1]
                 place = np.array(places.as_py(), np.int64)
                 n = place & 255
                 at = np.repeat(place >> 8, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-                yield pa.RecordBatch.from_arrays([_i64(h[at]), _i64(h[at + length - _HALF]), pa.array(np.full(len(at), doc.as_py())), _i64(at)], names=["w1", "w2", "doc", "at"])
+                yield np.full(len(at), doc.as_py(), np.int64), at, h[at], h[at + length - _HALF]
+
+    def short(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, _, a, b in _gathered(windows(batches)):
+            yield pa.RecordBatch.from_arrays([_i64(_mix(a) + b)], names=["h"])
+
+    again = staged(both.mapInArrow(short, "h long").groupBy("h").count().where("count > 1").select("h"), "windows")
+    seen = slots(again, bits)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for doc, at, a, b in _gathered(windows(batches)):
+            keep = _in(seen, bits, _mix(a) + b)
+            yield pa.RecordBatch.from_arrays([_i64(x[keep]) for x in (a, b, doc, at)], names=["w1", "w2", "doc", "at"])
 
     return both.mapInArrow(run, "w1 long, w2 long, doc long, at long")
 
@@ -162,15 +198,18 @@ def repeats(docs: DataFrame, length: int = 100, bits: int = 26) -> DataFrame:
     found = phrases(docs, length, slots(again, bits), bits)
     found = staged(found.join(again, "h", "left_semi"), "phrases")
     release(docs.sparkSession)
-    # The dictionary: first place of each phrase, and how many phrases share its trigger.
-    book = found.groupBy("h", "ph").agg(F.min(F.struct("doc", "place")).alias("first"), F.count("*").alias("n"))
-    book = staged(book.select("h", "ph", "first.doc", "first.place", "n"), "dictionary")
+    # The dictionary: first place of each phrase, and how often it stands.
+    book = found.groupBy("h", "ph").agg(F.min(F.struct("doc", "place")).alias("first"), F.count("*").alias("n"), F.first("lh").alias("lh"), F.first("rh").alias("rh"))
+    book = staged(book.select("h", "ph", "first.doc", "first.place", "n", "lh", "rh"), "dictionary")
     later = found.join(book.where("n > 1").select("h", "ph", F.col("doc").alias("d0"), F.col("place").alias("p0")), ["h", "ph"]).where("doc <> d0 or place <> p0")
     start = F.shiftright("place", 8)
     whole = later.select("doc", start.alias("at"), (start + F.col("place") % 256 + (length - 1)).alias("to"))
-    shared = book.groupBy("h").count().where("count > 1").select("h")
-    wanted = book.join(shared, "h", "left_semi").select("doc", "place")
-    ranked = staged(suffixes(docs, wanted, length), "suffixes")
+    # Different phrases of one trigger can share a window only if they agree beside the trigger too.
+    sides = [book.where(f"{c} is not null").select("h", F.col(c).alias("x"), F.lit(c).alias("side")) for c in ("lh", "rh")]
+    shared = sides[0].union(sides[1]).groupBy("h", "x", "side").count().where("count > 1").drop("count")
+    both = book.select("h", "doc", "place", F.explode(F.array(F.struct(F.col("lh").alias("x"), F.lit("lh").alias("side")), F.struct(F.col("rh").alias("x"), F.lit("rh").alias("side")))).alias("s"))
+    wanted = both.select("h", "doc", "place", "s.x", "s.side").join(shared, ["h", "x", "side"], "left_semi").select("doc", "place").distinct()
+    ranked = staged(suffixes(docs, wanted, length, bits), "suffixes")
     release(docs.sparkSession)
     first = ranked.groupBy("w1", "w2").agg(F.min(F.struct("doc", "at")).alias("f"), F.count("*").alias("n")).where("n > 1")
     single = ranked.join(first, ["w1", "w2"]).where("doc <> f.doc or at <> f.at").select("doc", "at", (F.col("at") + length).alias("to"))
