@@ -191,3 +191,16 @@ def classify(docs: DataFrame, model: Model, threshold: float = 0.3, keep: tuple[
                 yield pa.RecordBatch.from_arrays(columns, names=schema.names)
 
     return base.mapInArrow(run, schema)
+
+
+def keep_good(docs: DataFrame, model: Model, threshold: float = 0.3) -> DataFrame:
+    """The rows whose score is at least threshold, with the columns they have."""
+    place = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 2048):
+                part = batch.slice(at, 2048)
+                yield part.filter(pa.array(model.score(_matrix(part.column(place).to_pylist())) >= threshold))
+
+    return docs.mapInArrow(run, docs.schema)

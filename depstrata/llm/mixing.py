@@ -114,3 +114,11 @@ def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), most: int = 3, chun
     for x in done[1:]:
         out = out.unionByName(x)
     return out.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+
+
+def repeat(docs: DataFrame, **how) -> DataFrame:
+    """Each document as often as the mix takes it, with the columns it has; rows with a NULL doc_id stay once."""
+    taken = mix(docs.where("doc_id is not null"), **how).groupBy(F.col("doc_id").alias("mix__id")).agg(F.sum("copies").cast("int").alias("mix__copies"))
+    known = docs.where("doc_id is not null").dropDuplicates(["doc_id"]).join(taken.where("mix__copies > 0"), F.col("doc_id") == F.col("mix__id"))
+    again = known.select(*docs.columns, F.explode(F.array_repeat(F.lit(0), F.col("mix__copies"))).alias("mix__n")).select(*docs.columns)
+    return again.unionByName(docs.where("doc_id is null"))

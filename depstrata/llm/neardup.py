@@ -313,3 +313,10 @@ def _left(met: DataFrame, joined: DataFrame, least: float) -> DataFrame:
     own = own.where(reach).select("bucket", "id", "loose", "d", "c")
     more = own.groupBy("bucket").agg(F.countDistinct("c").alias("k")).where("k > 1").select("bucket")
     return staged(own.join(more, "bucket", "left_semi"), "left")
+
+
+def keep_one(docs: DataFrame, **how) -> DataFrame:
+    """One row of each class, that of the smallest doc_id; rows with a NULL doc_id stay."""
+    kept = near_duplicates(docs, **how).where("doc_id = class_id").select(F.col("doc_id").alias("kept__id")).distinct()
+    known = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col("kept__id"), "left_semi").dropDuplicates(["doc_id"])
+    return known.unionByName(docs.where("doc_id is null"))
