@@ -57,7 +57,7 @@ def _mod97(m: Column) -> Column:
     s = F.regexp_replace(m, " ", "")
     s = F.concat(F.substr(s, F.lit(5)), F.substr(s, F.lit(1), F.lit(4)))
     step = lambda a, c: F.when(F.ascii(c) < 58, a * 10 + F.ascii(c) - 48).otherwise(a * 100 + F.ascii(c) - 55) % 97
-    return F.aggregate(F.split(s, "(?!^)"), F.lit(0), step)
+    return F.aggregate(F.array_remove(F.split(s, "(?!^)"), ""), F.lit(0), step)
 
 
 def valid(kind: str, m: Column) -> Column:
