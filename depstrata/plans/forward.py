@@ -16,7 +16,7 @@ A sweep only has to find the first prefix that passes; there are several ways.
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterable, Sequence
+from collections.abc import Callable, Iterable, Iterator, Sequence
 
 from depstrata.operators import counting
 from depstrata.operators.counting import ROW
@@ -167,6 +167,38 @@ def forward_search(p: Problem, order: Sequence[str] | None = None, limit: int |
     return done(False)
 
 
+def _halving(kept: list[str], pool: list[str], limit: int | None) -> Iterator[list[str]]:
+    """The sets that a run with halving asks for; it is sent whether each passes."""
+    if (yield kept) or not (yield kept + pool):
+        return
+    while limit is None or len(kept) < limit:
+        lo, hi = 1, len(pool)
+        while lo < hi:
+            mid = (lo + hi) // 2
+            if (yield kept + pool[:mid]):
+                hi = mid
+            else:
+                lo = mid + 1
+        kept, pool = [*kept, pool[lo - 1]], pool[: lo - 1]
+        if (yield kept):
+            return
+
+
+def prefetch(p: Problem, orders: Iterable[Sequence[str]], limit: int | None, required: Iterable[str] = ()) -> None:
+    """Walk several orders in step, so that what they ask at one time is one batch of counts; runs on these orders then find all answers known."""
+    runs, required = {}, list(required)
+    for i, order in enumerate(orders):
+        g = _halving(required, [c for c in order if c not in required], limit)
+        runs[i] = g, next(g)
+    while runs:
+        passed = p.ok_many([s for _, s in runs.values()])
+        for i, good in zip(list(runs), passed):
+            try:
+                runs[i] = runs[i][0], runs[i][0].send(good)
+            except StopIteration:
+                del runs[i]
+
+
 def forward_key(p: Problem, order: Sequence[str] | None = None, limit: int | None = None, sweep: str = "auto") -> SearchResult:
     """Forward addition for a minimal unique."""
     return forward_search(p, order, limit, sweep=sweep)

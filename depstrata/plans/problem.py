@@ -34,6 +34,7 @@ class Problem:
         self.monotone = measure == "rows" or self.eps == 0 or self.target == ROW
         self._pass: set[frozenset[str]] = set()
         self._fail: set[frozenset[str]] = set()
+        self._single: dict[str, int] | None = None
 
     def with_eps(self, eps: Fraction) -> Problem:
         return Problem(self.counter, self.target, eps, self.measure, self.pool)
@@ -47,7 +48,19 @@ class Problem:
             return True
         if s in self._fail or (self.monotone and any(s <= p for p in self._fail)):
             return False
-        return None
+        return False if self._too_few(s) else None
+
+    def _too_few(self, s: frozenset[str]) -> bool:
+        """r(C) is at most the product of its columns' counts: no job for a set that can't have rows enough."""
+        if self.target != ROW or self.counter.weight:
+            return False
+        if self._single is None:
+            r = self.counter.count_many([[c] for c in self.pool] + [self.counter.columns])
+            self._single = {c: r[frozenset([c])] for c in self.pool}
+        most = 1
+        for c in s:
+            most *= self._single.get(c, self.counter.rows)
+        return self.counter.rows - most > self.eps * self.counter.rows
 
     def ok_many(self, sets: Sequence[Iterable[str]]) -> list[bool]:
         sets = [frozenset(s) for s in sets]

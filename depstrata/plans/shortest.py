@@ -6,7 +6,7 @@ from collections.abc import Iterable, Iterator, Sequence
 from fractions import Fraction
 from itertools import combinations
 
-from depstrata.plans.forward import essential_columns, forward_search, random_forward
+from depstrata.plans.forward import essential_columns, forward_search, prefetch, random_forward
 from depstrata.plans.problem import Problem, SearchResult, permute
 
 
@@ -18,11 +18,16 @@ def shortest_within_error(
     initial: an answer to start from.  essential: none; first, columns that all answers need lead every run; after_first, only those of the first answer are tested.
     """
     began, best, failed = p.evaluations, tuple(initial) if initial is not None else None, 0
+    batched = isinstance(p, Problem) and p.monotone and sweep in ("auto", "bisect")
     required: Sequence[str] = essential_columns(p) if essential == "first" else ()
     for run in range(max_runs):
         if failed >= failures or (best is not None and len(best) <= max(1, len(required))):
             break
-        got = random_forward(p, limit if best is None else len(best) - 1, seed + run, required, sweep)
+        most = limit if best is None else len(best) - 1
+        if failed == 0 and batched:
+            # The runs up to the next failure limit, in step; the loop below replays them from what is known then.
+            prefetch(p, [permute(p.pool, seed + i) for i in range(run, run + failures)], most, required)
+        got = random_forward(p, most, seed + run, required, sweep)
         if got.found:
             best, failed = got.columns, 0
             if essential == "after_first" and not required:

@@ -502,7 +502,7 @@ def recompose_purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _flat(df: DataFrame) -> DataFrame:
     """Column names that SQL needs no quotes for; doubles rounded."""
     kinds = dict(df.dtypes)
-    one = lambda c: F.round(F.col(f"`{c}`"), 5) if kinds[c] == "double" else F.col(f"`{c}`")
+    one = lambda c: F.round(F.col(f"`{c}`") + 1e-8, 5) if kinds[c] == "double" else F.col(f"`{c}`")
     return df.select(*[one(c).alias(c.replace("@", "_at_")) for c in df.columns])
 
 
@@ -517,8 +517,8 @@ _FUNC_SQL = {"max": "max({})", "mean": "avg({})", "std": "stddev_samp({})"}
 
 def _two_level_sql(value: str, prefix: str) -> str:
     inner = ", ".join(f"{s.format(value)} as {f}_" for f, s in _FUNC_SQL.items())
-    outer = ", ".join(f"round({s.format(f + '_')}, 5) as {prefix}__{f}_at_l_orderkey__{g}_at_o_custkey" for f in _FUNC_SQL for g, s in _FUNC_SQL.items())
-    flat = ", ".join(f"round({s.format(value)}, 5) as {prefix}__{f}_at_o_custkey" for f, s in _FUNC_SQL.items())
+    outer = ", ".join(f"round({s.format(f + '_')} + 1e-8, 5) as {prefix}__{f}_at_l_orderkey__{g}_at_o_custkey" for f in _FUNC_SQL for g, s in _FUNC_SQL.items())
+    flat = ", ".join(f"round({s.format(value)} + 1e-8, 5) as {prefix}__{f}_at_o_custkey" for f, s in _FUNC_SQL.items())
     return f"""with t as materialized ({PURCHASES}), a as (select o_custkey, l_orderkey, {inner} from t group by all), b as (select o_custkey, {outer} from a group by all), c as (select o_custkey, {flat} from t group by all)
 select * from b join c using (o_custkey)"""
 
@@ -541,21 +541,21 @@ def features_price_subpaths(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(f"""with t as materialized ({PURCHASES}), a as (select o_custkey, l_orderkey, count(distinct p_type) n from t group by all),
-b as (select o_custkey, {', '.join(f"round({s.format('n')}, 5) as p_type__n_distinct_at_l_orderkey__{g}_at_o_custkey" for g, s in _FUNC_SQL.items())} from a group by all),
+b as (select o_custkey, {', '.join(f"round({s.format('n')} + 1e-8, 5) as p_type__n_distinct_at_l_orderkey__{g}_at_o_custkey" for g, s in _FUNC_SQL.items())} from a group by all),
 c as (select o_custkey, count(distinct p_type) as p_type__n_distinct_at_o_custkey from t group by all) select b.* replace (p_type__n_distinct_at_l_orderkey__max_at_o_custkey::bigint as p_type__n_distinct_at_l_orderkey__max_at_o_custkey), p_type__n_distinct_at_o_custkey from b join c using (o_custkey)""")
 def features_categorical(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _customer_features(spark, sf_dir, ["p_type"])
 
 
 @query(f"""with t as materialized ({PURCHASES}), a as (select o_custkey, l_orderkey, avg(case when p_size >= 10 and p_size < 30 then 1.0 else 0.0 end) i, quantile_cont(p_size, 0.5) q from t group by all),
-b as (select o_custkey, round(avg(case when i >= 10 and i < 30 then 1.0 else 0.0 end), 5) p_size__in_10_30_at_l_orderkey__in_10_30_at_o_custkey, round(quantile_cont(i, 0.5), 5) p_size__in_10_30_at_l_orderkey__q50_at_o_custkey,
-round(avg(case when q >= 10 and q < 30 then 1.0 else 0.0 end), 5) p_size__q50_at_l_orderkey__in_10_30_at_o_custkey, round(quantile_cont(q, 0.5), 5) p_size__q50_at_l_orderkey__q50_at_o_custkey from a group by all),
-c as (select o_custkey, round(avg(case when p_size >= 10 and p_size < 30 then 1.0 else 0.0 end), 5) p_size__in_10_30_at_o_custkey, round(quantile_cont(p_size, 0.5), 5) p_size__q50_at_o_custkey from t group by all) select * from b join c using (o_custkey)""")
+b as (select o_custkey, round(avg(case when i >= 10 and i < 30 then 1.0 else 0.0 end) + 1e-8, 5) p_size__in_10_30_at_l_orderkey__in_10_30_at_o_custkey, round(quantile_cont(i, 0.5) + 1e-8, 5) p_size__in_10_30_at_l_orderkey__q50_at_o_custkey,
+round(avg(case when q >= 10 and q < 30 then 1.0 else 0.0 end) + 1e-8, 5) p_size__q50_at_l_orderkey__in_10_30_at_o_custkey, round(quantile_cont(q, 0.5) + 1e-8, 5) p_size__q50_at_l_orderkey__q50_at_o_custkey from a group by all),
+c as (select o_custkey, round(avg(case when p_size >= 10 and p_size < 30 then 1.0 else 0.0 end) + 1e-8, 5) p_size__in_10_30_at_o_custkey, round(quantile_cont(p_size, 0.5) + 1e-8, 5) p_size__q50_at_o_custkey from t group by all) select * from b join c using (o_custkey)""")
 def features_interval_quantile(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _customer_features(spark, sf_dir, ["p_size"], [A.interval_probability(10, 30), A.quantile(0.5)])
 
 
-@query("select l_suppkey, max(l_quantity) as l_quantity__max_at_l_suppkey, round(avg(l_quantity), 5) as l_quantity__mean_at_l_suppkey, round(stddev_samp(l_quantity), 5) as l_quantity__std_at_l_suppkey, count(distinct l_returnflag) as l_returnflag__n_distinct_at_l_suppkey from lineitem group by all")
+@query("select l_suppkey, round(max(l_quantity) + 1e-8, 5) as l_quantity__max_at_l_suppkey, round(avg(l_quantity) + 1e-8, 5) as l_quantity__mean_at_l_suppkey, round(stddev_samp(l_quantity) + 1e-8, 5) as l_quantity__std_at_l_suppkey, count(distinct l_returnflag) as l_returnflag__n_distinct_at_l_suppkey from lineitem group by all")
 def features_shallow_supplier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _flat(features.shallow_features(load(spark, sf_dir, "lineitem"), "l_suppkey", ["l_quantity", "l_returnflag"]))
 
