@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from depstrata.llm.common import release, staged
+from depstrata.llm.common import discard, release, staged
 
 _U = np.uint64
 _GRAM, _HALF = 32, 64
@@ -187,59 +187,79 @@ def suffixes(docs: DataFrame, wanted: DataFrame, length: int, bits: int) -> Data
             keep = _in(seen, bits, _mix(a) + b)
             yield pa.RecordBatch.from_arrays([_i64(x[keep]) for x in (a, b, doc, at)], names=["w1", "w2", "doc", "at"])
 
-    return both.mapInArrow(run, "w1 long, w2 long, doc long, at long")
+    out = staged(both.mapInArrow(run, "w1 long, w2 long, doc long, at long"), "suffixes")
+    discard(both, again)
+    return out
+
+
+#: A run of bytes as one number: start times this, plus length.
+_RUN = 1024
 
 
 def repeats(docs: DataFrame, length: int = 100, bits: int = 26) -> DataFrame:
-    """doc, at, to: runs of bytes that repeat an earlier window; they may overlap."""
+    """doc, run: runs of bytes that repeat an earlier window; they may overlap."""
     docs = docs.where("doc_id is not null")
     again = staged(triggers(docs, length).groupBy("h").count().where("count > 1").select("h"), "triggers")
     release(docs.sparkSession)
     found = phrases(docs, length, slots(again, bits), bits)
     found = staged(found.join(again, "h", "left_semi"), "phrases")
+    discard(again)
     release(docs.sparkSession)
     # The dictionary: first place of each phrase, and how often it stands.
     book = found.groupBy("h", "ph").agg(F.min(F.struct("doc", "place")).alias("first"), F.count("*").alias("n"), F.first("lh").alias("lh"), F.first("rh").alias("rh"))
     book = staged(book.select("h", "ph", "first.doc", "first.place", "n", "lh", "rh"), "dictionary")
     later = found.join(book.where("n > 1").select("h", "ph", F.col("doc").alias("d0"), F.col("place").alias("p0")), ["h", "ph"]).where("doc <> d0 or place <> p0")
-    start = F.shiftright("place", 8)
-    whole = later.select("doc", start.alias("at"), (start + F.col("place") % 256 + (length - 1)).alias("to"))
+    whole = staged(later.select("doc", (F.shiftright("place", 8) * _RUN + F.col("place") % 256 + (length - 1)).alias("run")), "copies")
     # Different phrases of one trigger can share a window only if they agree beside the trigger too.
-    sides = [book.where(f"{c} is not null").select("h", F.col(c).alias("x"), F.lit(c).alias("side")) for c in ("lh", "rh")]
-    shared = sides[0].union(sides[1]).groupBy("h", "x", "side").count().where("count > 1").drop("count")
-    both = book.select("h", "doc", "place", F.explode(F.array(F.struct(F.col("lh").alias("x"), F.lit("lh").alias("side")), F.struct(F.col("rh").alias("x"), F.lit("rh").alias("side")))).alias("s"))
-    wanted = both.select("h", "doc", "place", "s.x", "s.side").join(shared, ["h", "x", "side"], "left_semi").select("doc", "place").distinct()
-    ranked = staged(suffixes(docs, wanted, length, bits), "suffixes")
+    side = lambda c: F.struct(F.col(c).alias("x"), F.lit(c).alias("side"))
+    both = book.select("h", "doc", "place", F.explode(F.array(side("lh"), side("rh"))).alias("s")).select("h", "doc", "place", "s.x", "s.side").where("x is not null")
+    shared = both.groupBy("h", "x", "side").count().where("count > 1").drop("count")
+    wanted = staged(both.join(shared, ["h", "x", "side"], "left_semi").select("doc", "place").distinct(), "wanted")
+    discard(found, book)
+    release(docs.sparkSession)
+    ranked = suffixes(docs, wanted, length, bits)
+    discard(wanted)
+    release(docs.sparkSession)
+    first = ranked.groupBy("w1", "w2").agg(F.min(F.struct("doc", "at")).alias("f"), F.count("*").alias("n")).where("n > 1").select("w1", "w2", F.col("f.doc").alias("d0"), F.col("f.at").alias("a0"))
+    single = staged(ranked.join(first, ["w1", "w2"]).where("doc <> d0 or at <> a0").select("doc", (F.col("at") * _RUN + length).alias("run")), "repeats")
+    discard(ranked)
     release(docs.sparkSession)
-    first = ranked.groupBy("w1", "w2").agg(F.min(F.struct("doc", "at")).alias("f"), F.count("*").alias("n")).where("n > 1")
-    single = ranked.join(first, ["w1", "w2"]).where("doc <> f.doc or at <> f.at").select("doc", "at", (F.col("at") + length).alias("to"))
     return whole.unionByName(single)
 
 
-def dedup(docs: DataFrame, length: int = 100, bits: int = 26) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (the bytes that are left)."""
+def _merged(runs: np.ndarray) -> list[tuple[int, int]]:
+    """(start, end) of runs in order, those that overlap or touch made one."""
+    if not len(runs):
+        return []
+    runs = np.sort(runs)
+    start = runs // _RUN
+    end = np.maximum.accumulate(start + runs % _RUN)
+    new = np.r_[True, start[1:] > end[:-1]]
+    return list(zip(start[new].tolist(), end[np.r_[np.nonzero(new)[0][1:] - 1, len(runs) - 1]].tolist()))
+
+
+def dedup(docs: DataFrame, length: int = 100, bits: int = 26, with_bytes: bool = True) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, and kept: the bytes that are left (NULL if not with_bytes)."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    runs = staged(repeats(docs, length, bits), "repeats")
-    release(docs.sparkSession)
-    runs = runs.groupBy("doc").agg(F.collect_list(F.struct("at", "to")).alias("runs"))
-    both = docs.join(runs, F.col("doc_id") == F.col("doc"), "left").select("doc_id", "text", F.col("runs.at").alias("at"), F.col("runs.to").alias("to"))
+    runs = repeats(docs, length, bits).groupBy("doc").agg(F.collect_list("run").alias("runs"))
+    both = docs.join(runs, F.col("doc_id") == F.col("doc"), "left").select("doc_id", "text", "runs")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo in range(0, batch.num_rows, 512):
                 part = batch.slice(lo, 512)
                 out: list[tuple] = []
-                for doc, text, at, to in zip(*(part.column(i).to_pylist() for i in range(4))):
-                    b = _bytes(text)
+                for doc, text, own in zip(*(part.column(i) for i in range(3))):
+                    doc, b = doc.as_py(), _bytes(text.as_py())
                     kept, pos, spans = [], 0, 0
                     end = -1
-                    for s, e in sorted(zip(at or (), to or ())):
+                    for s, e in _merged(own.values.to_numpy() if own.is_valid else np.zeros(0, np.int64)):
                         if s > end:  # touching runs are one
                             kept.append(b[pos:s])
                             spans += 1
                         pos = end = max(end, e)
                     left = b"".join([*kept, b[pos:]])
-                    out.append((doc, len(b), len(b) - len(left), spans, hashlib.sha256(left).hexdigest(), left))
+                    out.append((doc, len(b), len(b) - len(left), spans, hashlib.sha256(left).hexdigest(), left if with_bytes else None))
                 columns = [pa.array(c, t) for c, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary()))]
                 yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 

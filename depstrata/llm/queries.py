@@ -64,7 +64,7 @@ def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_repeated_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
     from depstrata.llm import pfp
 
-    return pfp.dedup(load(spark, sf_dir, "documents")).drop("kept")
+    return pfp.dedup(load(spark, sf_dir, "documents"), with_bytes=False).drop("kept")
 
 
 def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
