@@ -620,12 +620,12 @@ def cube_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counting.cuboids(load(spark, sf_dir, "lineitem"), _GS, "cube")
 
 
-@query(f"""select user_id, day, slot, n_events, round(avg(n_events) over w, 6) as n_events_mean, max(n_events) over w as n_events_max, n_events - lag(n_events) over (partition by user_id order by day, slot) as n_events_step
+@query(f"""select user_id, strftime(day, '%Y-%m-%d') as day, slot, n_events, round(avg(n_events) over w, 6) as n_events_mean, max(n_events) over w as n_events_max, coalesce(n_events - lag(n_events) over (partition by user_id order by day, slot), 0) as n_events_step
 from ({KPI}) window w as (partition by user_id order by day, slot rows between 3 preceding and current row)""")
 def rolling_kpi(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = workloads.kpi_wide(spark, sf_dir).select("user_id", "day", "slot", "n_events").withColumn("at", F.struct("day", "slot"))
     out = features.rolling(df, ["user_id"], "at", "n_events", 4)
-    return out.select("user_id", "day", "slot", "n_events", F.round("n_events_mean", 6).alias("n_events_mean"), "n_events_max", "n_events_step")
+    return out.select("user_id", F.date_format("day", "yyyy-MM-dd").alias("day"), "slot", "n_events", F.round("n_events_mean", 6).alias("n_events_mean"), "n_events_max", F.coalesce("n_events_step", F.lit(0)).alias("n_events_step"))
 
 
 @query("""select c.c_custkey, 'semi' as kind from customer c where exists (select 1 from orders where o_custkey = c_custkey and o_totalprice > 300000)
@@ -650,7 +650,7 @@ def json_props(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.groupBy("event_type", F.col("props")["k"].cast("int").alias("k")).agg(F.count("*").alias("n"))
 
 
-@query("select regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) as host, count(*) as n, sum(length(html)) as chars from pages group by all")
+@query("select regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) as host, count(*) as n, cast(sum(length(html)) as bigint) as chars from pages group by all")
 def url_host_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return workloads.pages_parsed(spark, sf_dir).groupBy("host").agg(F.count("*").alias("n"), F.sum("n_html").alias("chars"))
 
@@ -669,8 +669,8 @@ def asof_events(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = f"{sf_dir}/events.parquet"
-    return spark.readStream.schema(spark.read.parquet(path).schema).parquet(path)
+    schema = load(spark, sf_dir, "events").schema
+    return spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
 
 
 @query("select user_id, count(*) as n from events group by user_id having count(distinct event_type) > 1")
