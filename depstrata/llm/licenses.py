@@ -1,9 +1,8 @@
 """Licence scans with a positional index of rare tokens.
 
-The index holds, for each word of the licence templates, the templates and positions where it stands.  Of a document's licence words the
-rarest (by document frequency over the whole corpus) are looked up, postings are intersected by relative position,
-and an alignment with enough agreeing words is verified: the template's mandatory key phrase must stand there,
-and the share of the template's words found in order is its score.  Short phrases of their own are counted exactly.
+The index holds, for each licence template, the rarest word (by document frequency over the whole corpus) of its mandatory key phrase and
+the position where it stands.  Every place of such a word in a document is verified: the key phrase must stand there,
+and the share of the template's words found in order around it is the score.  Short phrases of their own are counted exactly.
 
 Edge cases: NULL and empty texts have no words, no labels and score 0; repeated rows are scanned each by itself; an empty table gives an empty
 result; other columns are ignored.
@@ -40,56 +39,66 @@ def words_of(text: str | None) -> list[bytes]:
 
 
 class Index:
-    def __init__(self, df: dict[str, int], n_docs: int, rarest: int = 5, agree: int = 3, least: float = 0.6):
-        self.templates = {k: (t.encode().split(), (" " + key + " ").encode()) for k, (t, key) in TEMPLATES.items()}
+    """Postings of one word for each template: the rarest of its key phrase.
+
+    The phrase is mandatory, so wherever a template stands that word does too: each place of it is looked at, and none is missed.
+    """
+
+    def __init__(self, df: dict[str, int], n_docs: int, least: float = 0.6):
+        self.idf = {w: math.log((1 + n_docs) / (1 + df.get(w.decode(), 0))) for t, _ in TEMPLATES.values() for w in t.encode().split()}
+        self.templates: dict[str, tuple[dict[bytes, int], int, list[bytes]]] = {}
         self.postings: dict[bytes, list[tuple[str, int]]] = defaultdict(list)
-        for name, (ws, _) in self.templates.items():
-            for i, w in enumerate(ws):
-                self.postings[w].append((name, i))
-        self.vocabulary = frozenset(self.postings)
-        self.idf = {w: math.log((1 + n_docs) / (1 + df.get(w.decode(), 0))) for w in self.vocabulary}
-        self.rarest, self.agree, self.least = rarest, agree, least
+        for name, (t, key) in TEMPLATES.items():
+            ws, k = t.encode().split(), key.encode().split()
+            self.templates[name] = _masks(ws), len(ws), k
+            at = max(range(len(k)), key=lambda i: (self.idf[k[i]], k[i]))
+            self.postings[k[at]].append((name, at))
+        self.anchors = frozenset(self.postings)
+        self.least = least
 
     def match(self, ws: list[bytes]) -> dict[str, float]:
         """Score of each template that is verified."""
-        found = self.vocabulary.intersection(ws)
-        if len(found) < self.agree:
-            return {}
-        rare = frozenset(sorted(found, key=lambda w: (-self.idf[w], w))[: self.rarest])
-        votes: dict[tuple[str, int], set[bytes]] = defaultdict(set)
-        for i, w in enumerate(ws):
-            if w in rare:
-                for name, p in self.postings[w]:
-                    votes[name, i - p].add(w)
-        # Insertions and deletions shift an alignment: neighbours count together.
-        near: dict[str, list[int]] = defaultdict(list)
-        for (name, shift), got in votes.items():
-            together = set().union(got, *(votes.get((name, shift + d), ()) for d in (-2, -1, 1, 2)))
-            if len(together) >= min(self.agree, len(rare)):
-                near[name].append(shift)
-        out = {}
-        for name, shifts in near.items():
-            t, key = self.templates[name]
-            best = 0.0
-            for s in shifts:
-                there = ws[max(0, s - 3) : max(0, s + len(t) + 3)]
-                if key in b" " + b" ".join(there) + b" ":
-                    best = max(best, _in_order(t, there) / len(t))
-            if best >= self.least:
-                out[name] = best
+        out: dict[str, float] = {}
+        for w in self.anchors.intersection(ws):
+            i = -1
+            for _ in range(ws.count(w)):
+                i = ws.index(w, i + 1)
+                for name, at in self.postings[w]:
+                    key = self.templates[name][2]
+                    if out.get(name, 0) < 1 and i >= at and ws[i - at : i - at + len(key)] == key:
+                        score = self._score(name, ws, i - at, out.get(name, 0.0))
+                        if score >= self.least:
+                            out[name] = score
         return out
 
-
-def _in_order(a: list[bytes], b: list[bytes]) -> int:
-    """Length of the longest common subsequence."""
-    row = [0] * (len(b) + 1)
-    for x in a:
-        left = 0
-        for j, y in enumerate(b):
-            up = row[j + 1]
-            row[j + 1] = left + 1 if x == y else max(up, row[j])
-            left = up
-    return row[-1]
+    def _score(self, name: str, ws: list[bytes], at: int, known: float) -> float:
+        """Best share of a template's words in order in a stretch, longer by 6 words, that holds the key phrase at this place."""
+        masks, n, key = self.templates[name]
+        width = n + 6
+        first = max(0, at + len(key) - width)
+        # No stretch has more than all of them together.
+        if _in_order(masks, n, ws[first : at + width]) / n <= max(known, self.least - 1e-9):
+            return known
+        return max(known, *(_in_order(masks, n, ws[s : s + width]) / n for s in range(first, at + 1)))
+
+
+def _masks(ws: list[bytes]) -> dict[bytes, int]:
+    """Places of each word as bits."""
+    out: dict[bytes, int] = defaultdict(int)
+    for i, w in enumerate(ws):
+        out[w] |= 1 << i
+    return dict(out)
+
+
+def _in_order(masks: dict[bytes, int], n: int, b: list[bytes]) -> int:
+    """Length of the longest common subsequence, a row of the table as the bits of one number."""
+    full = (1 << n) - 1
+    row = full
+    for y in b:
+        if y in masks:
+            u = row & masks[y]
+            row = (row + u | row - u) & full
+    return n - row.bit_count()
 
 
 def places(ws: list[bytes]) -> tuple[int, int | None, int | None, set[str]]:

@@ -105,6 +105,20 @@ def test_licenses(docs, texts, empty):
     assert licenses.scan(empty).count() == 0
 
 
+def test_several_licenses_and_stray_words(spark):
+    full = {n: t for n, (t, _) in licenses.TEMPLATES.items()}
+    names = sorted(full)
+    pairs = [(a, b) for a in names for b in names if a < b]
+    stray = " und ".join(sorted({w for t in full.values() for w in t.split()}, reverse=True))
+    rows = [(i, f"{full[a]}\n{full[b]}") for i, (a, b) in enumerate(pairs)]
+    rows += [(100 + i, f"{stray} {'la ' * 5000}{full[n]} {'le ' * 5000}{stray}") for i, n in enumerate(names)]
+    rows += [(200, "\n".join(full.values())), (201, stray), (202, full["mit"].replace("software", "new and odd software"))]
+    got = {r.doc_id: set(filter(None, r.labels.split(","))) & set(names) for r in licenses.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(got[i] == set(p) for i, p in enumerate(pairs))
+    assert all(got[100 + i] == {n} for i, n in enumerate(names))
+    assert got[200] == set(names) and got[201] == set() and got[202] == {"mit"}
+
+
 def test_packing(docs, texts, empty):
     from tokenizers import Tokenizer
 
