@@ -1,8 +1,8 @@
 """Licence scans with a positional index of rare tokens.
 
-The index holds, for each licence template, the rarest word (by document frequency over the whole corpus) of its mandatory key phrase and
+The index holds, for each licence template and each one-line notice that names a licence, the rarest word (by document frequency over the whole corpus) of its mandatory key phrase and
 the position where it stands.  Every place of such a word in a document is verified: the key phrase must stand there,
-and the share of the template's words found in order around it is the score.  Short phrases of their own are counted exactly.
+and the share of the words of the template or notice found in order around it is the score.  Short phrases of their own are counted exactly.
 
 Edge cases: NULL and empty texts have no words, no labels and score 0; repeated rows are scanned each by itself; an empty table gives an empty
 result; other columns are ignored.
@@ -30,6 +30,22 @@ TEMPLATES = {
     "cc-by-text": ("this work is licensed under a creative commons attribution 4 0 international license", "creative commons attribution"),
     "unlicense": ("this is free and unencumbered software released into the public domain", "released into the public domain"),
 }
+# One-line notices that name a licence instead of quoting it: label, words, phrase that must not be missing and is enough for the label.
+NOTICES = (
+    ("mit", "the mit license", "mit license"),
+    ("apache-2.0", "licensed under the apache license version 2 0", "apache license version 2 0"),
+    ("apache-2.0", "under the apache license 2 0", "apache license 2 0"),
+    ("apache-2.0", "under the apache 2 0 license", "apache 2 0 license"),
+    ("bsd", "the bsd license", "bsd license"),
+    ("gpl", "under the gnu general public license", "gnu general public license"),
+    ("mpl-2.0", "licensed under the mozilla public license version 2 0", "mozilla public license version 2 0"),
+    ("mpl-2.0", "licensed under the mozilla public license 2 0", "mozilla public license 2 0"),
+    ("isc", "the isc license", "isc license"),
+    ("cc-by-text", "licensed under creative commons attribution 4 0", "creative commons attribution 4 0"),
+    ("unlicense", "under the unlicense", "the unlicense"),
+)
+#: Every text that is looked for: label, words, mandatory phrase.
+FORMS = (*((label, t, key) for label, (t, key) in TEMPLATES.items()), *NOTICES)
 #: Letters A-Z to lower case; ASCII that is neither letter nor digit to a space.
 _TABLE = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 
@@ -39,41 +55,41 @@ def words_of(text: str | None) -> list[bytes]:
 
 
 class Index:
-    """Postings of one word for each template: the rarest of its key phrase.
+    """Postings of one word for each template and notice: the rarest of its key phrase.
 
-    The phrase is mandatory, so wherever a template stands that word does too: each place of it is looked at, and none is missed.
+    The phrase is mandatory, so wherever a text stands that word does too: each place of it is looked at, and none is missed.
     """
 
     def __init__(self, df: dict[str, int], n_docs: int, least: float = 0.6):
-        self.idf = {w: math.log((1 + n_docs) / (1 + df.get(w.decode(), 0))) for t, _ in TEMPLATES.values() for w in t.encode().split()}
-        self.templates: dict[str, tuple[dict[bytes, int], int, list[bytes]]] = {}
-        self.postings: dict[bytes, list[tuple[str, int]]] = defaultdict(list)
-        for name, (t, key) in TEMPLATES.items():
+        self.idf = {w: math.log((1 + n_docs) / (1 + df.get(w.decode(), 0))) for _, t, _ in FORMS for w in t.encode().split()}
+        self.forms: list[tuple[str, dict[bytes, int], int, list[bytes]]] = []
+        self.postings: dict[bytes, list[tuple[int, int]]] = defaultdict(list)
+        for f, (label, t, key) in enumerate(FORMS):
             ws, k = t.encode().split(), key.encode().split()
-            self.templates[name] = _masks(ws), len(ws), k
+            self.forms.append((label, _masks(ws), len(ws), k))
             at = max(range(len(k)), key=lambda i: (self.idf[k[i]], k[i]))
-            self.postings[k[at]].append((name, at))
+            self.postings[k[at]].append((f, at))
         self.anchors = frozenset(self.postings)
         self.least = least
 
     def match(self, ws: list[bytes]) -> dict[str, float]:
-        """Score of each template that is verified."""
+        """Score of each label of which a text is verified."""
         out: dict[str, float] = {}
         for w in self.anchors.intersection(ws):
             i = -1
             for _ in range(ws.count(w)):
                 i = ws.index(w, i + 1)
-                for name, at in self.postings[w]:
-                    key = self.templates[name][2]
-                    if out.get(name, 0) < 1 and i >= at and ws[i - at : i - at + len(key)] == key:
-                        score = self._score(name, ws, i - at, out.get(name, 0.0))
+                for f, at in self.postings[w]:
+                    label, _, _, key = self.forms[f]
+                    if out.get(label, 0) < 1 and i >= at and ws[i - at : i - at + len(key)] == key:
+                        score = self._score(f, ws, i - at, out.get(label, 0.0))
                         if score >= self.least:
-                            out[name] = score
+                            out[label] = score
         return out
 
-    def _score(self, name: str, ws: list[bytes], at: int, known: float) -> float:
-        """Best share of a template's words in order in a stretch, longer by 6 words, that holds the key phrase at this place."""
-        masks, n, key = self.templates[name]
+    def _score(self, f: int, ws: list[bytes], at: int, known: float) -> float:
+        """Best share of a text's words in order in a stretch, longer by 6 words, that holds the key phrase at this place."""
+        _, masks, n, key = self.forms[f]
         width = n + 6
         first = max(0, at + len(key) - width)
         # No stretch has more than all of them together.
@@ -119,8 +135,8 @@ def places(ws: list[bytes]) -> tuple[int, int | None, int | None, set[str]]:
 
 
 def document_frequency(docs: DataFrame) -> tuple[dict[str, int], int]:
-    """Documents that hold each licence word, and documents; as many numbers as the templates have words."""
-    vocabulary = frozenset(w.encode() for t, _ in TEMPLATES.values() for w in t.split())
+    """Documents that hold each licence word, and documents; as many numbers as the templates and notices have words."""
+    vocabulary = frozenset(w.encode() for _, t, _ in FORMS for w in t.split())
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c: Counter = Counter()

@@ -119,6 +119,20 @@ def test_several_licenses_and_stray_words(spark):
     assert got[200] == set(names) and got[201] == set() and got[202] == {"mit"}
 
 
+def test_one_line_notices(spark):
+    notices = {
+        "la ro ni Licensed under the Apache License, Version 2.0": "apache-2.0", "see the Apache License, Version 2.0.": "apache-2.0", "code (Apache License 2.0)": "apache-2.0",
+        "licensed under the apache license 2.0": "apache-2.0", "Released under the MIT License.": "mit", "mit licenses for sale": "", "This work is licensed under the GNU General Public License, version 3": "gpl",
+        "This file is under the Mozilla Public License, version 2.0": "mpl-2.0", "distributed under the BSD license": "bsd", "released under the ISC license": "isc", "released under the Unlicense": "unlicense",
+        "MIT License": "mit", "the apache people, license by license": "",
+    }
+    df = spark.createDataFrame(list(enumerate(notices)), "doc_id long, text string")
+    got = {r.doc_id: r for r in licenses.scan(df).collect()}
+    assert [got[i].labels for i in range(len(notices))] == list(notices.values())
+    assert got[0].score == 1 and 0.6 <= got[1].score < 1 and got[11].score >= 0.6 and got[12].score == 0
+    assert all(n / len(t.split()) >= 0.6 for _, t, key in licenses.NOTICES for n in [len(key.split())])
+
+
 def test_packing(docs, texts, empty):
     from tokenizers import Tokenizer
 
