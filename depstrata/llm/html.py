@@ -3,7 +3,8 @@
 Pages of one host are parsed to DOM trees and aligned by simple tree matching with a page of the host.  Nodes whose text is
 constant over the aligned pages are template; slots that vary are content.  Elements and class names
 that never hold an article (menus, adverts, forms, scripts, comments of readers ...) go first, as a varying advert is no content either;
-where a page marks its article, only that is read.  Hosts are dealt in chunks of bounded size, so that a host with a
+where a page marks its article, only that is read, and in it only names that leave no doubt count.  Names are read as a whole: entry-header,
+social-history and copyright-reform are no header, sharing box or footer.  Hosts are dealt in chunks of bounded size, so that a host with a
 third of all pages is no hot group.
 
 Runs of siblings with one structure are folded to one repeated node before matching, which makes trees small, and the
@@ -33,12 +34,17 @@ BLOCKS = frozenset(
     "head header hgroup hr html legend li main menu nav ol p pre section summary table tbody td tfoot th thead title tr ul".split()
 )
 RAW = frozenset("script style textarea title noscript template iframe xmp".split())
-NEVER = frozenset("script style nav footer aside form noscript template iframe svg math button select textarea input head title menu dialog object canvas audio video".split())
-NAMES = frozenset(
-    "ad ads advert adverts advertisement advertising sponsor sponsored promo promotion banner sidebar side menu nav navbar navigation breadcrumb breadcrumbs footer "
-    "header masthead cookie cookies consent notice notices gdpr popup modal overlay newsletter subscribe subscription signup login comment comments commentlist discussion "
-    "respond replies reply disqus share sharing social related recommended pagination pager toolbar skip widget widgets copyright alert".split()
+NEVER = frozenset("script style nav footer aside form noscript template iframe svg button select textarea input head title menu dialog object canvas audio video".split())
+#: Names that are never an article's, also inside one; alone or with words of LAYOUT, so that ad-slot is one and ad-hoc-networks is not.
+CLEAR = frozenset("ad ads advert adverts advertisement advertisements adsbygoogle sponsored comments commentlist disqus breadcrumb breadcrumbs pagination navbar".split())
+CLEAR_WHOLE = frozenset("comment-list comment-form comment-respond disqus-thread share-bar share-buttons share-links sharing-buttons social-buttons social-links social-share related-posts related-articles newsletter-signup".split())
+#: Names of what stands around an article, on pages that mark none.
+AROUND = CLEAR | frozenset(
+    "sponsor promo banner sidebar menu nav navigation footer masthead cookie cookies consent gdpr popup modal overlay newsletter subscribe signup login comment "
+    "share sharing social related recommended pager toolbar skip widget widgets copyright".split()
 )
+AROUND_WHOLE = CLEAR_WHOLE | frozenset("header site-header global-header main-header top-header".split())
+LAYOUT = frozenset("site global main top bottom left right inner outer primary secondary block box area wrap wrapper container slot unit row col list item items bar link links button buttons icon icons desktop mobile fixed sticky".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert menu menubar alertdialog".split())
 #: An element that opens ends an open paragraph or item of these.
 CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
@@ -58,6 +64,13 @@ class Node:
         self.shape = ""
 
 
+def _named(word: str, in_article: bool) -> bool:
+    """Whether a class name or id, as a whole, is one of what is no article."""
+    parts = _NAME.findall(word)
+    names, whole = (CLEAR, CLEAR_WHOLE) if in_article else (AROUND, AROUND_WHOLE)
+    return "-".join(parts) in whole or (not names.isdisjoint(parts) and all(x in names or x in LAYOUT for x in parts))
+
+
 def _boilerplate(tag: str, attrs: str, in_article: bool) -> tuple[str, bool]:
     """Label of an element, and whether it never holds content."""
     drop, label = tag in NEVER or (tag == "header" and not in_article), tag
@@ -68,8 +81,7 @@ def _boilerplate(tag: str, attrs: str, in_article: bool) -> tuple[str, bool]:
                 label = f"{tag}.{value}"
             if name in ("class", "id"):
                 for word in value.lower().split():
-                    parts = _NAME.findall(word)
-                    if parts and tag not in ("html", "body", "article", "main") and not NAMES.isdisjoint(parts):
+                    if tag not in ("html", "body", "article", "main") and _named(word, in_article):
                         drop = True
             elif name == "role":
                 drop |= value.lower() in ROLES

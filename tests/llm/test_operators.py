@@ -281,6 +281,23 @@ def test_html(spark):
     assert got[22].text.startswith("plain < text &")
 
 
+def test_html_names_in_articles(spark):
+    parts = lambda k: [f"Title {k}", f"History {k}", f"Reform {k}", "We show that x=2 holds in all cases", f"Talk {k}", f"Networks {k}", f"Mind {k}"]
+    body = lambda a: (
+        f"<header class='entry-header'><h1>{a[0]}</h1></header><section class='social-history'><p>{a[1]}</p></section><div id='copyright-reform'>{a[2]}</div>"
+        f"<p>{a[3].replace('x=2', '<math><mi>x</mi><mo>=</mo><mn>2</mn></math>')}</p><section id='discussion'><p>{a[4]}</p></section><div class='ad-hoc-networks'>{a[5]}</div><div class='alert'>{a[6]}</div>"
+    )
+    junk = lambda k: f"<div class='ad-slot'>Buy {k}</div><div class='post share-buttons'>Send {k}</div><div id='comments'>Reader {k}</div><nav>Go {k}</nav>"
+    rows = [(k, f"http://a.example/{k}", f"<body><div class='site-header'>Top {k}</div><article>{body(parts(k))}{junk(k)}</article></body>") for k in range(5)]
+    # Without a mark of the article; the plain header tag is the page's there, and what is constant is template.
+    rows += [(10 + k, f"http://b.example/{k}", f"<body><div class='site-header main-menu'>Top {k}</div><div>{body(parts(k)).replace('header', 'div')}{junk(k)}</div></body>") for k in range(5)]
+    got = {r.page_id: r.text.split("\n\n") for r in html.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for k in range(5):
+        assert [t for t in got[k] if "x=2" not in t] == [t for t in got[10 + k] if "x=2" not in t] == [t for t in parts(k) if "x=2" not in t]
+    lone = html.extract([rows[0][2]])
+    assert lone == ["\n\n".join(parts(0))]
+
+
 def test_tree_matching():
     p = html.Page("<div><p>a</p><ul><li>1<li>2</ul></div>")
     q = html.Page("<div><h2>x</h2><p>a</p><ul><li>1</ul></div>")
