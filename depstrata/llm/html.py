@@ -8,7 +8,7 @@ social-history and copyright-reform are no header, sharing box or footer.  Hosts
 third of all pages is no hot group.
 
 Runs of siblings with one structure are folded to one repeated node before matching, which makes trees small, and the
-matching of two tree shapes is done once.
+matching of two tree shapes is done once.  Nothing recurses, so trees may be of any depth.
 
 Edge cases: NULL or empty html has an empty text; a NULL url belongs to a host of its own; a host of fewer than three different pages has no
 template; pages that are copies of each other count once; unclosed and crossed tags are closed by the next block; an empty table gives an
@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import re
 from collections import Counter, defaultdict
+from hashlib import blake2b
 from html import unescape
 
 import pyarrow as pa
@@ -55,13 +56,14 @@ _NAME = re.compile(r"[A-Za-z]+")
 
 
 class Node:
-    __slots__ = ("tag", "label", "children", "drop", "shape", "blocks")
+    __slots__ = ("tag", "label", "children", "drop", "shape", "length", "count", "blocks")
 
     def __init__(self, tag: str, label: str, drop: bool):
         self.tag, self.label, self.drop = tag, label, drop
         self.children: list[Node] = []
         self.blocks: list[int] = []  # numbers of the blocks whose text starts here
-        self.shape = ""
+        self.shape = b""  # digest of the labels of the tree below; its length as text; its nodes
+        self.length = self.count = 0
 
 
 def _named(word: str, in_article: bool) -> bool:
@@ -102,6 +104,7 @@ class Page:
         buffer: list[str] = []
         owner = [self.root, 0, 0]  # node, dropped levels, article levels of the open block
         dropped = article = 0
+        opened: Counter = Counter()
 
         def flush() -> None:
             text = " ".join(unescape("".join(buffer)).split())
@@ -121,6 +124,7 @@ class Page:
         def pop() -> None:
             nonlocal dropped, article
             n = stack.pop()
+            opened[n.tag] -= 1
             dropped -= n.drop
             article -= n.tag in ("article", "main")
 
@@ -136,7 +140,7 @@ class Page:
                 continue
             tag = m[2].lower()
             if m[1]:
-                if any(n.tag == tag for n in stack[1:]):
+                if opened[tag]:
                     if tag in BLOCKS or any(n.tag in BLOCKS for n in stack[_last(stack, tag) :]):
                         flush()
                     elif stack[-1].drop or dropped:
@@ -150,7 +154,9 @@ class Page:
             label, drop = _boilerplate(tag, m[3], bool(article))
             if tag in BLOCKS or (drop and not dropped):
                 flush()
-                # A block ends an open paragraph, and what was left open in it.
+                # A block ends what was left open in a line, but for what is dropped as a whole, and an open paragraph.
+                while tag in BLOCKS and not dropped and len(stack) > 1 and stack[-1].tag not in BLOCKS:
+                    pop()
                 for k in range(len(stack) - 1, 0, -1):
                     if stack[k].tag == "p" or stack[k].tag in CLOSES.get(tag, ()):
                         while len(stack) > k:
@@ -165,6 +171,7 @@ class Page:
             node = Node(tag, label, drop)
             stack[-1].children.append(node)
             stack.append(node)
+            opened[tag] += 1
             dropped += drop
             article += tag in ("article", "main")
             if tag in RAW:
@@ -183,23 +190,27 @@ def _last(stack: list[Node], tag: str) -> int:
     return next(i for i in range(len(stack) - 1, -1, -1) if stack[i].tag == tag)
 
 
-def _fold(node: Node) -> None:
+def _fold(root: Node) -> None:
     """Fold runs of siblings of one shape to one node, bottom up, and set the shapes."""
-    out: list[Node] = []
-    for c in node.children:
-        _fold(c)
-        if out and out[-1].shape == c.shape:
-            _absorb(out[-1], c)
-        else:
-            out.append(c)
-    node.children = out
-    node.shape = f"{node.label}({','.join(c.shape for c in out)})"
+    for node in reversed(_listed(root)):
+        out: list[Node] = []
+        for c in node.children:
+            if out and out[-1].shape == c.shape:
+                _absorb(out[-1], c)
+            else:
+                out.append(c)
+        node.children = out
+        label = node.label.encode("utf-8", "surrogatepass")
+        node.shape = blake2b(b"%d:%b" % (len(label), label) + b"".join(c.shape for c in out), digest_size=16).digest()
+        node.length = len(node.label) + 2 + sum(c.length for c in out) + max(0, len(out) - 1)
+        node.count = 1 + sum(c.count for c in out)
 
 
 def _absorb(into: Node, other: Node) -> None:
-    into.blocks += other.blocks
-    for a, b in zip(into.children, other.children):
-        _absorb(a, b)
+    todo = [(into, other)]
+    for a, b in todo:
+        a.blocks += b.blocks
+        todo += zip(a.children, b.children)
 
 
 def _listed(node: Node) -> list[Node]:
@@ -211,19 +222,37 @@ def _listed(node: Node) -> list[Node]:
 
 def match(a: Node, b: Node) -> tuple[int, list[tuple[Node, Node]]]:
     """Simple tree matching: size of the largest order-preserving matching of two trees, and its pairs."""
-    if a.label != b.label:
-        return 0, []
-    if a.shape == b.shape:
-        pairs = list(zip(_listed(a), _listed(b)))
-        return len(pairs), pairs
-    m, n = len(a.children), len(b.children)
+    size: dict[tuple[int, int], int] = {}
+    chosen: dict[tuple[int, int], list[tuple[Node, Node]]] = {}
+    todo = [(a, b, False)]
+    while todo:
+        x, y, ready = todo.pop()
+        at = id(x), id(y)
+        if x.label != y.label or x.shape == y.shape:
+            size[at] = x.count if x.label == y.label else 0
+        elif not ready:
+            todo.append((x, y, True))
+            todo += [(c, d, False) for c in x.children for d in y.children]
+        else:
+            size[at], chosen[at] = _best(x.children, y.children, size)
+    pairs, left = [], [(a, b)] if size[id(a), id(b)] else []
+    for x, y in left:
+        if x.shape == y.shape:
+            pairs += zip(_listed(x), _listed(y))
+        else:
+            pairs.append((x, y))
+            left += chosen[id(x), id(y)]
+    return size[id(a), id(b)], pairs
+
+
+def _best(xs: list[Node], ys: list[Node], size: dict[tuple[int, int], int]) -> tuple[int, list[tuple[Node, Node]]]:
+    """Size of a matching of two nodes by the sizes of their children's, and the children that are matched."""
+    m, n = len(xs), len(ys)
     best = [[0] * (n + 1) for _ in range(m + 1)]
-    sub: dict[tuple[int, int], tuple[int, list]] = {}
-    for i in range(m):
-        for j in range(n):
-            sub[i, j] = match(a.children[i], b.children[j])
-            best[i + 1][j + 1] = max(best[i][j + 1], best[i + 1][j], best[i][j] + sub[i, j][0])
-    pairs, i, j = [(a, b)], m, n
+    for i, x in enumerate(xs):
+        for j, y in enumerate(ys):
+            best[i + 1][j + 1] = max(best[i][j + 1], best[i + 1][j], best[i][j] + size.pop((id(x), id(y))))
+    pairs, i, j = [], m, n
     while i and j:
         if best[i][j] == best[i - 1][j]:
             i -= 1
@@ -231,7 +260,7 @@ def match(a: Node, b: Node) -> tuple[int, list[tuple[Node, Node]]]:
             j -= 1
         else:
             i, j = i - 1, j - 1
-            pairs += sub[i, j][1]
+            pairs.append((xs[i], ys[j]))
     return best[m][n] + 1, pairs
 
 
@@ -245,10 +274,10 @@ def extract(pages: list[str | None], share: float = 0.6, least_pages: int = 3, m
     template: dict[int, set[str]] = {}
     constant: list[set[int]] = [set() for _ in trees]
     if len(distinct) >= least_pages:
-        ref = max(distinct, key=lambda t: (len(t.root.shape), t.root.shape))
+        ref = max(distinct, key=lambda t: (t.root.length, t.root.shape))
         nodes = _listed(ref.root)
         number = {id(n): i for i, n in enumerate(nodes)}
-        known: dict[str, list[tuple[int, int]]] = {}
+        known: dict[bytes, list[tuple[int, int]]] = {}
 
         def aligned(t: Page) -> list[tuple[int, Node]]:
             shape, own = t.root.shape, _listed(t.root)

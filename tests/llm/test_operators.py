@@ -298,6 +298,19 @@ def test_html_names_in_articles(spark):
     assert lone == ["\n\n".join(parts(0))]
 
 
+def test_html_deep_trees(spark):
+    deep = lambda k: "<b>x" * 3000 + f"<div class='ad'>Buy {k}</div>" + "<div><span>" * (3000 + k) + f"<p>Own story {k}</p>"
+    rows = [(k, f"http://a.example/{k}", f"<body><div>{deep(k)}</div></body>") for k in range(4)]
+    rows += [(10 + k, f"http://b.example/{k}", f"<body><p>Same</p><p>Story {k}</p>" + f"<font color=red class=c{k}>" * 5000 + "</body>") for k in range(4)]
+    rows += [(20 + k, f"http://c.example/{k}", "<em>" * 2000 + f"<p>Same</p><span class='ad'><b><div>Buy {k}</div></b> now</span><p>Tale {k}</p>") for k in range(4)]
+    got = {r.page_id: r.text for r in html.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for k in range(4):
+        assert got[k].endswith(f"Own story {k}") and "Buy" not in got[k]
+        assert got[10 + k] == f"Story {k}" and got[20 + k] == f"Tale {k}"
+    p = html.Page("<div><b>one<div>two</div>three</div>")
+    assert p.texts == ["one", "two", "three"] and [n.label for n in html._listed(p.root)] == ["#root", "div", "b", "div"]
+
+
 def test_tree_matching():
     p = html.Page("<div><p>a</p><ul><li>1<li>2</ul></div>")
     q = html.Page("<div><h2>x</h2><p>a</p><ul><li>1</ul></div>")
