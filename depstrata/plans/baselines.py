@@ -9,7 +9,7 @@ from itertools import combinations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from depstrata.functions.columns import canonical
+from depstrata.functions.columns import canonical, digest
 from depstrata.operators.counting import ROW, DistinctCounter, cuboids
 from depstrata.plans.forward import random_forward
 from depstrata.plans.problem import Problem, SearchResult
@@ -66,22 +66,36 @@ def levelwise(counter: DistinctCounter, limit: int, eps: float | Fraction = 0) -
     return sorted((tuple(sorted(lhs)), y) for lhs, y in found)
 
 
-def agree_sets(df: DataFrame, max_rows: int = 2000) -> list[frozenset[str]]:
-    """Maximal sets of columns in which two rows agree.  Compares rows in pairs: for small tables or samples only."""
-    df = canonical(df).distinct().limit(max_rows + 1)
-    cols = df.columns
-    rows = df.withColumn("row_", F.monotonically_increasing_id())
+def agree_sets(df: DataFrame, target: str = ROW) -> list[frozenset[str]]:
+    """Maximal sets of columns in which two rows agree that differ in the target.
+
+    A set of two columns or more is found among the rows with equal values in two of its columns, so only those are paired; for single columns and
+    the empty set it is enough to count.
+    """
+    rows = canonical(df).distinct().withColumn("row_", F.monotonically_increasing_id())
+    goal = "row_" if target == ROW else target
+    cols = [c for c in df.columns if c != goal]
     rows = rows.cache()
     try:
-        if rows.count() > max_rows:
-            raise ValueError(f"row pairs are for at most {max_rows} rows")
-        a, b = rows.alias("a"), rows.alias("b")
-        mask = sum((F.when(F.col(f"a.`{c}`").eqNullSafe(F.col(f"b.`{c}`")), 1 << i).otherwise(0).cast("decimal(38,0)") for i, c in enumerate(cols)), F.lit(0).cast("decimal(38,0)"))
-        found = a.join(b, F.col("a.row_") < F.col("b.row_")).select(mask.alias("m")).distinct().collect()
+        if rows.select(digest([goal])).distinct().limit(2).count() < 2:
+            return []
+        found = {frozenset()}
+        if cols:
+            keyed = lambda sets: F.inline(F.array(*[F.struct(F.lit(i).alias("set_"), digest(s).alias("key_")) for i, s in enumerate(sets)]))
+            singles = rows.select(digest([goal]).alias("goal_"), keyed([[c] for c in cols])).groupBy("set_", "key_").agg(F.count_distinct("goal_").alias("n"))
+            found |= {frozenset({cols[r.set_]}) for r in singles.where("n > 1").select("set_").distinct().collect()}
+        # Only columns in which rows agree at all can be two of a set.
+        two = list(combinations(sorted(c for s in found for c in s), 2))
+        if two:
+            keys = rows.select("*", keyed(two))
+            a, b = keys.alias("a"), keys.alias("b")
+            same = lambda c: F.col(f"a.`{c}`").eqNullSafe(F.col(f"b.`{c}`"))
+            mask = sum((F.when(same(c), 1 << i).otherwise(0).cast("decimal(38,0)") for i, c in enumerate(cols)), F.lit(0).cast("decimal(38,0)"))
+            pairs = a.join(b, (F.col("a.set_") == F.col("b.set_")) & (F.col("a.key_") == F.col("b.key_")) & (F.col("a.row_") < F.col("b.row_")) & ~same(goal))
+            found |= {frozenset(c for i, c in enumerate(cols) if int(r.m) >> i & 1) for r in pairs.select(mask.alias("m")).distinct().collect()}
     finally:
         rows.unpersist()
-    sets = [frozenset(c for i, c in enumerate(cols) if int(r.m) >> i & 1) for r in found]
-    return [s for s in sets if not any(s < t for t in sets)]
+    return [s for s in found if not any(s < t for t in found)]
 
 
 def minimal_hitting_sets(families: Iterable[frozenset[str]], limit: int | None = None) -> list[frozenset[str]]:
@@ -103,24 +117,9 @@ def _answers_from(agreements: Iterable[frozenset[str]], columns: Sequence[str],
     return [tuple(sorted(s)) for s in minimal_hitting_sets(differences, limit)]
 
 
-def row_wise(df: DataFrame, target: str = ROW, limit: int | None = None, max_rows: int = 2000) -> list[tuple[str, ...]]:
+def row_wise(df: DataFrame, target: str = ROW, limit: int | None = None) -> list[tuple[str, ...]]:
     """All minimal exact answers from the columns in which pairs of rows differ."""
-    agreements = agree_sets(df, max_rows)
-    if target != ROW:
-        # A maximal agreement may hide a smaller one without the target: keep the parts that lack it.
-        agreements = _without(df, target, max_rows)
-    return _answers_from(agreements, df.columns, target, limit)
-
-
-def _without(df: DataFrame, target: str, max_rows: int) -> list[frozenset[str]]:
-    cols = df.columns
-    rows = canonical(df).distinct().limit(max_rows).collect()
-    found = set()
-    for i, a in enumerate(rows):
-        for b in rows[:i]:
-            if a[target] != b[target]:
-                found.add(frozenset(c for c in cols if a[c] == b[c]))
-    return [s for s in found if not any(s < t for t in found)]
+    return _answers_from(agree_sets(df, target), df.columns, target, limit)
 
 
 def hybrid_search(p: Problem, limit: int, rows: int = 200, k: int = 10, seed: int = 3) -> list[tuple[str, ...]]:

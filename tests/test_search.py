@@ -129,6 +129,21 @@ def test_on_a_table(spark):
     assert buyer == baselines.brute_force(Problem(DistinctCounter(df), "price"), 5)
 
 
+def test_row_wise_has_no_row_cap(spark):
+    rng = random.Random(7)
+    rows = [(i, i % 60, i // 60, rng.randrange(4), None if i % 9 == 0 else rng.randrange(3)) for i in range(3000)]
+    df = spark.createDataFrame(rows, "a int, b int, c int, d int, e int")
+    assert baselines.row_wise(df) == [("a",), ("b", "c")]
+    small = [r[1:] for r in rows[:150]]
+    agree = lambda t: {frozenset(i for i in range(4) if x[i] == y[i]) for x in small for y in small if (x != y if t is None else x[t] != y[t])}
+    for t in (None, 3):
+        found = agree(t)
+        want = {frozenset("bcde"[i] for i in s) for s in found if not any(s < o for o in found)}
+        assert set(baselines.agree_sets(spark.createDataFrame(small, "b int, c int, d int, e int"), *([] if t is None else ["e"]))) == want
+    odd = [(i, i % 2, 7 if i == 2999 else i % 2) for i in range(3000)]
+    assert baselines.row_wise(spark.createDataFrame(odd, "k int, x int, y int"), "y") == [("k",)]
+
+
 def test_levelwise_agrees_with_brute_force(spark):
     df = purchases(spark).select("ord", "buyer", "day", "channel", "phone")
     c = DistinctCounter(df)
