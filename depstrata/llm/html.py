@@ -1,29 +1,36 @@
 """Main text of web pages by wrapper induction.
 
-Pages of one host are parsed to DOM trees and aligned by simple tree matching with a page of the host.  Nodes whose text is
-constant over the aligned pages are template; slots that vary are content.  Elements and class names
-that never hold an article (menus, adverts, forms, scripts, comments of readers ...) go first, as a varying advert is no content either;
-where a page marks its article, only that is read, and in it only names that leave no doubt count.  Names are read as a whole: entry-header,
-social-history and copyright-reform are no header, sharing box or footer.  Hosts are dealt in chunks of bounded size, so that a host with a
-third of all pages is no hot group.
-
-Runs of siblings with one structure are folded to one repeated node before matching, which makes trees small, and the
-matching of two tree shapes is done once.  Nothing recurses, so trees may be of any depth.
-
-Edge cases: NULL or empty html has an empty text; a NULL url belongs to a host of its own; a host of fewer than three different pages has no
-template; pages that are copies of each other count once; unclosed and crossed tags are closed by the next block; an empty table gives an
-empty result; other columns are ignored.
+The pages of a host are parsed to DOM trees, and each is aligned by simple tree matching with one page of the host, the one with the
+median number of tags.  What stands at a node of that tree on most different pages is template.  The rest varies, and its weight, the
+characters that are no link, tells where the article is: from the root down, the way goes into the part that holds most of the
+varying text.  So varying menus, adverts and notices fall out with the constant ones, without any list of names.  A page's text is what varies
+in the slots of that part.
+
+HTML's own elements that are no text or no article (scripts, menus, forms, footers) and what is hidden never count.  Class names and ids are asked in three places
+only: adverts and readers' comments inside the part chosen, hosts where no part holds most of the varying text, and hosts of fewer than three different
+pages, which cannot be aligned.  Names are read as a whole: entry-header, social-history and copyright-reform are no header, sharing box or footer.
+
+All pages of a host count, whatever their number: chunks of pages are aligned with the one reference, and what they
+saw is summed up in a shuffle of node numbers and hashes.  Runs of siblings with one structure are folded to one repeated node before matching, which makes trees
+small.  Nothing recurses and tags are found in one pass, so trees may be of any depth and pages of any length.
+
+Edge cases: NULL or empty html has an empty text; a NULL url belongs to the host with an empty name; pages with the same three longest texts are copies and count
+once; a page on which all of the article's part is template is a copy of others, and keeps its text; unclosed and crossed tags are closed by the next block;
+repeated rows and NULL page_ids are rows of their own; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
 
 import re
-from collections import Counter, defaultdict
+from collections import Counter
+from collections.abc import Iterator
+from dataclasses import dataclass, field
+from functools import lru_cache
 from hashlib import blake2b
 from html import unescape
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from depstrata.llm.common import staged
@@ -50,144 +57,193 @@ ROLES = frozenset("navigation banner contentinfo complementary search form dialo
 #: An element that opens ends an open paragraph or item of these.
 CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|$)|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
+#: Elements that hold parts of a page rather than a run of text.
+PARTS = frozenset("html body div section article main center table tbody tr td".split())
+
+_TAG = re.compile(r"/?[a-zA-Z][^\s/>]*+")
+_STOP = re.compile("[>\"']")
 _ATTR = re.compile(r"(class|id|role|hidden|aria-hidden|style)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?(?=[\s/]|$)", re.I)
 _NAME = re.compile(r"[A-Za-z]+")
+_NO_DIGITS = {ord(d): None for d in "0123456789"}
 
 
 class Node:
-    __slots__ = ("tag", "label", "children", "drop", "shape", "length", "count", "blocks")
+    __slots__ = ("tag", "label", "children", "blocks", "repeat", "shape", "count")
 
-    def __init__(self, tag: str, label: str, drop: bool):
-        self.tag, self.label, self.drop = tag, label, drop
+    def __init__(self, tag: str, label: str):
+        self.tag, self.label = tag, label
         self.children: list[Node] = []
         self.blocks: list[int] = []  # numbers of the blocks whose text starts here
-        self.shape = b""  # digest of the labels of the tree below; its length as text; its nodes
-        self.length = self.count = 0
+        self.repeat = 1  # siblings that were folded to this node
+        self.shape = b""  # digest of the labels of the tree below
+        self.count = 0  # its nodes
 
 
-def _named(word: str, in_article: bool) -> bool:
+def _named(word: str, names: frozenset[str], whole: frozenset[str]) -> bool:
     """Whether a class name or id, as a whole, is one of what is no article."""
     parts = _NAME.findall(word)
-    names, whole = (CLEAR, CLEAR_WHOLE) if in_article else (AROUND, AROUND_WHOLE)
     return "-".join(parts) in whole or (not names.isdisjoint(parts) and all(x in names or x in LAYOUT for x in parts))
 
 
-def _boilerplate(tag: str, attrs: str, in_article: bool) -> tuple[str, bool]:
-    """Label of an element, and whether it never holds content."""
-    drop, label = tag in NEVER or (tag == "header" and not in_article), tag
-    if attrs:
-        for name, a, b, c in _ATTR.findall(attrs):
-            name, value = name.lower(), (a or b or c)
-            if name == "class":
-                label = f"{tag}.{value}"
-            if name in ("class", "id"):
-                for word in value.lower().split():
-                    if tag not in ("html", "body", "article", "main") and _named(word, in_article):
-                        drop = True
-            elif name == "role":
-                drop |= value.lower() in ROLES
-            elif name == "hidden" or (name == "aria-hidden" and value.lower() == "true") or (name == "style" and "display:none" in value.replace(" ", "").lower()):
-                drop = True
-    return label, drop
+#: Why an element is no article: by HTML itself, by a name that leaves no doubt, by a name of what stands around.
+NO_TEXT, NO_DOUBT, OUTSIDE = 1, 2, 4
+
+
+@lru_cache(65536)
+def _element(tag: str, attrs: str, in_article: bool) -> tuple[str, int]:
+    """Label of an element, and the reasons against it as bits."""
+    why, label = NO_TEXT * (tag in NEVER or (tag == "header" and not in_article)), tag
+    for name, a, b, c in _ATTR.findall(attrs) if attrs else ():
+        name, value = name.lower(), (a or b or c).lower()
+        if name == "class":
+            label = f"{tag}.{value.translate(_NO_DIGITS)}"
+        if name in ("class", "id"):
+            for word in value.split() if tag not in ("html", "body", "article", "main") else ():
+                why |= NO_DOUBT * _named(word, CLEAR, CLEAR_WHOLE) | OUTSIDE * _named(word, AROUND, AROUND_WHOLE)
+        elif name == "role":
+            why |= NO_TEXT * (value in ROLES)
+        elif name == "hidden" or (name == "aria-hidden" and value == "true") or (name == "style" and "display:none" in value.replace(" ", "")):
+            why |= NO_TEXT
+    return label, why
+
+
+def _tags(html: str) -> Iterator[tuple[int, int, str, str]]:
+    """(start, end, name with / if it closes, attributes) of the tags of a page, and comments with an empty name; the receiver may send a place to go on from.
+
+    A > in quotes ends no tag.  Where quotes do not match so that no end is left, the first > ends this and all further tags.
+    """
+    pos, quotes = 0, {q: html.rfind(q) for q in "\"'"}
+    strict = True
+    while (at := html.find("<", pos)) >= 0:
+        if html.startswith(("!", "?"), at + 1):
+            mark = "-->" if html.startswith("!--", at + 1) else ">"
+            end = html.find(mark, at + 2)
+            end = len(html) if end < 0 else end + len(mark)
+            pos = (yield at, end, "", "") or end
+            continue
+        m = _TAG.match(html, at + 1)
+        if not m:
+            pos = at + 1
+            continue
+        end, look = -1, m.end()
+        while strict and (stop := _STOP.search(html, look)):
+            look = stop.end()
+            if stop[0] == ">":
+                end = look
+                break
+            if stop.start() < quotes[stop[0]]:
+                look = html.find(stop[0], look) + 1
+        if end < 0:
+            strict = False
+            end = html.find(">", m.end()) + 1
+            if not end:
+                return
+        pos = (yield at, end, m[0].lower(), html[m.end() : end - 1]) or end
 
 
 class Page:
     """Tree and blocks of one page."""
 
     def __init__(self, html: str):
-        self.root = Node("#root", "#root", False)
+        self.root = Node("#root", "#root")
         self.texts: list[str] = []
-        self.kept: list[bool] = []
+        self.why: list[int] = []  # reasons against the block, of all elements around it
         self.inside: list[bool] = []  # in an element that marks the article
-        stack: list[Node] = [self.root]
+        self.prose: list[int] = []  # characters that are no link
+        # An open element: node, reasons of it and all around it, links and articles around it.
+        stack: list[tuple[Node, int, int, int]] = [(self.root, 0, 0, 0)]
         buffer: list[str] = []
-        owner = [self.root, 0, 0]  # node, dropped levels, article levels of the open block
-        dropped = article = 0
+        linked = 0
+        owner = stack[-1]
         opened: Counter = Counter()
 
         def flush() -> None:
-            text = " ".join(unescape("".join(buffer)).split())
-            buffer.clear()
+            nonlocal linked
+            raw = "".join(buffer)
+            text = " ".join(unescape(raw).split())
             if text:
                 owner[0].blocks.append(len(self.texts))
                 self.texts.append(text)
-                self.kept.append(not owner[1])
-                self.inside.append(bool(owner[2]))
+                self.why.append(owner[1])
+                self.inside.append(bool(owner[3]))
+                self.prose.append(len(text) * (len(raw) - linked) // len(raw))
+            buffer.clear()
+            linked = 0
 
         def add(text: str) -> None:
+            nonlocal owner, linked
             if text:
                 if not buffer:
-                    owner[:] = [stack[-1], dropped, article]
+                    owner = stack[-1]
                 buffer.append(text)
-
-        def pop() -> None:
-            nonlocal dropped, article
-            n = stack.pop()
-            opened[n.tag] -= 1
-            dropped -= n.drop
-            article -= n.tag in ("article", "main")
-
-        pos, end = 0, len(html)
-        while pos < end:
-            m = _TOKEN.search(html, pos)
-            if not m:
-                add(html[pos:])
-                break
-            add(html[pos : m.start()])
-            pos = m.end()
-            if not m[2]:
-                continue
-            tag = m[2].lower()
-            if m[1]:
+                if stack[-1][2]:
+                    linked += len(text)
+
+        def cut(depth: int) -> None:
+            for n, *_ in stack[depth:]:
+                opened[n.tag] -= 1
+            del stack[depth:]
+
+        pos = 0
+        tags = _tags(html)
+        found = next(tags, None)
+        while found:
+            at, end, name, attrs = found
+            add(html[pos:at])
+            pos, go_on = end, None
+            tag = name.lstrip("/")
+            if name.startswith("/"):
                 if opened[tag]:
-                    if tag in BLOCKS or any(n.tag in BLOCKS for n in stack[_last(stack, tag) :]):
+                    depth = next(i for i in range(len(stack) - 1, -1, -1) if stack[i][0].tag == tag)
+                    if stack[-1][1] or any(n.tag in BLOCKS for n, *_ in stack[depth:]):
                         flush()
-                    elif stack[-1].drop or dropped:
-                        flush()
-                    depth = _last(stack, tag)
-                    while len(stack) > depth:
-                        pop()
+                    cut(depth)
                 elif tag in BLOCKS:
                     flush()
-                continue
-            label, drop = _boilerplate(tag, m[3], bool(article))
-            if tag in BLOCKS or (drop and not dropped):
-                flush()
-                # A block ends what was left open in a line, but for what is dropped as a whole, and an open paragraph.
-                while tag in BLOCKS and not dropped and len(stack) > 1 and stack[-1].tag not in BLOCKS:
-                    pop()
-                for k in range(len(stack) - 1, 0, -1):
-                    if stack[k].tag == "p" or stack[k].tag in CLOSES.get(tag, ()):
-                        while len(stack) > k:
-                            pop()
-                        break
-                    if stack[k].tag in BLOCKS:
-                        break
-            if tag == "br":
-                add(" ")
-            if tag in VOID or m[3].endswith("/") and tag not in BLOCKS:
-                continue
-            node = Node(tag, label, drop)
-            stack[-1].children.append(node)
-            stack.append(node)
-            opened[tag] += 1
-            dropped += drop
-            article += tag in ("article", "main")
-            if tag in RAW:
-                close = re.compile(rf"</{tag}\s*>", re.I).search(html, pos)
-                add(html[pos : close.start() if close else end])
-                flush()
-                pop()
-                pos = close.end() if close else end
+            elif name:
+                _, around, links, article = stack[-1]
+                label, why = _element(tag, attrs.strip(), bool(article))
+                if tag in BLOCKS or (why & ~around):
+                    flush()
+                    # A block ends what was left open in a line, but for what is dropped as a whole, and an open paragraph.
+                    while tag in BLOCKS and len(stack) > 1 and stack[-1][0].tag not in BLOCKS and not stack[-1][1]:
+                        cut(len(stack) - 1)
+                    for k in range(len(stack) - 1, 0, -1) if not stack[-1][1] else ():
+                        if stack[k][0].tag == "p" or stack[k][0].tag in CLOSES.get(tag, ()):
+                            cut(k)
+                            break
+                        if stack[k][0].tag in BLOCKS:
+                            break
+                    _, around, links, article = stack[-1]
+                if tag == "br":
+                    add(" ")
+                if tag not in VOID and (not attrs.endswith("/") or tag in BLOCKS):
+                    node = Node(tag, label)
+                    stack[-1][0].children.append(node)
+                    stack.append((node, around | why, links + (tag == "a"), article + (tag in ("article", "main"))))
+                    opened[tag] += 1
+                    if tag in RAW:
+                        close = _raw_end(tag).search(html, pos)
+                        add(html[pos : close.start() if close else len(html)])
+                        flush()
+                        cut(len(stack) - 1)
+                        pos = go_on = close.end() if close else len(html)
+            found = next(tags, None) if go_on is None else _send(tags, go_on)
+        add(html[pos:])
         flush()
-        if any(i and k for i, k in zip(self.inside, self.kept)):
-            self.kept = [i and k for i, k in zip(self.inside, self.kept)]
         _fold(self.root)
 
 
-def _last(stack: list[Node], tag: str) -> int:
-    return next(i for i in range(len(stack) - 1, -1, -1) if stack[i].tag == tag)
+@lru_cache(64)
+def _raw_end(tag: str) -> re.Pattern:
+    return re.compile(rf"</{tag}\s*+>", re.I)
+
+
+def _send(tags: Iterator, pos: int):
+    try:
+        return tags.send(pos)
+    except StopIteration:
+        return None
 
 
 def _fold(root: Node) -> None:
@@ -202,11 +258,11 @@ def _fold(root: Node) -> None:
         node.children = out
         label = node.label.encode("utf-8", "surrogatepass")
         node.shape = blake2b(b"%d:%b" % (len(label), label) + b"".join(c.shape for c in out), digest_size=16).digest()
-        node.length = len(node.label) + 2 + sum(c.length for c in out) + max(0, len(out) - 1)
         node.count = 1 + sum(c.count for c in out)
 
 
 def _absorb(into: Node, other: Node) -> None:
+    into.repeat += other.repeat
     todo = [(into, other)]
     for a, b in todo:
         a.blocks += b.blocks
@@ -264,58 +320,215 @@ def _best(xs: list[Node], ys: list[Node], size: dict[tuple[int, int], int]) -> t
     return best[m][n] + 1, pairs
 
 
-def extract(pages: list[str | None], share: float = 0.6, least_pages: int = 3, most_template: float = 0.5) -> list[str]:
-    """Main texts of the pages of one host."""
-    trees = [Page(p or "") for p in pages]
-    first: dict[tuple, Page] = {}
-    for t in trees:
-        first.setdefault(tuple(t.texts), t)
-    distinct = list(first.values())
-    template: dict[int, set[str]] = {}
-    constant: list[set[int]] = [set() for _ in trees]
-    if len(distinct) >= least_pages:
-        ref = max(distinct, key=lambda t: (t.root.length, t.root.shape))
+class Reference:
+    """A page to align others with.  Pages of one shape are matched once."""
+
+    def __init__(self, html: str):
+        self.page = Page(html)
+        self.known: dict[bytes, list[int]] = {}
+
+    def align(self, page: Page) -> list[int]:
+        listed = _listed(page.root)
+        if page.root.shape not in self.known:
+            if len(self.known) >= 4096:
+                self.known.clear()
+            number = {id(n): i for i, n in enumerate(_listed(self.page.root))}
+            place = {id(y): number[id(x)] for x, y in match(self.page.root, page.root)[1]}
+            at: dict[int, int] = {}
+            for node in listed:  # parents come first
+                mine = at[id(node)] = place.get(id(node), at.get(id(node), 0))
+                at.update((id(c), mine) for c in node.children)
+            self.known[page.root.shape] = [at[id(n)] for n in listed]
+        out = [0] * len(page.texts)
+        for node, x in zip(listed, self.known[page.root.shape]):
+            for b in node.blocks:
+                out[b] = x
+        return out
+
+
+@dataclass
+class Wrapper:
+    """What is learnt of a host: weight of the varying text and the template texts (hashes) of the nodes of its reference."""
+
+    weight: dict[int, int] = field(default_factory=dict)
+    template: dict[int, frozenset[int]] = field(default_factory=dict)
+    part: frozenset[int] | None = None  # nodes of the part that holds the article; None if none stands out
+
+    def choose(self, ref: Page, share: float) -> Wrapper:
         nodes = _listed(ref.root)
         number = {id(n): i for i, n in enumerate(nodes)}
-        known: dict[bytes, list[tuple[int, int]]] = {}
-
-        def aligned(t: Page) -> list[tuple[int, Node]]:
-            shape, own = t.root.shape, _listed(t.root)
-            if shape not in known:
-                at = {id(n): i for i, n in enumerate(own)}
-                known[shape] = [(number[id(x)], at[id(y)]) for x, y in match(ref.root, t.root)[1]]
-            return [(x, own[y]) for x, y in known[shape]]
-
-        seen: dict[int, Counter] = defaultdict(Counter)
-        for t in distinct:
-            for x, n in aligned(t):
-                seen[x].update({t.texts[b] for b in n.blocks})
-        template = {x: {s for s, k in c.items() if k >= max(least_pages, share * len(distinct))} for x, c in seen.items()}
-        for t, gone in zip(trees, constant):
-            for x, n in aligned(t):
-                gone.update(b for b in n.blocks if t.texts[b] in template.get(x, ()))
-    out = []
-    for t, gone in zip(trees, constant):
-        all_ = [i for i, k in enumerate(t.kept) if k]
-        left = [i for i in all_ if i not in gone]
-        # An article that is alike on most pages of its host is still one.
-        if sum(len(t.texts[i]) for i in left) < (1 - most_template) * sum(len(t.texts[i]) for i in all_) and any(t.inside):
-            left = all_
-        out.append("\n\n".join(t.texts[i] for i in left))
-    return out
-
-
-def main_text(pages: DataFrame, chunk_pages: int = 64, max_broadcast: int = 100_000) -> DataFrame:
-    """page_id, url, text, n_chars; one row for each page."""
-    host = F.regexp_extract(F.coalesce(F.col("url"), F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://([^/:?#]*)", 1)
-    rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.lower(host).alias("host"), F.col("html").cast("string").alias("html"))
-    hosts = staged(rows.groupBy("host").agg(F.ceil(F.count("*") / chunk_pages).cast("long").alias("chunks")).withColumnRenamed("host", "of"), "hosts")
-    hosts = F.broadcast(hosts) if hosts.count() <= max_broadcast else hosts
-    rows = rows.join(hosts, F.col("host") == F.col("of")).withColumn("chunk", F.pmod(F.xxhash64("page_id"), "chunks")).drop("of", "chunks")
-
-    def run(t: pa.Table) -> pa.Table:
-        t = t.sort_by([("page_id", "ascending"), ("url", "ascending")])
-        texts = extract(t.column("html").to_pylist())
-        return pa.table({"page_id": t.column("page_id"), "url": t.column("url"), "text": pa.array(texts, pa.string()), "n_chars": pa.array([len(x) for x in texts], pa.int64())})
-
-    return rows.groupBy("host", "chunk").applyInArrow(run, "page_id long, url string, text string, n_chars long")
+        total = [self.weight.get(i, 0) for i in range(len(nodes))]
+        for i in reversed(range(len(nodes))):
+            total[i] += sum(total[number[id(c)]] for c in nodes[i].children)
+        at, sure = 0, False
+        while total[at]:
+            best = max((number[id(c)] for c in nodes[at].children), key=lambda c: (total[c], -c), default=at)
+            if best == at or nodes[best].tag not in PARTS or nodes[best].repeat > 1 or total[best] < share * total[at]:
+                break
+            # Much text right in this part, or in elements that other pages lack, is the article's as well.
+            if 2 * self.weight.get(at, 0) > (1 - share) * total[at]:
+                break
+            sure |= total[best] < total[at] or nodes[best].tag in ("article", "main")
+            at = best
+        self.part = frozenset(number[id(n)] for n in _listed(nodes[at])) if at and (sure or nodes[at].tag not in ("html", "body")) else None
+        return self
+
+
+def text_hash(text: str) -> int:
+    return int.from_bytes(blake2b(text.encode("utf-8", "surrogatepass"), digest_size=8).digest(), "big", signed=True)
+
+
+def page_key(page: Page) -> int:
+    """Equal for copies: a hash of the three longest texts."""
+    return text_hash("\n".join(sorted((t for t, w in zip(page.texts, page.why) if not w & NO_TEXT), key=lambda t: (-len(t), t))[:3]))
+
+
+def observe(ref: Reference, html: str | None) -> list[tuple[int, int, int, int]]:
+    """(node, text hash, page key, prose characters) of the blocks of a page."""
+    page = Page(html or "")
+    key = page_key(page)
+    return [(x, text_hash(t), key, n) for x, t, w, n in zip(ref.align(page), page.texts, page.why, page.prose) if not w & NO_TEXT]
+
+
+def apply(html: str | None, ref: Reference | None, wrapper: Wrapper | None) -> str:
+    """Main text of a page; without a wrapper by names."""
+    page = Page(html or "")
+    kept = [i for i, w in enumerate(page.why) if not w & (NO_TEXT | NO_DOUBT)]
+    if wrapper is None or wrapper.part is None:
+        inside = [i for i in kept if page.inside[i]]
+        kept = inside or [i for i in kept if not page.why[i] & OUTSIDE]
+    if wrapper is not None and ref is not None:
+        at = ref.align(page)
+        if wrapper.part is not None:
+            kept = [i for i in kept if at[i] in wrapper.part]
+        own = [i for i in kept if text_hash(page.texts[i]) not in wrapper.template.get(at[i], ())]
+        kept = own or kept
+    return "\n\n".join(page.texts[i] for i in kept)
+
+
+#: Share of a host's different pages on which a text is template, least number of them, and share of the varying text that the article's part holds.
+CONSTANT, LEAST_PAGES, DOMINANT = 0.6, 3, 0.6
+
+
+def extract(pages: list[str | None], constant: float = CONSTANT, least_pages: int = LEAST_PAGES, dominant: float = DOMINANT) -> list[str]:
+    """Main texts of the pages of one host, without Spark; main_text() gives the same."""
+    counts = [len(p or "") - len((p or "").replace("<", "")) for p in pages]
+    median = sorted(counts)[(len(counts) - 1) // 2] if counts else 0
+    ref = Reference(min(((abs(n - median), text_hash(p or ""), p or "") for n, p in zip(counts, pages)), default=(0, 0, ""))[2])
+    seen = {row for p in pages for row in observe(ref, p)}
+    n_pages = len({key for _, _, key, _ in seen})
+    if n_pages < least_pages:
+        return [apply(p, None, None) for p in pages]
+    times = Counter((x, h) for x, h, _ in {r[:3] for r in seen})
+    prose = {(x, h): n for x, h, _, n in seen}
+    wrapper, template = Wrapper(), {}
+    for (x, h), k in times.items():
+        if k >= max(least_pages, constant * n_pages):
+            template.setdefault(x, set()).add(h)
+        else:
+            wrapper.weight[x] = wrapper.weight.get(x, 0) + k * prose[x, h]
+    wrapper.template = {x: frozenset(h) for x, h in template.items()}
+    wrapper.choose(ref.page, dominant)
+    return [apply(p, ref, wrapper) for p in pages]
+
+
+def _rows(batch: pa.RecordBatch, *names: str) -> Iterator[tuple]:
+    return zip(*(batch.column(batch.schema.get_field_index(n)) for n in names))
+
+
+class _References:
+    """The references of the hosts met last, parsed."""
+
+    def __init__(self, most: int = 256):
+        self.held: dict[str, object] = {}
+        self.most = most
+
+    def get(self, host: str, make):
+        if host not in self.held:
+            if len(self.held) >= self.most:
+                self.held.clear()
+            self.held[host] = make()
+        return self.held[host]
+
+
+def references(rows: DataFrame, least_pages: int = LEAST_PAGES) -> DataFrame:
+    """host, reference: of each host a page with the median number of tags, that with the smallest hash."""
+    tags = F.length("html") - F.length(F.replace("html", F.lit("<"), F.lit("")))
+    slim = staged(rows.select("host", tags.alias("tags"), F.xxhash64("html").alias("hash")), "page-sizes")
+    middle = slim.groupBy("host").agg(F.floor(F.percentile("tags", F.lit(0.5))).alias("median"), F.count_distinct("hash").alias("pages"))
+    middle = middle.where(F.col("pages") >= least_pages)  # copies of pages never make three different ones
+    near = slim.join(middle, "host").groupBy("host").agg(F.min(F.struct(F.abs(F.col("tags") - F.col("median")), "hash")).alias("m"))
+    picked = near.select(F.col("host").alias("of"), F.col("m.hash").alias("is"))
+    found = rows.join(picked, (F.col("host") == F.col("of")) & (F.xxhash64("html") == F.col("is")))
+    return staged(found.groupBy("host").agg(F.min("html").alias("reference")), "references")
+
+
+def _small(df: DataFrame, size: Column, bound: int) -> DataFrame:
+    """Marked for a broadcast if all of it has at most so many bytes; else joined by sorting, where skewed hosts are split."""
+    total = df.agg(F.sum(size).alias("n")).first().n or 0
+    return F.broadcast(df) if total <= bound else df
+
+
+def wrappers(rows: DataFrame, refs: DataFrame, constant: float = CONSTANT, least_pages: int = LEAST_PAGES) -> DataFrame:
+    """host, nodes: (node, weight, template text hashes) of hosts of at least so many different pages."""
+    schema = "host string, node int, text long, page long, prose long"
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        refs = _References()
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                out: list[tuple] = []
+                for host, ref, html in _rows(batch.slice(at, 512), "host", "reference", "html"):
+                    name = host.as_py()
+                    reference = refs.get(name, lambda: Reference(ref.as_py()))  # noqa: B023
+                    out += [(name, *row) for row in set(observe(reference, html.as_py()))]
+                if out:
+                    types = (pa.string(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), types)], names=["host", "node", "text", "page", "prose"])
+
+    seen = rows.select("host", "html").join(refs, "host").select("host", "reference", "html").mapInArrow(run, schema)
+    # Copies of a page and repeated texts of one page count once.
+    seen = staged(seen.groupBy("host", "node", "text", "page").agg(F.min("prose").alias("prose")), "page-texts")
+    hosts = seen.groupBy("host").agg(F.count_distinct("page").alias("pages")).where(F.col("pages") >= least_pages)
+    texts = seen.groupBy("host", "node", "text").agg(F.count("*").alias("times"), F.min("prose").alias("prose")).join(hosts, "host")
+    common = F.col("times") >= F.greatest(F.lit(least_pages), F.col("pages") * constant)
+    # A node has at most 1 / constant times the texts of a page as template.
+    nodes = texts.groupBy("host", "node").agg(F.sum(F.when(~common, F.col("times") * F.col("prose")).otherwise(0)).alias("weight"), F.collect_list(F.when(common, F.col("text"))).alias("template"))
+    return staged(nodes.groupBy("host").agg(F.collect_list(F.struct("node", "weight", "template")).alias("nodes")), "wrappers")
+
+
+def main_text(pages: DataFrame, constant: float = CONSTANT, least_pages: int = LEAST_PAGES, dominant: float = DOMINANT, max_broadcast: int = 32 << 20) -> DataFrame:
+    """page_id, url, text, n_chars; one row for each page.
+
+    References and wrappers are broadcast while all of them have at most max_broadcast bytes.
+    """
+    host = F.lower(F.regexp_extract(F.coalesce(F.col("url").cast("string"), F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://([^/:?#]*)", 1))
+    rows = pages.select(
+        F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), host.alias("host"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html")
+    )
+    refs = references(rows, least_pages)
+    learnt = wrappers(rows, _small(refs, F.length("reference"), max_broadcast), constant, least_pages)
+    learnt = learnt.join(refs, "host").select(F.col("host").alias("of"), "reference", "nodes")
+    size = F.length("reference") + F.aggregate("nodes", F.lit(0), lambda n, x: n + 16 + 8 * F.size(x["template"]))
+    both = rows.join(_small(learnt, size, max_broadcast), F.col("host") == F.col("of"), "left").select("page_id", "url", "html", "host", "reference", "nodes")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = _References()
+
+        def wrapper(ref: pa.Scalar, nodes: pa.Scalar) -> tuple[Reference, Wrapper]:
+            reference, w = Reference(ref.as_py()), Wrapper()
+            for n in nodes.as_py():
+                w.weight[n["node"]], w.template[n["node"]] = n["weight"], frozenset(n["template"])
+            return reference, w.choose(reference.page, dominant)
+
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                texts = []
+                for html, host, ref, nodes in _rows(part, "html", "host", "reference", "nodes"):
+                    found = known.get(host.as_py(), lambda: wrapper(ref, nodes)) if ref.is_valid else (None, None)  # noqa: B023
+                    texts.append(apply(html.as_py(), *found))
+                columns = [part.column(0), part.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())]
+                yield pa.RecordBatch.from_arrays(columns, names=["page_id", "url", "text", "n_chars"])
+
+    return both.mapInArrow(run, "page_id long, url string, text string, n_chars long")

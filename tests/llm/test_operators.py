@@ -1,6 +1,7 @@
 """Operators against plain versions, on small tables with odd rows."""
 
 import random
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -311,6 +312,64 @@ def test_html_deep_trees(spark):
     assert p.texts == ["one", "two", "three"] and [n.label for n in html._listed(p.root)] == ["#root", "div", "b", "div"]
 
 
+def _page(k, rng):
+    """A page without any telling tag or name: menu, advert, article and footer in plain blocks, all of them varying."""
+    link = "".join(f"<div><a href=/{w}>{w}</a></div>" for w in words(rng, 6).split())
+    paragraphs = [words(rng, rng.randint(20, 60)) for _ in range(rng.randint(1, 6))]
+    body = f"<h1>{words(rng, 6)}</h1>" + "".join(f"<p>{t}" for t in paragraphs)
+    return f"<body><div>{link}</div><div>{words(rng, 8)}</div><div>{body}</div><div>Imprint of this site {words(rng, 9)}</div></body>", body.count("<p>") + 1
+
+
+def test_html_induction_decides():
+    rng = random.Random(11)
+    pages = [_page(k, rng) for k in range(12)]
+    with_, without = html.extract([h for h, _ in pages]), html.extract([h for h, _ in pages], least_pages=10**9)
+    assert all(len(t.split("\n\n")) == n and "Imprint" not in t for t, (_, n) in zip(with_, pages))
+    assert all("Imprint" in t and a != t for t, a in zip(without, with_))
+
+
+def test_html_chunks_see_one_host(spark):
+    """A host dealt over many partitions has one wrapper; copies, repeated rows, NULLs and other columns change nothing."""
+    rng = random.Random(12)
+    pages = [_page(k, rng)[0] for k in range(40)]
+    rows = [(k, "http://a.example/" + str(k), h, "x", "y", 1) for k, h in enumerate(pages)] + [(0, "http://a.example/0", pages[0], "x", "y", 1)] * 30 + [(None, "HTTP://A.example/9", pages[9], None, None, None)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string, host string, text string, node int")
+    got = html.main_text(df.repartition(9)).collect()
+    want = dict(enumerate(html.extract(pages)))
+    assert len(got) == len(rows) and all(r.text == want[9 if r.page_id is None else r.page_id] for r in got)
+    assert sorted((r.page_id, r.text) for r in html.main_text(df.where("page_id is not null"), max_broadcast=0).collect()) == sorted((r.page_id, r.text) for r in got if r.page_id is not None)
+    assert html.main_text(df.where("false")).count() == 0
+
+
+@pytest.mark.parametrize("junk", ["<div>" * 60_000, "<a " * 300_000, "<" + "a" * 1_000_000, "<a \">" * 40_000, "<p><b>" * 20_000, "<nav>" + "<b>" * 9_000 + "<div></div>" * 9_000 + "</nav>", "&" * 500_000])
+def test_html_pages_in_linear_time(junk):
+    began = time.perf_counter()
+    page = html.Page(junk + "<p>end</p>")
+    assert page.root.count and time.perf_counter() - began < 15
+
+
+def test_tree_matching_agrees_with_plain_recursion():
+    def plain(a, b):
+        if a.label != b.label:
+            return 0
+        m = [[0] * (len(b.children) + 1) for _ in range(len(a.children) + 1)]
+        for i, x in enumerate(a.children):
+            for j, y in enumerate(b.children):
+                m[i + 1][j + 1] = max(m[i][j + 1], m[i + 1][j], m[i][j] + plain(x, y))
+        return m[-1][-1] + 1
+
+    rng = random.Random(13)
+
+    def grown(depth):
+        tag = rng.choice(["div", "ul", "section"])
+        return f"<{tag}>{''.join(grown(depth - 1) for _ in range(rng.randint(0, 3) if depth else 0))}</{tag}>"
+
+    for _ in range(200):
+        p, q = html.Page(grown(4)), html.Page(grown(4))
+        size, pairs = html.match(p.root, q.root)
+        assert size == len(pairs) == plain(p.root, q.root)
+
+
 def test_tree_matching():
     p = html.Page("<div><p>a</p><ul><li>1<li>2</ul></div>")
     q = html.Page("<div><h2>x</h2><p>a</p><ul><li>1</ul></div>")
