@@ -1,8 +1,11 @@
 """Licence scans with a positional index of rare tokens.
 
-The index holds, for each licence template and each one-line notice that names a licence, the rarest word (by document frequency over the whole corpus) of its mandatory key phrase and
-the position where it stands.  Every place of such a word in a document is verified: the key phrase must stand there,
-and the share of the words of the template or notice found in order around it is the score.  Short phrases of their own are counted exactly.
+The index holds postings (form, position) of the rarest words, by document frequency over the whole corpus, of every licence template and every one-line notice that
+names a licence: two words of its mandatory key phrase.  In a document each place of an indexed word says, by its postings, where a form would begin.
+The beginnings that the postings of a form's rare words have in common are those by relative position; there the key phrase is verified as a whole, and the share of
+the words of the form found in order around it is the score.  Short phrases of their own are counted exactly.
+
+A form without its key phrase does not count, and the indexed words are of that phrase, so intersecting loses nothing: every place of every form is verified.
 
 Edge cases: NULL and empty texts have no words, no labels and score 0; repeated rows are scanned each by itself; an empty table gives an empty
 result; other columns are ignored.
@@ -55,41 +58,50 @@ def words_of(text: str | None) -> list[bytes]:
 
 
 class Index:
-    """Postings of one word for each template and notice: the rarest of its key phrase.
-
-    The phrase is mandatory, so wherever a text stands that word does too: each place of it is looked at, and none is missed.
-    """
+    """Postings (form, position in it) of the rarest words of each key phrase."""
 
-    def __init__(self, df: dict[str, int], n_docs: int, least: float = 0.6):
+    def __init__(self, df: dict[str, int], n_docs: int, least: float = 0.6, rare: int = 2):
         self.idf = {w: math.log((1 + n_docs) / (1 + df.get(w.decode(), 0))) for _, t, _ in FORMS for w in t.encode().split()}
-        self.forms: list[tuple[str, dict[bytes, int], int, list[bytes]]] = []
+        self.forms: list[tuple[str, dict[bytes, int], int, list[bytes], int]] = []
         self.postings: dict[bytes, list[tuple[int, int]]] = defaultdict(list)
         for f, (label, t, key) in enumerate(FORMS):
             ws, k = t.encode().split(), key.encode().split()
-            self.forms.append((label, _masks(ws), len(ws), k))
-            at = max(range(len(k)), key=lambda i: (self.idf[k[i]], k[i]))
-            self.postings[k[at]].append((f, at))
-        self.anchors = frozenset(self.postings)
+            picked = sorted(range(len(k)), key=lambda i: (-self.idf[k[i]], i))[:rare]
+            self.forms.append((label, _masks(ws), len(ws), k, len(picked)))
+            for at in picked:
+                self.postings[k[at]].append((f, at))
+        self.indexed = frozenset(self.postings)
         self.least = least
 
-    def match(self, ws: list[bytes]) -> dict[str, float]:
-        """Score of each label of which a text is verified."""
-        out: dict[str, float] = {}
-        for w in self.anchors.intersection(ws):
+    def begins(self, ws: list[bytes]) -> dict[int, list[int]]:
+        """Places where the rare words of a form's key phrase all stand as far from each other as in it."""
+        votes: Counter[tuple[int, int]] = Counter()
+        for w in self.indexed.intersection(ws):
             i = -1
             for _ in range(ws.count(w)):
                 i = ws.index(w, i + 1)
-                for f, at in self.postings[w]:
-                    label, _, _, key = self.forms[f]
-                    if out.get(label, 0) < 1 and i >= at and ws[i - at : i - at + len(key)] == key:
-                        score = self._score(f, ws, i - at, out.get(label, 0.0))
-                        if score >= self.least:
-                            out[label] = score
+                votes.update((f, i - at) for f, at in self.postings[w] if i >= at)
+        out: dict[int, list[int]] = defaultdict(list)
+        for (f, at), n in votes.items():
+            if n == self.forms[f][4]:
+                out[f].append(at)
+        return out
+
+    def match(self, ws: list[bytes]) -> dict[str, float]:
+        """Score of each label of which a text is verified."""
+        out: dict[str, float] = {}
+        for f, places in self.begins(ws).items():
+            label, _, _, key, _ = self.forms[f]
+            for at in places:
+                if out.get(label, 0) < 1 and ws[at : at + len(key)] == key:
+                    score = self._score(f, ws, at, out.get(label, 0.0))
+                    if score >= self.least:
+                        out[label] = score
         return out
 
     def _score(self, f: int, ws: list[bytes], at: int, known: float) -> float:
         """Best share of a text's words in order in a stretch, longer by 6 words, that holds the key phrase at this place."""
-        _, masks, n, key = self.forms[f]
+        _, masks, n, key, _ = self.forms[f]
         width = n + 6
         first = max(0, at + len(key) - width)
         # No stretch has more than all of them together.

@@ -1,6 +1,7 @@
 """Operators against plain versions, on small tables with odd rows."""
 
 import random
+import re
 import time
 import zlib
 from collections import Counter, defaultdict
@@ -73,6 +74,71 @@ def test_pii(docs, texts, empty):
     assert pii.digest(pii.scan(empty)).count() == 0
 
 
+def test_pii_own_kinds(spark):
+    """Account numbers and credentials against plain loops over every start."""
+    rng = random.Random(15)
+
+    def iban(country, body):
+        rest = int("".join(str(int(c, 36)) for c in body + country + "00")) % 97
+        return f"{country}{98 - rest:02d}{body}"
+
+    made = []
+    for i in range(120):
+        good = iban(rng.choice(["GB", "DE", "FR"]), "".join(rng.choices("ABCDEFGH0123456789", k=rng.randint(11, 30))))
+        good = " ".join(good[k : k + 4] for k in range(0, len(good), 4)) if i % 3 == 0 else good
+        bad = good[:-1] + ("1" if good[-1] != "1" else "2") if i % 4 == 0 else good
+        key = "".join(rng.choices("abcdefXYZ_-0123456789", k=rng.randint(20, 40)))
+        made.append(f"{rng.choice(['konto', 'um', '🙂 é'])} {bad} {rng.choice(['token=', 'was ', 'api key: ', 'x'])}{key}. {rng.choice(['', 'a@b.co '])}{rng.choice(['secret', 'nix'])} {key[::-1]}!")
+
+    def plain(t):
+        found = set()
+        for m in re.finditer(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", t):
+            s = m.group().replace(" ", "")
+            if 15 <= len(s) <= 34 and int("".join(str(int(c, 36)) for c in s[4:] + s[:4])) % 97 == 1:
+                found.add(f"iban:{m.start()}:{m.end()}")
+        for m in re.finditer(r"(?<![A-Za-z0-9_-])[A-Za-z0-9_-]{24,}", t):
+            if re.search("[0-9]", m.group()) and re.search("token|key|secret|passw|credential|auth", t[max(0, m.start() - 30) : m.start()].lower()):
+                found.add(f"key:{m.start()}:{m.end()}")
+        return found
+
+    df = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string")
+    got = {r.doc_id: {x for x in r.spans.split(",") if x.startswith(("iban", "key"))} for r in pii.digest(pii.scan(df)).collect()}
+    assert got == {i: plain(t) for i, t in enumerate(made)}
+    assert {x.split(":")[0] for v in got.values() for x in v} == {"iban", "key"}
+
+
+def test_pii_in_very_long_texts(spark):
+    """A megabyte of addresses takes seconds."""
+    n = 60_000
+    text = "".join(f"u{i % 10}@b.co é " for i in range(n))
+    df = spark.createDataFrame([(1, text), (2, "mail a@b.co"), (None, "+1 234 567 8901 a@b.co"), (None, None)], "doc_id long, text string")
+    began = time.perf_counter()
+    got = {r.doc_id: r for r in pii.digest(pii.scan(df.where("doc_id is not null"))).collect()}
+    assert got[1].n_email == n and got[1].spans.startswith("email:0:7,email:10:17,") and got[1].spans.endswith(f"email:{10 * n - 10}:{10 * n - 3}")
+    clean = pii.redact(df.where("doc_id = 1")).first().text
+    assert clean == "<email> é " * n
+    assert time.perf_counter() - began < 60
+    assert sorted(r.n_email for r in pii.digest(pii.scan(df)).where("doc_id is null").collect()) == [0, 1]
+
+
+def test_redaction_by_chunks(spark):
+    """Overlapping spans and pieces that cross many chunks, against a plain loop."""
+    rng = random.Random(16)
+    rows = []
+    for i in range(60):
+        parts = [rng.choice(["a@b.co", "+49 (30) 123456789 10.1.1.1", "4111 1111 1111 1111", "🙂é " * rng.randint(0, 700), "x" * rng.randint(0, 3000), "\n", " 10.0.0.1.2.3.4 "]) for _ in range(rng.randint(0, 12))]
+        rows.append((i, " ".join(parts)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    spans = {r.doc_id: r.spans for r in pii.scan(df).select("doc_id", "spans").collect()}
+    for r in pii.redact(df).collect():
+        text, out, pos = rows[r.doc_id][1], "", 0
+        for x in spans[r.doc_id]:
+            if x.s >= pos:
+                out += text[pos : x.s] + f"<{x.kind}>"
+            pos = max(pos, x.e)
+        assert r.text == out + text[pos:]
+
+
 def test_long_digit_runs_and_redaction(spark):
     long_ = "1 2 3 " * 20_000 + "a" * 50_000
     df = spark.createDataFrame([(1, long_, 5, "k"), (2, "write a@b.co now", 16, "k"), (3, None, 0, "k")], "doc_id long, text string, n_chars long, spans string")
@@ -134,6 +200,42 @@ def test_one_line_notices(spark):
     assert all(n / len(t.split()) >= 0.6 for _, t, key in licenses.NOTICES for n in [len(key.split())])
 
 
+def test_license_index_misses_no_place():
+    """Every form at every alignment, by a plain loop."""
+    rng = random.Random(14)
+    vocabulary = sorted({w for _, t, _ in licenses.FORMS for w in t.split()})
+    index = licenses.Index({w: rng.randint(0, 50) for w in vocabulary}, 100)
+
+    def plain(ws):
+        out = {}
+        for label, t, key in licenses.FORMS:
+            t, key = t.encode().split(), key.encode().split()
+            for at in range(len(ws) - len(key) + 1):
+                if ws[at : at + len(key)] == key:
+                    for s in range(max(0, at + len(key) - len(t) - 6), at + 1):
+                        b = ws[s : s + len(t) + 6]
+                        row = [0] * (len(t) + 1)
+                        for y in b:
+                            new = [0]
+                            for i, x in enumerate(t):
+                                new.append(row[i] + 1 if x == y else max(new[i], row[i + 1]))
+                            row = new
+                        if row[-1] / len(t) >= 0.6:
+                            out[label] = max(out.get(label, 0), row[-1] / len(t))
+        return out
+
+    for _ in range(150):
+        ws = []
+        for _ in range(rng.randint(1, 4)):
+            form = rng.choice(licenses.FORMS)[1].split()
+            a, b = sorted((rng.randint(0, 3), len(form) - rng.randint(0, 3)))
+            ws += rng.choices(vocabulary, k=rng.randint(0, 6)) + form[a:b]
+            if ws and rng.random() < 0.5:
+                ws[rng.randrange(len(ws))] = "odd"
+        ws = [w.encode() for w in ws]
+        assert index.match(ws) == pytest.approx(plain(ws))
+
+
 def test_packing(docs, texts, empty):
     from tokenizers import Tokenizer
 
