@@ -158,8 +158,26 @@ def test_passages_on_repetitive_bytes(spark):
     rng = random.Random(9)
     rows = [(i, "".join(rng.choice("ab") for _ in range(rng.randint(0, 60))) * rng.randint(1, 8) + "c" * rng.randint(0, 150)) for i in range(40)]
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
-    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in pfp.dedup(df, bits=12).collect()}
-    assert got == brute.passages(rows)
+    for share in (20_000, 3, 0):  # suffix arrays only, both ways, rows only
+        got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in pfp.dedup(df, bits=12, max_share=share).collect()}
+        assert got == brute.passages(rows)
+    with pytest.raises(ValueError):
+        pfp.dedup(df, length=40)
+
+
+def test_suffix_array_of_a_dictionary():
+    """Order, common prefixes and corpus order of ties against plain sorting."""
+    rng = random.Random(17)
+    unit = [bytes(rng.choice(b"ab") for _ in range(130)) for _ in range(4)]
+    pieces = [bytes(rng.choice(b"xyz") for _ in range(rng.randint(0, 20))) + rng.choice(unit)[rng.randint(0, 9) :] + b"\0" * rng.randint(0, 9) for _ in range(40)]
+    doc, at = np.array([rng.randint(0, 9) for _ in pieces]), np.arange(len(pieces)) * 1000
+    sa = pfp.SuffixArray(pieces, doc, at, 100)
+    every = sorted((p[i : i + 100], int(d), int(a) + i) for p, d, a in zip(pieces, doc, at) for i in range(len(p) - 99))
+    times = Counter(w for w, _, _ in every)
+    want = [(d, a) for w, d, a in every if times[w] > 1]
+    assert list(zip(sa.doc[sa.order].tolist(), sa.at[sa.order].tolist())) == want
+    gone = {(d, a) for i, (w, d, a) in enumerate(every) if i and every[i - 1][0] == w}
+    assert {(d, a + i) for d, a, n in zip(*map(np.ndarray.tolist, sa.repeats())) for i in range(n)} == gone
 
 
 def test_licenses(docs, texts, empty):
