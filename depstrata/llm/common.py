@@ -55,6 +55,11 @@ def discard(*tables: DataFrame) -> None:
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def apart(df: DataFrame) -> tuple[list[Column], list[Column]]:
+    """All columns of a table under names that cannot clash, and the way back to their own names."""
+    return [F.col(f"`{c}`").alias(f"own__{i}") for i, c in enumerate(df.columns)], [F.col(f"own__{i}").alias(c) for i, c in enumerate(df.columns)]
+
+
 def words(text: Column) -> Column:
     """Array of the words of a text; empty for NULL."""
     return F.array_remove(F.split(F.coalesce(text, F.lit("")), GAP), "")
