@@ -2,12 +2,13 @@
 
 Bounded-space online best-fit: a fixed number of open bins; a bitset with one bit for each amount of free
 space finds the tightest bin that still takes a piece; when a bin more than allowed would be open, the fullest
-one closes.  Pieces are dealt by hash to groups of bounded size, each packed alone, so that work and memory do
-not depend on the size of the corpus.  In a group the long pieces come first: then the bins that have to close
-early are those that could take next to nothing anyway.
+one closes.  Pieces come as they arrive, through a look-ahead of bounded size from which the longest go first: that fills what short pieces
+in front of long ones would leave open.  Pieces are dealt to groups of bounded size, each packed alone, so that work and memory do
+not depend on the size of the corpus.
 
 Edge cases: a NULL or empty text has no tokens but the closing id 0, hence one piece of length 1.  NULL doc_ids are kept as
-NULL.  Repeated rows are packed each by itself.  An empty table gives an empty result.  Other columns are ignored.
+NULL.  Repeated rows are packed each by itself; groups are dealt by row, so however many rows share a doc_id, or have none, they are spread.  An empty table gives an empty result.
+Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -100,6 +101,11 @@ def pieces(docs: DataFrame, path: str | None = None, limit: int = 2048, closing:
     return two.mapInArrow(cut, "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
+def arrivals(lengths: list[int], look_ahead: int) -> list[int]:
+    """The order in which pieces are placed: those of each look-ahead from the longest down."""
+    return [i for at in range(0, len(lengths), look_ahead) for i in sorted(range(at, min(at + look_ahead, len(lengths))), key=lambda i: (-lengths[i], i))]
+
+
 def best_fit(lengths: list[int], size: int, open_bins: int) -> list[tuple[int, int]]:
     """(bin, offset) for each length, in the order given."""
     free: list[list[int]] = [[] for _ in range(size + 1)]  # bins by free space
@@ -129,19 +135,23 @@ def best_fit(lengths: list[int], size: int, open_bins: int) -> list[tuple[int, i
     return out
 
 
-def pack(table: DataFrame, size: int = 2048, open_bins: int = 2048, group_rows: int = 4096) -> DataFrame:
+def pack(table: DataFrame, size: int = 2048, open_bins: int = 64, look_ahead: int = 256, group_rows: int = 16_384) -> DataFrame:
     """Add sequence_id and offset to the pieces."""
-    table = staged(table, "pieces")
+    table = staged(table.withColumn("row", F.monotonically_increasing_id()), "pieces")
     groups = max(1, round(table.count() / group_rows))
 
     def place(t: pa.Table) -> pa.Table:
-        t = t.sort_by([("length", "descending"), ("doc_id", "ascending"), ("piece", "ascending")])
-        where = best_fit(t.column("length").to_pylist(), size, open_bins)
+        t = t.sort_by("row")
+        lengths = t.column("length").to_pylist()
+        order = arrivals(lengths, look_ahead)
+        where: list[tuple[int, int]] = [(0, 0)] * len(lengths)
+        for i, at in zip(order, best_fit([lengths[i] for i in order], size, open_bins)):
+            where[i] = at
         first = (t.column("group")[0].as_py() if t.num_rows else 0) << 32
-        t = t.drop_columns(["group"])
+        t = t.drop_columns(["group", "row"])
         t = t.append_column("sequence_id", pa.array([first + b for b, _ in where], pa.int64()))
         return t.append_column("offset", pa.array([o for _, o in where], pa.int64()))
 
-    dealt = table.withColumn("group", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(groups)))
+    dealt = table.withColumn("group", F.pmod(F.xxhash64("row"), F.lit(groups)))
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long"
     return dealt.groupBy("group").applyInArrow(place, schema)
