@@ -7,7 +7,8 @@ Documents duel in chunks of bounded size; each leaves one fraction at most, and
 until one a source is left, which is rounded at random.  Draws come from a hash of the ids: reruns agree.
 
 Edge cases: a NULL text has size 0; a NULL source is a source of its own, the last; a source of size 0 has target 0 and its documents are
-taken 0 times; repeated rows are separate documents; an empty table gives an empty result; other columns stay aside.
+taken 0 times; repeated rows and rows without a doc_id are separate documents, and a chunk that they fill too much is dealt anew by row; an
+empty table gives an empty result; other columns stay aside.
 """
 
 from __future__ import annotations
@@ -20,9 +21,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from depstrata.llm.common import WORD, staged
+from depstrata.llm.common import WORD, apart, staged
 
-_ROWS = "doc_id long, source string, size long, source_size long, target double, chunk long, chunks long, whole int, part double, copies int"
+_ROWS = "doc_id long, th long, source string, size long, source_size long, target double, chunk long, chunks long, whole int, part double, copies int"
 
 
 def targets(sizes: dict[str | None, int], weights: Sequence[int] = (5, 2, 1), most: int = 3) -> dict[str | None, float]:
@@ -40,9 +41,36 @@ def targets(sizes: dict[str | None, int], weights: Sequence[int] = (5, 2, 1), mo
     return {s: float(x) for s, x in out.items()}
 
 
+def many_targets(found: DataFrame, weights: Sequence[int], most: int) -> DataFrame:
+    """s, target: targets() of sources (source, n) that are too many for the driver; each round of capping is an aggregation."""
+    ordered = staged(found.select("source", "n").orderBy(F.asc_nulls_last("source")).withColumn("at", F.monotonically_increasing_id()), "ordered")
+    part = F.shiftright("at", 33)
+    counts = sorted((r.p, r["count"]) for r in ordered.groupBy(part.alias("p")).count().collect())  # a row for each partition
+    before, rows = 0, []
+    for p, k in counts:
+        rows.append((p, before))
+        before += k
+    offset = F.broadcast(found.sparkSession.createDataFrame(rows, "p long, before long"))
+    place = F.col("before") + F.col("at").bitwiseAND((1 << 33) - 1)
+    own = ordered.join(offset, part == F.col("p")).withColumn("w", F.get(F.array(*map(F.lit, weights)), (place % len(weights)).cast("int")))
+    own = staged(own.select(F.col("source").alias("s"), "n", "w", F.lit(None).cast("double").alias("target")), "weighed")
+    left = float(own.agg(F.sum("n").alias("n")).first().n or 0)
+    while True:
+        total = own.where("target is null").agg(F.sum("w").alias("w")).first().w
+        if not total:
+            return own.select("s", "target")
+        share, cap = F.lit(left) * F.col("w") / F.lit(float(total)), most * F.col("n").cast("double")
+        over = F.col("target").isNull() & (share > cap)
+        taken = own.where(over).agg(F.sum(cap).alias("n")).first().n
+        if taken is None:
+            return own.select("s", F.coalesce("target", share).alias("target"))
+        own = staged(own.withColumn("target", F.when(over, cap).otherwise(F.col("target"))), "weighed")
+        left -= taken
+
+
 def duel(t: pa.Table, last: bool) -> pa.Table:
     """Round all fractions of one chunk but one; that one too if last."""
-    t = t.sort_by([("size", "descending"), ("doc_id", "ascending")])
+    t = t.sort_by([("size", "descending"), ("doc_id", "ascending"), ("th", "ascending")])
     parts, whole = t.column("part").to_pylist(), t.column("whole").to_pylist()
     ids = t.column("doc_id").to_pylist()
     draw = random.Random(f"{ids[0]}:{ids[-1]}:{len(ids)}:{last}").random if ids else None
@@ -77,29 +105,45 @@ def _duels(last: bool):
 
 def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), most: int = 3, chunk_rows: int = 2048, fan: int = 64, max_broadcast: int = 100_000) -> DataFrame:
     """doc_id, source, size, source_size, target, copies, taken; one row for each document."""
+    return mixed(docs, weights, most, chunk_rows, fan, max_broadcast).drop("th")
+
+
+def mixed(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), most: int = 3, chunk_rows: int = 2048, fan: int = 64, max_broadcast: int = 100_000) -> DataFrame:
+    """The rows of mix(), and th, a hash of the text."""
     spark = docs.sparkSession
     sized = staged(
         docs.select(
             F.col("doc_id").cast("long").alias("doc_id"),
             F.col("source").cast("string").alias("source"),
             F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"),
+            F.xxhash64(F.col("text").cast("string")).alias("th"),
         ),
         "sized",
     )
-    # One row for each source: the number of sources, not of documents.
-    found = sized.groupBy("source").agg(F.sum("size").alias("n"), F.count("*").alias("rows")).collect()
-    if not found:
-        return sized.selectExpr("doc_id", "source", "size", "0L source_size", "0D target", "0 copies", "0L taken")
-    goal = targets({r.source: r.n for r in found}, weights, most)
-    table = []
-    for r in found:
-        rate = min(float(most), goal[r.source] / r.n) if r.n else 0.0
-        table.append((r.source, r.n, goal[r.source], -(-r.rows // chunk_rows), int(rate), rate - int(rate)))
-    sources = spark.createDataFrame(table, "s string, source_size long, target double, chunks long, whole int, part double")
-    sources = F.broadcast(sources) if len(table) <= max_broadcast else sources
-    rows = sized.join(sources, F.col("source").eqNullSafe(F.col("s"))).withColumn("chunk", F.pmod(F.xxhash64("doc_id", F.lit(17)), "chunks"))
+    found = staged(sized.groupBy("source").agg(F.sum("size").alias("n"), F.count("*").alias("rows")), "sources")
+    n_sources = found.count()
+    if not n_sources:
+        return sized.selectExpr("doc_id", "th", "source", "size", "0L source_size", "0D target", "0 copies", "0L taken")
+    if n_sources <= max_broadcast:
+        goal = targets({r.source: r.n for r in found.select("source", "n").collect()}, weights, most)
+        goals = spark.createDataFrame(list(goal.items()), "s string, target double")
+    else:
+        goals = many_targets(found, weights, most)
+    sources = found.join(goals, F.col("source").eqNullSafe(F.col("s")))
+    rate = F.when(F.col("n") > 0, F.least(F.lit(float(most)), F.try_divide("target", "n"))).otherwise(0.0)
+    sources = sources.select("s", F.col("n").alias("source_size"), "target", F.ceil(F.col("rows") / chunk_rows).cast("long").alias("chunks"), F.floor(rate).cast("int").alias("whole"), (rate - F.floor(rate)).alias("part"))
+    sources = staged(sources, "targets")
+    widest = sources.agg(F.max("chunks").alias("n")).first().n
+    sources = F.broadcast(sources) if n_sources <= max_broadcast else sources
+    rows = sized.join(sources, F.col("source").eqNullSafe(F.col("s"))).withColumn("chunk", F.pmod(F.xxhash64("doc_id", "th", F.lit(17)), "chunks"))
+    # Rows that are alike land in one chunk: where they are too many they are spread over all chunks of their source.
+    full = staged(rows.groupBy(F.col("source").alias("fs"), F.col("chunk").alias("fc")).count().where(F.col("count") > 4 * chunk_rows).drop("count"), "full-chunks")
+    if full.limit(1).count():
+        full = F.broadcast(full) if full.count() <= max_broadcast else full
+        rows = rows.join(full, F.col("source").eqNullSafe(F.col("fs")) & (F.col("chunk") == F.col("fc")), "left")
+        rows = rows.withColumn("chunk", F.when(F.col("fc").isNotNull(), F.pmod(F.xxhash64(F.monotonically_increasing_id()), "chunks")).otherwise(F.col("chunk")))
     rows = rows.withColumn("copies", F.lit(None).cast("int")).select(*[c.split()[0] for c in _ROWS.split(", ")])
-    done, widest = [], max(t[3] for t in table)
+    done = []
     while True:
         last = widest == 1
         rows = rows.groupBy("source", "chunk").applyInArrow(_duels(last), _ROWS)
@@ -113,12 +157,14 @@ def mix(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), most: int = 3, chun
     out = done[0]
     for x in done[1:]:
         out = out.unionByName(x)
-    return out.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+    return out.select("doc_id", "th", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
 
 
 def repeat(docs: DataFrame, **how) -> DataFrame:
-    """Each document as often as the mix takes it, with the columns it has; rows with a NULL doc_id stay once."""
-    taken = mix(docs.where("doc_id is not null"), **how).groupBy(F.col("doc_id").alias("mix__id")).agg(F.sum("copies").cast("int").alias("mix__copies"))
-    known = docs.where("doc_id is not null").dropDuplicates(["doc_id"]).join(taken.where("mix__copies > 0"), F.col("doc_id") == F.col("mix__id"))
-    again = known.select(*docs.columns, F.explode(F.array_repeat(F.lit(0), F.col("mix__copies"))).alias("mix__n")).select(*docs.columns)
-    return again.unionByName(docs.where("doc_id is null"))
+    """Each document as often as the mix takes it, with the columns it has; documents are told apart by doc_id, source and text."""
+    taken = mixed(docs, **how).groupBy(F.col("doc_id").alias("mix__id"), F.col("th").alias("mix__th"), F.col("source").alias("mix__of")).agg(F.sum("copies").cast("int").alias("mix__copies"))
+    key = {"d": F.col("doc_id").cast("long"), "t": F.xxhash64(F.col("text").cast("string")), "s": F.col("source").cast("string")}
+    own, back = apart(docs)
+    known = docs.select(*own, *[c.alias(n) for n, c in key.items()]).dropDuplicates(list(key))
+    known = known.join(taken.where("mix__copies > 0"), F.col("d").eqNullSafe(F.col("mix__id")) & (F.col("t") == F.col("mix__th")) & F.col("s").eqNullSafe(F.col("mix__of")))
+    return known.select(*back, F.explode(F.array_repeat(F.lit(0), F.col("mix__copies"))).alias("mix__n")).select(*[F.col(f"`{c}`") for c in docs.columns])
