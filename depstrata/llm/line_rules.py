@@ -2,7 +2,7 @@
 
 A line is lower-cased, its white space folded and its digit runs made one 0, then hashed.  For each host (here the
 column source) the distinct documents that hold a line are counted; documents with one and the same text count as one.  Lines in more documents than the limit
-(an absolute floor and a share of the host's documents) are removed, and a document that keeps too few words, or
+(an absolute floor and a share of the host's distinct documents) are removed, and a document that keeps too few words, or
 too small a share of them, is rejected.  Rules on single texts (base_failed) come first.
 
 Edge cases: NULL or empty texts have no words, hence fail; a NULL source is a host of its own; repeated rows are judged each
@@ -64,7 +64,7 @@ def frequent_lines(rows: DataFrame, floor: int = 20, share: float = 0.01) -> Dat
     """(host, h) of the lines above the limit.  A host has at most 1 / share times its mean number of lines a document of them."""
     each = rows.select("host", "text_hash", F.explode(F.array_distinct(F.col("lines.h"))).alias("h")).distinct()
     counts = each.groupBy("host", "h").count().where(F.col("count") > floor)
-    hosts = rows.groupBy("host").agg(F.count("*").alias("n_docs")).withColumnRenamed("host", "of")
+    hosts = rows.select("host", "text_hash").distinct().groupBy("host").agg(F.count("*").alias("n_docs")).withColumnRenamed("host", "of")
     return counts.join(hosts, F.col("host").eqNullSafe(F.col("of"))).where(F.col("count") > share * F.col("n_docs")).select("host", "h")
 
 

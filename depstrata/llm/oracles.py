@@ -16,7 +16,7 @@ k as (select id, i, ws[i:i+4] as x from g), m as (select id, i, count(*) over (p
 p as (select id, count(distinct i + j) as n_repeat from (select id, i, unnest([0, 1, 2, 3, 4]) as j from m where n > 1) group by id),
 l as (select id, source, text, unnest(ls) as line from w),
 h as (select id, source, text, lower(regexp_replace(array_to_string(regexp_extract_all(line, '{_W}'), ' '), '[0-9]+', '0', 'g')) as h, len(regexp_extract_all(line, '{_W}')) as n from l),
-f as (select source, h from h group by source, h having count(distinct text) > 20 and count(distinct text) > 0.01 * (select count(*) from d where d.source is not distinct from h.source)),
+f as (select source, h from h group by source, h having count(distinct text) > 20 and count(distinct text) > 0.01 * (select count(distinct text) from d where d.source is not distinct from h.source)),
 r as (select h.id, sum(h.n) as gone from h join f on h.h = f.h and h.source is not distinct from f.source group by h.id),
 b as (select doc_id, len(ws)::bigint as n_words, coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0)::bigint as word_chars, len(regexp_extract_all(text, '[#*$%&|<>]'))::bigint as n_symbols,
  (len(ls) - len(list_distinct(ls)))::bigint as n_dup_lines, coalesce(n_repeat, 0)::bigint as n_repeat_words, coalesce(gone, 0)::bigint as n_removed_words from w left join p using (id) left join r using (id))
