@@ -158,7 +158,7 @@ def train(docs: DataFrame, labels: DataFrame, max_train: int = 20_000, **how) ->
     """Fit on the labelled rows that are not held out, max_train of them at most."""
     picked = (
         labels.select(F.col("doc_id").cast("long").alias("id"), F.col("quality").cast("int").alias("y"))
-        .where("id is not null and y is not null").where(~held_out(F.col("id")))
+        .where("id is not null and y is not null").where(~held_out(F.col("id"))).distinct()
         .orderBy(F.xxhash64("id"), "id", "y").limit(max_train)
     )
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -169,7 +169,8 @@ def train(docs: DataFrame, labels: DataFrame, max_train: int = 20_000, **how) ->
             x = [features(t) for t in batch.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(x, pa.list_(pa.float64()))], names=["doc_id", "y", "x"])
 
-    got = rows.mapInArrow(measure, "doc_id long, y int, x array<double>").toPandas()
+    # Rows that share a doc_id and a label count once, so no more than max_train rows come to the driver.
+    got = rows.mapInArrow(measure, "doc_id long, y int, x array<double>").groupBy("doc_id", "y").agg(F.min("x").alias("x")).toPandas()
     if not len(got):
         return fit(np.zeros((0, len(FEATURES))), np.zeros(0))
     x = np.stack(got["x"].to_numpy())
