@@ -19,7 +19,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from depstrata.llm.common import held
+from depstrata.llm.common import apart, held
 
 # Patterns, and words before a match that speak for it.
 PATTERNS = {
@@ -151,7 +151,8 @@ def digest(found: DataFrame) -> DataFrame:
 def redact(docs: DataFrame) -> DataFrame:
     """The same columns, with a mark in place of each span, and n_chars of the new text where there is such a column."""
     columns = docs.columns
-    found = scan(docs.withColumnRenamed("spans", "spans_") if "spans" in columns else docs, tuple("spans_" if c == "spans" else c for c in columns))
+    own = [x for x, c in zip(apart(docs)[0], columns) if c != "text"]
+    found = scan(docs.select(*own, "text"), tuple(f"own__{i}" for i, c in enumerate(columns) if c != "text"))
 
     def between(chunks: Column, a: Column, b: Column) -> Column:
         """Code points a to b."""
@@ -169,7 +170,5 @@ def redact(docs: DataFrame) -> DataFrame:
 
     text = F.when(F.size("spans") > 0, _let(F.regexp_extract_all("text", F.lit(f"(?s).{{1,{_CHUNK}}}+"), F.lit(0)), cleaned)).otherwise(F.col("text"))
     out = held(found, clean=text)
-    if "n_chars" in columns:
-        out = out.withColumn("n_chars", F.length("clean").cast("long"))
-    out = out.drop("spans").withColumn("text", F.col("clean"))
-    return out.select(*[(F.col("spans_").alias("spans") if c == "spans" else F.col(c)) for c in columns])
+    made = {"text": F.col("clean"), "n_chars": F.length("clean").cast("long")}
+    return out.select(*[(made[c] if c in made else F.col(f"own__{i}")).alias(c) for i, c in enumerate(columns)])
