@@ -11,8 +11,11 @@ the triangle inequality of the Jaccard distance tells which pairs may still be l
 met a third one, and a group of copies costs one comparison for each member, not one for each pair.  Links are joined to classes
 by label propagation.
 
-Edge cases: texts without words (NULL, empty, white space) are classes of their own; rows with a NULL doc_id come back with a
-NULL class_id; repeated rows come back as often; an empty table gives an empty result; other columns are ignored.
+Texts have numbers of their own here, so rows that share a doc_id but not a text are documents of their own, and so are rows without a doc_id: no
+text stands in for another.
+
+Edge cases: texts without words (NULL, empty, white space) are classes of their own; the class_id is the smallest doc_id of the class, NULL if none has one;
+repeated rows come back as often; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from depstrata.llm.common import staged
+from depstrata.llm.common import WORD, apart, staged
 
 _U = np.uint64
 #: Plain and weighted similarity differ by less than this where a link is in doubt.
@@ -141,7 +144,7 @@ class Sampler:
 
 
 def signatures(docs: DataFrame, weigher: Weigher, bands: int = 10, rows: int = 3) -> DataFrame:
-    """doc_id, k1, k2 (a 128-bit hash of the words) and the bucket of each band."""
+    """doc_id, th (hash of the text), k1, k2 (a 128-bit hash of the words) and the bucket of each band."""
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
@@ -166,11 +169,11 @@ def signatures(docs: DataFrame, weigher: Weigher, bands: int = 10, rows: int = 3
                     for i in range(rows):
                         b = mix(b * _U(31) + sample[:, i])
                     buckets.append(b.view(np.int64))
-                arrays = [part.column(0), *(pa.array(k, pa.int64()) for k in keys), pa.array(buckets, pa.list_(pa.int64()))]
-                yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "k1", "k2", "buckets"])
+                arrays = [part.column(0), part.column(2), *(pa.array(k, pa.int64()) for k in keys), pa.array(buckets, pa.list_(pa.int64()))]
+                yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "th", "k1", "k2", "buckets"])
 
-    rows_ = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return rows_.mapInArrow(sign, "doc_id long, k1 long, k2 long, buckets array<long>")
+    rows_ = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.xxhash64(F.col("text").cast("string")).alias("th"))
+    return rows_.mapInArrow(sign, "doc_id long, th long, k1 long, k2 long, buckets array<long>")
 
 
 def _compare(pairs: DataFrame, texts: DataFrame, weigher: Weigher, least: float) -> DataFrame:
@@ -259,14 +262,16 @@ def _blocks(left: DataFrame, texts: DataFrame, weigher: Weigher, least: float, b
     return both.groupBy("bucket", "i", "j").applyInArrow(run, "a long, b long, sim double")
 
 
-def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 10, rows: int = 3, rounds: int = 2, block: int = 256) -> DataFrame:
-    """doc_id, class_id: the smallest doc_id of the class; one row for each row of docs."""
+def grouped(docs: DataFrame, least: float = 0.8, bands: int = 10, rows: int = 3, rounds: int = 2, block: int = 256) -> DataFrame:
+    """doc_id, th, and of the first document of the class class_id and class_th; one row for each row of docs."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     weigher = Weigher.of(docs)
     signed = staged(signatures(docs, weigher, bands, rows), "signatures")
-    some = signed.where("doc_id is not null and k1 is not null")
-    # Texts that are equal word for word.
-    same = staged(some.groupBy("k1", "k2").agg(F.min("doc_id").alias("id"), F.min_by("buckets", "doc_id").alias("buckets")), "representatives")
+    some = signed.where("k1 is not null")
+    # Texts that are equal word for word; of each the row with the smallest doc_id.
+    row = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "th")
+    same = some.groupBy("k1", "k2").agg(F.min(row).alias("row"), F.any_value("buckets").alias("buckets"))
+    same = staged(same.withColumn("id", F.monotonically_increasing_id()), "representatives")
     open_ = same.select("id", F.explode("buckets").alias("bucket"))
     met, texts = None, None
     for _ in range(rounds):
@@ -274,8 +279,10 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 10, rows:
         pairs = staged(open_.join(first, "bucket").where("id <> b").select("bucket", F.col("id").alias("a"), "b"), "pairs")
         wanted = pairs.select("a", "b").distinct()
         if texts is None:
-            ids = wanted.select("a").union(wanted.select("b")).distinct().withColumnRenamed("a", "doc_id")
-            texts = staged(docs.join(ids, "doc_id").dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("id"), "text"), "texts")
+            ids = wanted.select("a").union(wanted.select("b")).distinct().withColumnRenamed("a", "id")
+            ids = same.join(ids, "id").select("id", F.col("row.doc_id").alias("d"), F.col("row.th").alias("t"))
+            found = docs.withColumn("th", F.xxhash64("text")).join(ids, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("t")))
+            texts = staged(found.select("id", "text").dropDuplicates(["id"]), "texts")
         sims = staged(_compare(wanted, texts, weigher, least), "similarities")
         # Distances to the first document of the bucket in the first round; later ones only tell who is linked.
         now = pairs.join(sims, ["a", "b"]).select("bucket", "a", "b", "sim", "link")
@@ -290,11 +297,17 @@ def near_duplicates(docs: DataFrame, least: float = 0.8, bands: int = 10, rows:
         more = staged(_blocks(rest, texts, weigher, least, block), "links")
         if more.limit(1).count():
             joined = classes(links.union(more.select("a", "b")))
-    # Back to all rows.
-    of = same.drop("buckets").join(joined, "id", "left").select("k1", "k2", F.coalesce("class_id", "id").alias("class_id"))
-    mine = some.select("doc_id", "k1", "k2").join(of, ["k1", "k2"]).select("doc_id", "class_id")
-    alone = signed.where("doc_id is null or k1 is null").select("doc_id", F.col("doc_id").alias("class_id"))
-    return mine.unionByName(alone)
+    # Back to all rows, by the first row of the class.
+    linked_ = joined.join(same.select("id", "row"), "id")
+    first = linked_.groupBy("class_id").agg(F.min("row").alias("first"))
+    of = same.drop("buckets").join(joined.join(first, "class_id").drop("class_id"), "id", "left").select("k1", "k2", F.coalesce("first", "row").alias("first"))
+    mine = some.select("doc_id", "th", "k1", "k2").join(of, ["k1", "k2"]).select("doc_id", "th", F.col("first.doc_id").alias("class_id"), F.col("first.th").alias("class_th"))
+    return mine.unionByName(signed.where("k1 is null").select("doc_id", "th", F.col("doc_id").alias("class_id"), F.col("th").alias("class_th")))
+
+
+def near_duplicates(docs: DataFrame, **how) -> DataFrame:
+    """doc_id, class_id: the smallest doc_id of the class; one row for each row of docs."""
+    return grouped(docs, **how).select("doc_id", "class_id")
 
 
 def _left(met: DataFrame, joined: DataFrame, least: float) -> DataFrame:
@@ -316,7 +329,11 @@ def _left(met: DataFrame, joined: DataFrame, least: float) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, **how) -> DataFrame:
-    """One row of each class, that of the smallest doc_id; rows with a NULL doc_id stay."""
-    kept = near_duplicates(docs, **how).where("doc_id = class_id").select(F.col("doc_id").alias("kept__id")).distinct()
-    known = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col("kept__id"), "left_semi").dropDuplicates(["doc_id"])
-    return known.unionByName(docs.where("doc_id is null"))
+    """One row of each class, that of the smallest doc_id, with the columns it has; rows without words stay as they are."""
+    first = grouped(docs, **how).select(F.col("class_id").alias("near__id"), F.col("class_th").alias("near__th")).distinct()
+    text = F.col("text").cast("string")
+    worded = F.coalesce(text.rlike(WORD), F.lit(False))
+    own, back = apart(docs)
+    known = docs.where(worded).select(*own, F.col("doc_id").cast("long").alias("d"), F.xxhash64(text).alias("t"))
+    known = known.join(first, F.col("d").eqNullSafe(F.col("near__id")) & (F.col("t") == F.col("near__th")), "left_semi").dropDuplicates(["d", "t"])
+    return known.select(*back).unionByName(docs.where(~worded))
