@@ -17,8 +17,8 @@ of the parse) is needed for first places only, which is a minimum.
 A share of more than max_share phrases, so a trigger that very many different phrases have, is not sorted in one task: its suffixes become rows,
 counted by a hash of 128 bits with partial sums.  Both ways find the same.
 
-Edge cases: NULL and empty texts have 0 bytes; rows with a NULL doc_id are left as they are and make no other row a repeat; repeated rows with one
-doc_id count as one document, which must have one text; texts shorter than length have no window; an empty table
+Edge cases: NULL and empty texts have 0 bytes; rows with a NULL doc_id are left as they are and make no other row a repeat; rows with one doc_id and one text count as
+one document, those with different texts as documents of their own in the order of a hash of their texts; texts shorter than length have no window; an empty table
 gives an empty result; other columns are ignored; lengths from 64 to 150 bytes are possible.
 """
 
@@ -178,6 +178,9 @@ class SuffixArray:
 
     def __init__(self, pieces: list[bytes], doc: np.ndarray, at: np.ndarray, length: int):
         by = np.lexsort([at, doc])
+        if len(by):
+            # A repeated row of one document brings its phrases once more.
+            by = by[np.r_[True, (doc[by][1:] != doc[by][:-1]) | (at[by][1:] != at[by][:-1])]]
         pieces, doc, at = [pieces[i] for i in by], doc[by], at[by]
         size = np.array([len(p) for p in pieces], np.int64)
         b = np.frombuffer(b"".join(pieces), np.uint8)
@@ -308,7 +311,7 @@ def suffixes(docs: DataFrame, wanted: DataFrame, length: int, bits: int) -> Data
 _RUN = 1024
 
 
-def repeats(docs: DataFrame, length: int = 100, bits: int = 26, max_share: int = 20_000) -> DataFrame:
+def repeats(docs: DataFrame, length: int = 100, bits: int = 26, max_share: int = 2_000) -> DataFrame:
     """doc, run: runs of bytes that repeat an earlier window; they may overlap."""
     if not _HALF <= length <= 150:
         raise ValueError("a length from 64 to 150 bytes is possible")
@@ -358,11 +361,22 @@ def _merged(runs: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(start[new].tolist(), end[np.r_[np.nonzero(new)[0][1:] - 1, len(runs) - 1]].tolist()))
 
 
-def dedup(docs: DataFrame, length: int = 100, bits: int = 26, with_bytes: bool = True, max_share: int = 20_000) -> DataFrame:
+def _numbered(docs: DataFrame) -> DataFrame:
+    """The same rows with number: the doc_id, if all rows of one have one text, else numbers in the same order that tell texts apart."""
+    keyed = docs.withColumn("th", F.xxhash64("text"))
+    clash = keyed.where("doc_id is not null").groupBy("doc_id").agg((F.min("th") != F.max("th")).alias("two")).where("two")
+    if not clash.limit(1).count():
+        return docs.withColumn("number", F.col("doc_id"))
+    pairs = keyed.where("doc_id is not null").select(F.col("doc_id").alias("d"), F.col("th").alias("t")).distinct().orderBy("d", "t")
+    pairs = staged(pairs.withColumn("number", F.monotonically_increasing_id()), "numbers")
+    return keyed.join(pairs, (F.col("doc_id") == F.col("d")) & (F.col("th") == F.col("t")), "left").select("doc_id", "text", "number")
+
+
+def dedup(docs: DataFrame, length: int = 100, bits: int = 26, with_bytes: bool = True, max_share: int = 2_000) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, and kept: the bytes that are left (NULL if not with_bytes)."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    runs = repeats(docs, length, bits, max_share).groupBy("doc").agg(F.collect_list("run").alias("runs"))
-    both = docs.join(runs, F.col("doc_id") == F.col("doc"), "left").select("doc_id", "text", "runs")
+    docs = _numbered(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")))
+    runs = repeats(docs.select(F.col("number").alias("doc_id"), "text"), length, bits, max_share).groupBy("doc").agg(F.collect_list("run").alias("runs"))
+    both = docs.join(runs, F.col("number") == F.col("doc"), "left").select("doc_id", "text", "runs")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
