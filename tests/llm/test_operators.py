@@ -158,13 +158,26 @@ def test_passages_on_repetitive_bytes(spark):
     rng = random.Random(9)
     rows = [(i, "".join(rng.choice("ab") for _ in range(rng.randint(0, 60))) * rng.randint(1, 8) + "c" * rng.randint(0, 150)) for i in range(40)]
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
-    for share in (20_000, 3, 0):  # suffix arrays only, both ways, rows only
+    for share in (2_000, 3, 0):  # suffix arrays only, both ways, rows only
         got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in pfp.dedup(df, bits=12, max_share=share).collect()}
         assert got == brute.passages(rows)
     with pytest.raises(ValueError):
         pfp.dedup(df, length=40)
 
 
+def test_passages_with_clashing_and_missing_ids(spark):
+    rng = random.Random(20)
+    shared = words(rng, 60)
+    rows = [(5, "a " + shared), (5, "b " + shared + words(rng, 30)), (5, "a " + shared), (3, shared[:300]), (None, shared), (9, None), (9, "x" * 500), (None, None)]
+    df = spark.createDataFrame([(*r, "k", 1) for r in rows], "doc_id long, text string, doc string, h int").repartition(3)
+    th = dict(df.select("text", F.xxhash64("text")).collect())
+    order = sorted({r for r in rows if r[0] is not None}, key=lambda r: (r[0], th[r[1]]))
+    want = brute.passages([(i, t) for i, (_, t) in enumerate(order)])
+    got = sorted((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in pfp.dedup(df).where("doc_id is not null").collect())
+    assert got == sorted((order[i][0], *want[i]) for r in rows if r[0] is not None for i in [order.index(r)])
+    assert sorted((r.n_bytes, r.n_removed) for r in pfp.dedup(df).where("doc_id is null").collect()) == [(0, 0), (len(shared), 0)]
+
+
 def test_suffix_array_of_a_dictionary():
     """Order, common prefixes and corpus order of ties against plain sorting."""
     rng = random.Random(17)
@@ -276,11 +289,45 @@ def test_packing(docs, texts, empty):
     assert packing.pack(packing.pieces(empty)).count() == 0
 
 
-def test_best_fit_is_tight():
+def test_best_fit_is_tight_and_closes_bins():
     rng = random.Random(1)
-    lengths = sorted((rng.randint(1, 2048) for _ in range(4000)), reverse=True)
-    used = max(b for b, _ in packing.best_fit(lengths, 2048, 2048)) + 1
-    assert used <= 1.02 * sum(lengths) / 2048
+    lengths = [rng.choice([rng.randint(1, 2048), rng.randint(1, 200)]) for _ in range(4000)]
+    order = packing.arrivals(lengths, 256)
+    assert sorted(order) == list(range(4000)) and all(a // 256 <= b // 256 for a, b in zip(order, order[1:]))
+    used = lambda k: max(b for b, _ in packing.best_fit([lengths[i] for i in order], 2048, k)) + 1
+    assert used(64) <= 1.02 * sum(lengths) / 2048
+    assert used(4) > used(64) > used(10**9) - 1  # fewer open bins, more that close early
+
+
+def test_best_fit_takes_the_tightest_open_bin():
+    """Against a plain list of bins."""
+    rng = random.Random(2)
+    for open_bins in (1, 2, 5, 1000):
+        lengths = [rng.randint(1, 100) for _ in range(400)]
+        bins, want, made = [], [], 0
+        for n in lengths:
+            fit = [b for b in bins if b[1] >= n]
+            if fit:
+                least = min(b[1] for b in fit)
+                b = [x for x in fit if x[1] == least][-1]  # of equal ones the last touched
+                bins.remove(b)
+            else:
+                b, made = [made, 100], made + 1
+                if len(bins) >= open_bins:
+                    least = min(x[1] for x in bins)
+                    bins.remove([x for x in bins if x[1] == least][-1])
+            want.append((b[0], 100 - b[1]))
+            b[1] -= n
+            if b[1]:
+                bins.append(b)
+        assert packing.best_fit(lengths, 100, open_bins) == want
+
+
+def test_packing_spreads_repeated_and_null_ids(spark):
+    df = spark.createDataFrame([(None, "a b c")] * 300 + [(7, "ta ro")] * 300 + [(8, None)], DOCS.split(", lang")[0]).repartition(6)
+    got = packing.pack(packing.pieces(df), group_rows=50).collect()
+    assert len(got) == 601 and Counter(r.doc_id for r in got) == {None: 300, 7: 300, 8: 1}
+    assert max(Counter(r.sequence_id >> 32 for r in got).values()) < 120
 
 
 def test_mixing(spark, docs, empty):
@@ -298,6 +345,37 @@ def test_mixing(spark, docs, empty):
     assert mixing.targets({"a": 10, "b": 100, "c": 100}) == {"a": 30.0, "b": 120.0, "c": 60.0}
 
 
+def test_targets_of_many_sources(spark):
+    rng = random.Random(19)
+    sizes = {f"s{i:03d}é" if i % 9 == 0 else f"s{i:03d}": rng.choice([0, 1, 5, 100, 10_000]) for i in range(200)} | {None: 70}
+    df = spark.createDataFrame(list(sizes.items()), "source string, n long").repartition(7)
+    got = {r.s: r.target for r in mixing.many_targets(df, (5, 2, 1), 3).collect()}
+    assert got == pytest.approx(mixing.targets(sizes))
+    rows = [(i, words(rng, 3 + i % 20), f"s{i % 40}") for i in range(800)]
+    docs_ = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    few, many = (mixing.mix(docs_, max_broadcast=b).toPandas().sort_values("doc_id") for b in (100, 3))
+    assert many.target.tolist() == pytest.approx(few.target.tolist())
+    assert (abs(many.groupby("source").taken.sum() - many.groupby("source").target.first()) <= 25).all()
+
+
+def test_scores_are_sums_of_tables():
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(4000, len(gam.FEATURES)))
+    y = (x[:, 0] * x[:, 1] + 0.2 * x[:, 2] > 0).astype(float)
+    m = gam.fit(x[:3000], y[:3000])
+
+    def plain(row):
+        total, bins = m.base, [sum(v >= c for c in cuts) for v, cuts in zip(row, m.cuts)]
+        total += sum(t[b] for t, b in zip(m.tables, bins))
+        total += sum(t[m.coarse[i][bins[i]], m.coarse[j][bins[j]]] for i, j, t in m.pairs)
+        return 1 / (1 + np.exp(-total))
+
+    assert m.score(x[:50]) == pytest.approx([plain(r) for r in x[:50]])
+    alone = gam.fit(x[:3000], y[:3000], n_pairs=0)
+    accuracy = lambda k: ((k.score(x[3000:]) >= 0.5) == y[3000:]).mean()
+    assert accuracy(m) > 0.8 and accuracy(alone) < 0.7  # the product of two features is a pair's
+
+
 def test_near_duplicates(spark, docs, texts, empty):
     rng = random.Random(8)
     base = [words(rng, 120).split() for _ in range(12)]
@@ -321,11 +399,34 @@ def test_near_duplicates(spark, docs, texts, empty):
                 assert cls[a] == cls[b]
             if group[a] != group[b]:
                 assert cls[a] != cls[b]
-    assert all(cls[1000 + i] == 1000 + i for i in range(60)) and cls[2000] == 2000 and cls[None] is None
+    assert all(cls[1000 + i] == 1000 + i for i in range(60)) and cls[2000] == 2000 and cls[None] == cls[0]
     assert neardup.near_duplicates(empty).count() == 0
     assert neardup.near_duplicates(docs).count() == docs.count()
 
 
+def test_clashing_and_missing_ids_lose_no_text(spark):
+    rng = random.Random(18)
+    a, b, c = (words(rng, 60) for _ in range(3))
+    rows = [(1, a, "s"), (1, b, "s"), (2, a + " x", "s"), (None, c, "s"), (None, c + " y", "t"), (None, b, "s"), (None, None, "s"), (3, "", "s"), (3, "", "s")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = neardup.grouped(df).collect()
+    cls = {(r.doc_id, r.th): (r.class_id, r.class_th) for r in got}
+    th = dict(df.select("text", F.xxhash64("text")).collect())
+    assert len(got) == len(rows)
+    assert cls[1, th[a]] == cls[2, th[a + " x"]] == (1, th[a]) and cls[1, th[b]] == cls[None, th[b]] == (1, th[b])
+    assert cls[None, th[c]] == cls[None, th[c + " y"]] and cls[None, th[c]][0] is None
+    kept = neardup.keep_one(df)
+    texts_ = [r.text for r in kept.collect()]
+    assert kept.columns == df.columns and Counter(t for t in texts_ if t) == Counter({a: 1, b: 1, min(c, c + " y", key=lambda t: th[t]): 1}) and texts_.count("") == 2 and texts_.count(None) == 1
+    many = spark.createDataFrame([(7, t, f"s{k}") for k in range(3) for t in (a, b, c)] + [(None, a, None)], "doc_id long, text string, source string")
+    out = mixing.repeat(many)
+    total = mixing.mix(many).agg(F.sum("copies")).first()[0]
+    assert out.columns == many.columns and out.count() == total
+    alike = spark.createDataFrame([(None, "ta ro ni", "s")] * 900 + [(5, a, "t")] * 900, "doc_id long, text string, source string")
+    mix_ = mixing.mix(alike, chunk_rows=32, fan=4).groupBy("source").agg(F.sum("taken").alias("taken"), F.first("target").alias("target")).collect()
+    assert all(abs(r.taken / r.target - 1) < 0.02 for r in mix_)
+
+
 def test_bucket_with_different_texts_loses_no_link(spark):
     """All texts in one bucket, the first of them unlike the others."""
     rng = random.Random(12)
@@ -349,6 +450,43 @@ def test_consistent_samples_estimate_similarity():
     assert (sampler(*a) == sampler(*b)).mean() == pytest.approx(want, abs=0.04)
 
 
+def _cloud(rng, n, dim=12, centres=24):
+    """Vectors of length 1 in groups."""
+    c = rng.normal(size=(centres, dim)) * 3
+    x = c[rng.integers(0, centres, n)] + rng.normal(size=(n, dim)) * 0.3
+    return (x / np.linalg.norm(x, axis=1, keepdims=True)).astype(np.float32)
+
+
+def test_search_prunes_where_vectors_have_structure(spark):
+    rng = np.random.default_rng(7)
+    x = _cloud(rng, 3000)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    s = x[::20].astype(float) @ x.T.astype(float)
+    s[np.arange(150), np.arange(0, 3000, 20)] = -np.inf
+    best = np.argsort(-s, axis=1, kind="stable")[:, :20]
+    for factor, most in ((1.0, 0.35), (2.0, 0.3)):
+        got = ann.search(df, factor=factor, shard_rows=300, with_work=True).toPandas()
+        recall = np.mean([len(set(g.vec_id) & set(best[q // 20])) / 20 for q, g in got.groupby("query_id")])
+        assert recall == 1 if factor == 1 else recall >= 0.9
+        assert got.groupby("query_id").scored.first().mean() < most * 3000
+
+
+def test_search_with_a_very_common_vector(spark):
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(600, 8)).astype(np.float32)
+    rows = [(i, x[i % 600].tolist() if i < 600 else x[3].tolist()) for i in range(2000)] + [(40, x[5].tolist()), (10**6, [1.0, 2.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    got = defaultdict(list)
+    for r in ann.search(df, shard_rows=100, block_rows=30).orderBy("query_id", "rank").collect():
+        got[r.query_id].append(r.vec_id)
+    q = min(x[40].tolist(), x[5].tolist())
+    for i in range(0, 2000, 20):
+        v = np.array(q if i == 40 else dict(rows[:2000])[i], np.float32).astype(float)
+        want = sorted((-np.cumsum(v * np.array(e, np.float32).astype(float))[-1], j) for j, e in rows[:-1] if j != i)[:20]
+        assert got[i] == [j for _, j in want]
+    assert 10**6 not in got  # nothing of its dimension
+
+
 def test_vantage_point_search(spark):
     rng = np.random.default_rng(3)
     x = rng.normal(size=(900, 16)).astype(np.float32)
@@ -497,5 +635,25 @@ def test_tree_matching():
     assert size == len(pairs) == 5
 
 
+def test_odd_rows_in_every_operator(spark, texts):
+    """NULLs in every column, repeated rows, very long texts, clashing names: a row for each row, and the same for equal rows."""
+    names = "row group chunk text_ size source_size target h hot of n words lines spans score predicted w ph place piece number near__id"
+    rows = [(None, None), (1, None), (1, None), (2, ""), (3, texts[0]), (3, texts[0]), (None, texts[1]), (4, "word " * 120_000), (5, "é" * 300_000), (6, "a@b.co " * 3000), (7, texts[0] + " more")]
+    extra = ", ".join(f"{c} string" for c in names.split())
+    df = spark.createDataFrame([(d, t, None, None if (d or 0) % 3 else "s", None, *["x"] * len(names.split())) for d, t in rows], f"doc_id long, text string, lang string, source string, n_chars long, {extra}").repartition(3)
+    labels = spark.createDataFrame([(3, 1, None), (None, 1, None), (4, 0, 1), (4, None, 0)], "doc_id long, quality int, toxic int")
+    model = gam.train(df, labels)
+    ids = Counter(d for d, _ in rows)
+    for out in (line_rules.judge(df), pii.digest(pii.scan(df)), licenses.scan(df), mixing.mix(df), gam.classify(df, model), neardup.near_duplicates(df), pfp.dedup(df)):
+        got = [tuple(v for k, v in r.asDict().items() if k not in ("copies", "taken")) for r in out.collect()]
+        at = out.columns.index("doc_id")
+        assert at == 0 and Counter(r[0] for r in got) == ids
+        assert len({r for r in got if r[0] == 3}) == len({r for r in got if r[0] == 1}) == 1
+    assert Counter(r.doc_id for r in packing.pack(packing.pieces(df)).where("piece = 0").collect()) == ids
+    assert pii.redact(df).columns == neardup.keep_one(df).columns == mixing.repeat(df).columns == gam.keep_good(df, model).columns == df.columns
+    none = df.where("false")
+    assert gam.classify(none, model).count() == gam.keep_good(none, gam.train(none, labels)).count() == neardup.keep_one(none).count() == mixing.repeat(none).count() == pii.redact(none).count() == 0
+
+
 def test_clean_copies_of_counts():
     assert Counter(brute.W.findall("a b\tc")) == Counter("abc")
