@@ -412,9 +412,9 @@ CONSTANT, LEAST_PAGES, DOMINANT = 0.6, 3, 0.6
 
 def extract(pages: list[str | None], constant: float = CONSTANT, least_pages: int = LEAST_PAGES, dominant: float = DOMINANT) -> list[str]:
     """Main texts of the pages of one host, without Spark; main_text() gives the same."""
-    counts = [len(p or "") - len((p or "").replace("<", "")) for p in pages]
-    median = sorted(counts)[(len(counts) - 1) // 2] if counts else 0
-    ref = Reference(min(((abs(n - median), text_hash(p or ""), p or "") for n, p in zip(counts, pages)), default=(0, 0, ""))[2])
+    size = {p: len(p) - len(p.replace("<", "")) for p in {p or "" for p in pages}}
+    median = sorted(size.values())[(len(size) - 1) // 2] if size else 0
+    ref = Reference(min(((abs(n - median), text_hash(p), p) for p, n in size.items()), default=(0, 0, ""))[2])
     seen = {row for p in pages for row in observe(ref, p)}
     n_pages = len({key for _, _, key, _ in seen})
     if n_pages < least_pages:
@@ -451,24 +451,27 @@ class _References:
         return self.held[host]
 
 
-def references(rows: DataFrame, least_pages: int = LEAST_PAGES) -> DataFrame:
-    """host, reference: of each host a page with the median number of tags, that with the smallest hash."""
+def _small(df: DataFrame, size: Column, bound: int) -> DataFrame:
+    """Marked for a broadcast if all of it has at most so many bytes; else joined by sorting, where skewed hosts are split."""
+    total = df.agg(F.sum(size).alias("n")).first().n or 0
+    return F.broadcast(df) if total <= bound else df
+
+
+def references(rows: DataFrame, least_pages: int = LEAST_PAGES, max_broadcast: int = 32 << 20) -> DataFrame:
+    """host, reference: of each host a page with the median number of tags, that with the smallest hash; copies of a page count once."""
     tags = F.length("html") - F.length(F.replace("html", F.lit("<"), F.lit("")))
-    slim = staged(rows.select("host", tags.alias("tags"), F.xxhash64("html").alias("hash")), "page-sizes")
-    middle = slim.groupBy("host").agg(F.floor(F.percentile("tags", F.lit(0.5))).alias("median"), F.count_distinct("hash").alias("pages"))
+    slim = rows.select("host", tags.alias("tags"), F.xxhash64("html").alias("hash")).distinct()
+    # A host has as many rows from here on as its pages have different numbers of tags.
+    slim = staged(slim.groupBy("host", "tags").agg(F.count("*").alias("n"), F.min("hash").alias("hash")), "page-sizes")
+    middle = slim.groupBy("host").agg(F.floor(F.percentile("tags", F.lit(0.5), F.col("n"))).alias("median"), F.sum("n").alias("pages"))
     middle = middle.where(F.col("pages") >= least_pages)  # copies of pages never make three different ones
     near = slim.join(middle, "host").groupBy("host").agg(F.min(F.struct(F.abs(F.col("tags") - F.col("median")), "hash")).alias("m"))
-    picked = near.select(F.col("host").alias("of"), F.col("m.hash").alias("is"))
+    picked = staged(near.select(F.col("host").alias("of"), F.col("m.hash").alias("is")), "picked")
+    picked = _small(picked, F.length("of") + 32, max_broadcast)
     found = rows.join(picked, (F.col("host") == F.col("of")) & (F.xxhash64("html") == F.col("is")))
     return staged(found.groupBy("host").agg(F.min("html").alias("reference")), "references")
 
 
-def _small(df: DataFrame, size: Column, bound: int) -> DataFrame:
-    """Marked for a broadcast if all of it has at most so many bytes; else joined by sorting, where skewed hosts are split."""
-    total = df.agg(F.sum(size).alias("n")).first().n or 0
-    return F.broadcast(df) if total <= bound else df
-
-
 def wrappers(rows: DataFrame, refs: DataFrame, constant: float = CONSTANT, least_pages: int = LEAST_PAGES) -> DataFrame:
     """host, nodes: (node, weight, template text hashes) of hosts of at least so many different pages."""
     schema = "host string, node int, text long, page long, prose long"
@@ -506,9 +509,9 @@ def main_text(pages: DataFrame, constant: float = CONSTANT, least_pages: int = L
     rows = pages.select(
         F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), host.alias("host"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html")
     )
-    refs = references(rows, least_pages)
+    refs = references(rows, least_pages, max_broadcast)
     learnt = wrappers(rows, _small(refs, F.length("reference"), max_broadcast), constant, least_pages)
-    learnt = learnt.join(refs, "host").select(F.col("host").alias("of"), "reference", "nodes")
+    learnt = learnt.join(_small(refs, F.length("reference"), max_broadcast), "host").select(F.col("host").alias("of"), "reference", "nodes")
     size = F.length("reference") + F.aggregate("nodes", F.lit(0), lambda n, x: n + 16 + 8 * F.size(x["template"]))
     both = rows.join(_small(learnt, size, max_broadcast), F.col("host") == F.col("of"), "left").select("page_id", "url", "html", "host", "reference", "nodes")
 
