@@ -1,23 +1,26 @@
 """Distinct row counts: the only thing the searches ask of the data.
 
 A DistinctCounter is the one gate to Spark jobs.  It remembers every count, meters evaluations (as the cost theory counts them) and
-jobs, and answers batches of counts in one job with grouping sets.  Counts are over values: NULL is a value equal to
+jobs, and answers batches of counts in one job.  Counts are over values: NULL is a value equal to
 itself, so (NULL, 1) and (1, NULL) differ.
+
+A row goes to the shuffle as one number of 128 bits for each set of the batch, whatever the set's columns are: a text is
+read once and never shuffled, and a batch may cover any number of columns.  Two different rows share such a number with a probability of 2^-128.
 """
 
 from __future__ import annotations
 
-import pickle
 from collections.abc import Iterable, Iterator, Sequence
 from dataclasses import dataclass
 from fractions import Fraction
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from depstrata.functions.columns import canonical
+from depstrata.functions.columns import canonical, value_keys
 
 #: The virtual row id as a target: it is never a physical column.
 ROW = "<row>"
@@ -25,9 +28,10 @@ ROW = "<row>"
 
 @dataclass
 class Meter:
-    evaluations: int = 0
+    evaluations: int = 0  # tests that the search asked for, each once
     jobs: int = 0
     memo_hits: int = 0
+    ahead: int = 0  # tests run before they were asked for, to share a job
 
 
 @dataclass(frozen=True)
@@ -85,16 +89,17 @@ class DistinctCounter:
 
     def _run(self, sets: list[frozenset[str]]) -> None:
         self.meter.jobs += 1
+        used = self._ordered(frozenset().union(*sets))
+        keys = {c: f"k{i}_" for i, c in enumerate(used)}
+        kinds = self.df.schema
+        each = self.df.select(*[k for c in used for k in value_keys(c, kinds[c].dataType, keys[c])])
+        key = lambda i, s: F.struct(F.lit(i).alias("set_id"), *[F.xxhash64(F.lit(h), *[f"{keys[c]}{h}" for c in self._ordered(s)]).alias(f"h{h}") for h in (0, 1)])
         if len(sets) == 1:
-            self._r[sets[0]] = self.df.select(*map(_q, self._ordered(sets[0]))).distinct().count()
+            self._r[sets[0]] = each.select(key(0, sets[0]).alias("k")).select("k.h0", "k.h1").distinct().count()
             return
-        used = self._ordered(frozenset().union(*sets))
-        place = {c: i for i, c in enumerate(used)}
-        # Bit i from the left of the grouping id tells that column i is absent.
-        ids = {sum(1 << (len(used) - 1 - place[c]) for c in used if c not in s): s for s in sets}
-        grouped = self.df.groupingSets([[_q(c) for c in self._ordered(s)] for s in sets], *map(_q, used)).agg(F.grouping_id().alias("set_id"))
-        found = {r.set_id: r["count"] for r in grouped.groupBy("set_id").count().collect()}
-        for i, s in ids.items():
+        rows = each.select(F.explode(F.array(*[key(i, s) for i, s in enumerate(sets)])).alias("k")).select("k.*")
+        found = {r.set_id: r["count"] for r in rows.distinct().groupBy("set_id").count().collect()}
+        for i, s in enumerate(sets):
             self._r[s] = found.get(i, 0)
 
     def _ordered(self, s: Iterable[str]) -> list[str]:
@@ -175,65 +180,39 @@ def prefix_sketch(df: DataFrame, order: Sequence[str], rsd: float = 0.02) -> lis
     return list(df.agg(*made).first())
 
 
-def _comparable(f: T.StructField):
-    c = _q(f.name)
-    if isinstance(f.dataType, (T.DoubleType, T.FloatType)):
-        return (c + F.lit(0.0)).cast("string").alias(f.name)  # one NaN, one zero
-    if isinstance(f.dataType, (T.ArrayType, T.StructType)):
-        return F.to_json(c).alias(f.name)
-    return c
-
-
 def sorted_profile(df: DataFrame, order: Sequence[str], partitions: int | None = None) -> list[int]:
-    """Counts of all prefixes of a column order from one sort, exactly.
+    """Counts of all prefixes of a column order from one sort.
 
-    After sorting, a prefix of i columns has one distinct value more wherever two neighbours agree in fewer than i columns.
-    Each partition sends a histogram of these agreements with its first and last row; the borders are patched
-    on the driver.  Histogram and border rows come from one job, as range bounds are sampled anew by each.
+    Any order will do that puts equal rows side by side, so each column is sorted by the 128 bits of its values.  A prefix of i columns then has one distinct
+    value more wherever two neighbours agree in fewer than i columns.  Neighbours are compared as batches of numbers as they come from the sort; each
+    partition sends a histogram of their agreements with its first and last row, and the borders are patched on the driver.  Histogram and
+    border rows come from one job, as range bounds are sampled anew by each.
     """
     df = canonical(df.select(*order))
-    df = df.select(*[_comparable(f) for f in df.schema.fields])
-    cols = [_q(c) for c in order]
-    parts = df.repartitionByRange(partitions, *cols) if partitions else df.repartitionByRange(*cols)
     n = len(order)
-
-    def differs(a: pd.Series, b: pd.Series) -> pd.Series:
-        return ~((a.isna() & b.isna()) | (a == b).fillna(False))
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        hist, first, last = [0] * (n + 1), None, None
-        for pdf in batches:
-            if not len(pdf):
+    df = df.select(*[k for i, c in enumerate(order) for k in value_keys(c, df.schema[c].dataType, f"c{i}_")])
+    names = df.columns
+    parts = df.repartitionByRange(partitions, *names) if partitions else df.repartitionByRange(*names)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hist, first, last = np.zeros(n + 1, np.int64), None, None
+        for batch in batches:
+            if not batch.num_rows:
                 continue
-            pdf = pdf.astype(object)
-            if last is None:
-                first = tuple(pdf.iloc[0])
-            else:
-                hist[_agree(last, tuple(pdf.iloc[0]))] += 1
-            agree = pd.Series(n, index=pdf.index[1:])
-            for i in reversed(range(n)):
-                c = pdf.iloc[:, i]
-                d = differs(c.iloc[1:].reset_index(drop=True), c.iloc[:-1].reset_index(drop=True)).to_numpy()
-                agree[d] = i
-            for k, v in agree.value_counts().items():
-                hist[int(k)] += int(v)
-            last = tuple(pdf.iloc[-1])
+            x = np.stack([c.to_numpy() for c in batch.columns], axis=1).reshape(batch.num_rows, n, 2)
+            first = x[0] if first is None else first
+            x = x if last is None else np.concatenate([last[None], x])
+            same = (x[1:] == x[:-1]).all(2)
+            hist += np.bincount(np.logical_and.accumulate(same, axis=1).sum(1), minlength=n + 1)
+            last = x[-1]
         if last is not None:
-            yield pd.DataFrame({"part": [0], "border": [pickle.dumps((hist, first, last))]})
-
-    out = parts.sortWithinPartitions(*cols).mapInPandas(run, "part long, border binary").withColumn("part", F.spark_partition_id())
-    hist, before = [0] * (n + 1), None
-    for r in sorted(out.collect(), key=lambda r: r.part):
-        h, first, last = pickle.loads(bytes(r.border))
-        hist = [a + b for a, b in zip(hist, h)]
-        if before is not None:
-            hist[_agree(before, first)] += 1
-        before = last
-    if before is None:
-        return [0] * n
-    return [1 + sum(hist[:i]) for i in range(1, n + 1)]
+            yield pa.RecordBatch.from_arrays([pa.array([v.ravel().tolist()], pa.list_(pa.int64())) for v in (hist, first, last)], names=["hist", "first", "last"])
 
-
-def _agree(a: tuple, b: tuple) -> int:
-    same = lambda x, y: (pd.isna(x) and pd.isna(y)) if pd.api.types.is_scalar(x) and (pd.isna(x) or pd.isna(y)) else x == y
-    return next((i for i, (x, y) in enumerate(zip(a, b)) if not same(x, y)), len(a))
+    found = parts.sortWithinPartitions(*names).mapInArrow(run, "hist array<long>, first array<long>, last array<long>").withColumn("part", F.spark_partition_id())
+    rows = sorted(found.collect(), key=lambda r: r.part)
+    if not rows:
+        return [0] * n
+    hist = np.sum([r.hist for r in rows], axis=0)
+    for a, b in zip(rows, rows[1:]):
+        hist[next((i // 2 for i, (x, y) in enumerate(zip(a["last"], b["first"])) if x != y), n)] += 1
+    return (1 + np.cumsum(hist)[:n]).tolist()

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from depstrata.functions.columns import canonical
+from depstrata.functions.columns import canonical, decimal_columns, value_keys
 from depstrata.operators.counting import ROW, DistinctCounter, Stats, exact
 
 _CHUNK = 40  # columns in one aggregation, below the limit of generated code
@@ -79,22 +79,56 @@ def descendants(df: DataFrame, target: Iterable[str] | str, candidates: Sequence
     return out
 
 
+def determined(df: DataFrame, nodes: Sequence[str], candidates: Sequence[str] | None = None) -> dict[str, set[str]]:
+    """descendants() of several columns in one job: rows travel once for each node, as numbers of the node and of the candidates."""
+    df = canonical(df)
+    cols = list(candidates if candidates is not None else df.columns)
+    used = list(dict.fromkeys([*nodes, *cols]))
+    out: dict[str, set[str]] = {}
+    slim = df.select(*[k for i, c in enumerate(used) for k in value_keys(c, df.schema[c].dataType, f"v{i}_")])
+    place = {c: i for i, c in enumerate(used)}
+    for at in range(0, len(cols), _CHUNK):
+        part = cols[at : at + _CHUNK]
+        keyed = F.explode(F.array(*[F.struct(F.lit(n).alias("node"), F.col(f"v{place[n]}_0").alias("a"), F.col(f"v{place[n]}_1").alias("b")) for n in nodes])).alias("k")
+        rows = slim.select(keyed, *[f"v{place[c]}_{h}" for c in part for h in (0, 1)])
+        one = [(F.min(f"v{place[c]}_{h}") == F.max(f"v{place[c]}_{h}")) for c in part for h in (0, 1)]
+        each = rows.groupBy("k.node", "k.a", "k.b").agg(*[(x & y).alias(f"o{i}") for i, (x, y) in enumerate(zip(one[::2], one[1::2]))])
+        found = {r.node: r for r in each.groupBy("node").agg(*[F.bool_and(f"o{i}").alias(f"o{i}") for i in range(len(part))]).collect()}
+        for n in nodes:
+            out.setdefault(n, set()).update(c for i, c in enumerate(part) if n not in found or found[n][f"o{i}"])
+    return out
+
+
 def equivalent_columns(df: DataFrame, columns: Sequence[str] | None = None) -> list[list[str]]:
-    """Classes of columns that determine each other, sorted; one job for each column."""
+    """Classes of columns that determine each other, sorted.
+
+    Equivalent columns have the same number of distinct values, so only columns of equal counts are compared; all in one job, after one of counts.
+    """
     cols = list(columns or df.columns)
-    down = {c: descendants(df.select(*cols), c) for c in cols}
+    r = DistinctCounter(df, cols, batch=64).count_many([[c] for c in cols])
+    by: dict[int, list[str]] = {}
+    for c in cols:
+        by.setdefault(r[frozenset([c])], []).append(c)
+    tried = [c for own in by.values() if len(own) > 1 for c in own]
+    down = determined(df.select(*tried), tried) if tried else {}
     out, seen = [], set()
     for c in cols:
         if c not in seen:
-            own = sorted(d for d in down[c] if c in down[d])
+            own = sorted(d for d in down.get(c, {c}) if c in down.get(d, {c})) if c in down else [c]
             seen |= set(own)
             out.append(own)
     return sorted(out)
 
 
-def collapse_equivalents(df: DataFrame, columns: Sequence[str] | None = None) -> list[str]:
-    """One column of each class, the first by name."""
-    return [c[0] for c in equivalent_columns(df, columns)]
+def collapse_equivalents(df: DataFrame, columns: Sequence[str] | None = None) -> dict[str, str]:
+    """Column -> the column that stands for it, of each class of more than one: the first of the table that is no fraction, else the first."""
+    order = list(columns or df.columns)
+    decimals = set(decimal_columns(df.select(*order)))
+    out = {}
+    for own in equivalent_columns(df, order):
+        head = min(own, key=lambda c: (c in decimals, order.index(c)))
+        out |= {c: head for c in own if c != head}
+    return out
 
 
 def violations(df: DataFrame, lhs: Sequence[str], rhs: Sequence[str]) -> DataFrame:

@@ -90,9 +90,9 @@ def agree_sets(df: DataFrame, target: str = ROW) -> list[frozenset[str]]:
             keys = rows.select("*", keyed(two))
             a, b = keys.alias("a"), keys.alias("b")
             same = lambda c: F.col(f"a.`{c}`").eqNullSafe(F.col(f"b.`{c}`"))
-            mask = sum((F.when(same(c), 1 << i).otherwise(0).cast("decimal(38,0)") for i, c in enumerate(cols)), F.lit(0).cast("decimal(38,0)"))
+            mask = F.concat(*[F.when(same(c), "1").otherwise("0") for c in cols])
             pairs = a.join(b, (F.col("a.set_") == F.col("b.set_")) & (F.col("a.key_") == F.col("b.key_")) & (F.col("a.row_") < F.col("b.row_")) & ~same(goal))
-            found |= {frozenset(c for i, c in enumerate(cols) if int(r.m) >> i & 1) for r in pairs.select(mask.alias("m")).distinct().collect()}
+            found |= {frozenset(c for i, c in enumerate(cols) if r.m[i] == "1") for r in pairs.select(mask.alias("m")).distinct().collect()}
     finally:
         rows.unpersist()
     return [s for s in found if not any(s < t for t in found)]

@@ -12,6 +12,9 @@ A sweep only has to find the first prefix that passes; there are several ways.
     sorted    all prefix counts from one sort
     sketch    a guess from mergeable sketches in one pass, then exact tests around it
     sample    a lower bound from sampled rows; every failed exact test adds its witnesses to the sample
+
+Where the error can rise with a column added (the ratio error outside the columns that the target determines), nothing follows from a test of
+the whole pool: prefixes are then tested one after the other (linear, or the profiles), and a sweep may find none.
 """
 
 from __future__ import annotations
@@ -23,11 +26,12 @@ from depstrata.operators.counting import ROW
 from depstrata.operators.dependency import witnesses
 from depstrata.plans.problem import Problem, SearchResult, permute
 
-Sweep = Callable[[Problem, list[str], list[str]], int]
+#: Number of columns of the pool that pass with those kept; None if no prefix does.
+Sweep = Callable[[Problem, list[str], list[str]], int | None]
 
 
-def _linear(p: Problem, kept: list[str], pool: list[str]) -> int:
-    return next(h for h in range(1, len(pool) + 1) if p.ok(kept + pool[:h]))
+def _linear(p: Problem, kept: list[str], pool: list[str]) -> int | None:
+    return next((h for h in range(1, len(pool) + 1) if p.ok(kept + pool[:h])), None)
 
 
 def _bisect(p: Problem, kept: list[str], pool: list[str], lo: int = 1, hi: int | None = None) -> int:
@@ -54,7 +58,7 @@ def _kary(p: Problem, kept: list[str], pool: list[str], k: int = 4) -> int:
 def _by_profile(profile: Callable) -> Sweep:
     """First hit from the counts of all prefixes, with and without the target."""
 
-    def sweep(p: Problem, kept: list[str], pool: list[str]) -> int:
+    def sweep(p: Problem, kept: list[str], pool: list[str]) -> int | None:
         order, y = kept + pool, [] if p.target == ROW else [p.target] if isinstance(p.target, str) else list(p.target)
         if y and p.eps and p.measure == "rows":
             return _bisect(p, kept, pool)  # counts alone do not give this error
@@ -73,7 +77,7 @@ def _by_profile(profile: Callable) -> Sweep:
             p.counter._r.setdefault(frozenset(order[: n + h]), r)
             if t - r <= p.eps * t:
                 return h
-        raise AssertionError("the whole pool was tested before")
+        return None
 
     return sweep
 
@@ -145,21 +149,33 @@ SWEEPS: dict[str, Sweep] = {
 }
 
 
+#: Sweeps that look at every prefix, so that the test need not be monotone.
+_EVERY_PREFIX = ("linear", "rollup", "sorted")
+
+
 def forward_search(p: Problem, order: Sequence[str] | None = None, limit: int | None = None, required: Iterable[str] = (), sweep: str | Sweep = "auto") -> SearchResult:
-    """At most limit columns, required ones among them, that pass; found is False if there are none in this order."""
+    """At most limit columns, required ones among them, that pass; found is False if there are none in this order.
+
+    The answer is minimal if the test is monotone and nothing was required; else minimal is None, and is_minimal() tells.
+    """
     began = p.evaluations
     kept = list(required)
     pool = [c for c in (order if order is not None else p.pool) if c in set(p.pool) - set(kept)]
     if sweep == "auto":
         sweep = "bisect" if p.monotone else "linear"
+    if isinstance(sweep, str) and not p.monotone and sweep not in _EVERY_PREFIX:
+        raise ValueError(f"the error may rise with a column added: sweep {sweep} would miss answers; use {', '.join(_EVERY_PREFIX)}, or below_target()")
     find = SWEEPS[sweep] if isinstance(sweep, str) else sweep
-    done = lambda found: SearchResult(found, tuple(kept) if found else (), p.evaluations - began)
+    sure = True if p.monotone and not required else None
+    done = lambda found: SearchResult(found, tuple(kept) if found else (), p.evaluations - began, None, sure if found else None)
     if p.ok(kept):
         return done(limit is None or len(kept) <= limit)
-    if not p.ok(kept + pool):
+    if p.monotone and not p.ok(kept + pool):
         return done(False)
     while limit is None or len(kept) < limit:
         h = find(p, kept, pool)
+        if h is None:
+            return done(False)
         kept.append(pool[h - 1])
         pool = pool[: h - 1]
         if p.ok(kept):
@@ -185,8 +201,13 @@ def _halving(kept: list[str], pool: list[str], limit: int | None) -> Iterator[li
 
 
 def prefetch(p: Problem, orders: Iterable[Sequence[str]], limit: int | None, required: Iterable[str] = ()) -> None:
-    """Walk several orders in step, so that what they ask at one time is one batch of counts; runs on these orders then find all answers known."""
+    """Walk several orders in step, so that what they ask at one time is one batch of counts; runs on these orders then find all answers known.
+
+    Tests count as evaluations when a run asks for them, not here.
+    """
     runs, required = {}, list(required)
+    meter = p.counter.meter
+    asked, hits = meter.evaluations, meter.memo_hits
     for i, order in enumerate(orders):
         g = _halving(required, [c for c in order if c not in required], limit)
         runs[i] = g, next(g)
@@ -197,6 +218,8 @@ def prefetch(p: Problem, orders: Iterable[Sequence[str]], limit: int | None, req
                 runs[i] = runs[i][0], runs[i][0].send(good)
             except StopIteration:
                 del runs[i]
+    meter.ahead += meter.evaluations - asked
+    meter.evaluations, meter.memo_hits = asked, hits
 
 
 def forward_key(p: Problem, order: Sequence[str] | None = None, limit: int | None = None, sweep: str = "auto") -> SearchResult:

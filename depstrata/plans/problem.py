@@ -8,6 +8,10 @@ from dataclasses import dataclass
 from fractions import Fraction
 
 from depstrata.operators.counting import ROW, DistinctCounter, exact
+from depstrata.operators.dependency import descendants
+
+
+_WIDE = 64
 
 
 @dataclass(frozen=True)
@@ -16,6 +20,7 @@ class SearchResult:
     columns: tuple[str, ...] = ()
     evaluations: int = 0
     error: Fraction | None = None
+    minimal: bool | None = None  # whether no column can go; None if nothing says so
 
     @property
     def size(self) -> int:
@@ -37,7 +42,18 @@ class Problem:
         self._single: dict[str, int] | None = None
 
     def with_eps(self, eps: Fraction) -> Problem:
-        return Problem(self.counter, self.target, eps, self.measure, self.pool)
+        out = Problem(self.counter, self.target, eps, self.measure, self.pool)
+        out.monotone |= self.monotone
+        return out
+
+    def below_target(self) -> Problem:
+        """The same among the columns that the target determines: there the ratio error falls with every column added."""
+        if self.monotone:
+            return self
+        inside = descendants(self.counter.df.select(*self.counter.columns), self.target, self.pool)
+        out = Problem(self.counter, self.target, self.eps, self.measure, [c for c in self.pool if c in inside])
+        out.monotone = True
+        return out
 
     @property
     def evaluations(self) -> int:
@@ -51,8 +67,11 @@ class Problem:
         return False if self._too_few(s) else None
 
     def _too_few(self, s: frozenset[str]) -> bool:
-        """r(C) is at most the product of its columns' counts: no job for a set that can't have rows enough."""
-        if self.target != ROW or self.counter.weight:
+        """r(C) is at most the product of its columns' counts: no job for a set that can't have rows enough.
+
+        Not for wide tables, where a count for each column is more than a search takes.
+        """
+        if self.target != ROW or self.counter.weight or len(self.pool) > _WIDE:
             return False
         if self._single is None:
             r = self.counter.count_many([[c] for c in self.pool] + [self.counter.columns])

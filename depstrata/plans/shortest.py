@@ -4,14 +4,14 @@ from __future__ import annotations
 
 from collections.abc import Iterable, Iterator, Sequence
 from fractions import Fraction
-from itertools import combinations
+from itertools import combinations, count
 
 from depstrata.plans.forward import essential_columns, forward_search, prefetch, random_forward
 from depstrata.plans.problem import Problem, SearchResult, permute
 
 
 def shortest_within_error(
-    p: Problem, limit: int, failures: int = 10, seed: int = 0, initial: Sequence[str] | None = None, essential: str = "none", max_runs: int = 1000, sweep: str = "auto"
+    p: Problem, limit: int, failures: int = 10, seed: int = 0, initial: Sequence[str] | None = None, essential: str = "none", sweep: str = "auto"
 ) -> SearchResult:
     """Runs on new orders, each asked for a strictly shorter answer, until a number of them in a row fails.
 
@@ -20,7 +20,7 @@ def shortest_within_error(
     began, best, failed = p.evaluations, tuple(initial) if initial is not None else None, 0
     batched = isinstance(p, Problem) and p.monotone and sweep in ("auto", "bisect")
     required: Sequence[str] = essential_columns(p) if essential == "first" else ()
-    for run in range(max_runs):
+    for run in count():
         if failed >= failures or (best is not None and len(best) <= max(1, len(required))):
             break
         most = limit if best is None else len(best) - 1
@@ -58,12 +58,16 @@ def extend_columns(p: Problem, columns: Iterable[str], limit: int, policy: str =
     return tuple(out), error
 
 
-def shortest_min_error(p: Problem, limit: int, failures: int = 10, seed: int = 0, policy: str = "greedy", max_runs: int = 1000) -> SearchResult:
-    """Least error first: each run starts from the least error known and is extended; then the shortest at that error."""
+def shortest_min_error(p: Problem, limit: int, failures: int = 10, seed: int = 0, policy: str = "greedy") -> SearchResult:
+    """Least error first: each run starts from the least error known and is extended; then the shortest at that error.
+
+    With the ratio error only columns that the target determines take part, as adding others may raise it.
+    """
+    p = p.below_target()
     began = p.evaluations
     best: tuple[str, ...] | None = None
     error, failed = p.eps, 0
-    for run in range(max_runs if p.eps else 0):
+    for run in count():
         if failed >= failures or error == 0:
             break
         order = permute(p.pool, seed + run)
@@ -76,7 +80,7 @@ def shortest_min_error(p: Problem, limit: int, failures: int = 10, seed: int = 0
         failed += 1
     if p.eps and best is None:
         return SearchResult(False, (), p.evaluations - began)
-    last = shortest_within_error(p.with_eps(error), limit, failures, seed + max_runs, initial=best)
+    last = shortest_within_error(p.with_eps(error), limit, failures, seed + 1000, initial=best)
     if not last.found:
         return SearchResult(False, (), p.evaluations - began)
     return SearchResult(True, last.columns, p.evaluations - began, p.error(last.columns))
@@ -101,13 +105,13 @@ def _hitting_sets(answers: Sequence[frozenset[str]]) -> Iterator[frozenset[str]]
                 yield c
 
 
-def enumerate_solutions(p: Problem, limit: int | None = None, most: int = 1000) -> list[tuple[str, ...]]:
-    """All minimal answers (within limit): each new one avoids a hitting set of those known.
+def enumerate_solutions(p: Problem, limit: int | None = None, most: int | None = None) -> list[tuple[str, ...]]:
+    """All minimal answers (within limit), or the first most ones: each new one avoids a hitting set of those known.
 
     Answers above limit are used on the way and left out at the end.
     """
     found: list[frozenset[str]] = []
-    while len(found) < most:
+    while most is None or len(found) < most:
         for out in _hitting_sets(found):
             order = [c for c in p.pool if c not in out]
             got = forward_search(p, order, None)

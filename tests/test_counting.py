@@ -1,10 +1,11 @@
 from fractions import Fraction
 
 import pytest
+from pyspark.sql import functions as F
 
 from depstrata.functions.columns import canonical, decimal_columns, digest, profile
 from depstrata.operators.counting import ROW, DistinctCounter, cuboids, exact, prefix_rollup, prefix_sketch, sorted_profile
-from depstrata.operators.dependency import dependency_stats, descendants, equivalent_columns, error_ratio, error_rows, holds, is_minimal, repair, violations, witnesses
+from depstrata.operators.dependency import collapse_equivalents, dependency_stats, descendants, determined, equivalent_columns, error_ratio, error_rows, holds, is_minimal, repair, violations, witnesses
 from depstrata.sources import enforce_set
 from tests.fixtures import purchases
 
@@ -101,3 +102,19 @@ def test_enforce_set(spark):
     assert sorted(r.weight for r in enforce_set(df, "weight").collect()) == [1, 2]
     with pytest.raises(ValueError):
         enforce_set(df, "reject")
+
+
+def test_nested_values_and_nulls_count(spark):
+    rows = [(1, [1, None], (1, None), -0.0), (1, [1], (None, 1), 0.0), (2, [None, 1], (1, None), float("nan")), (2, None, None, None), (2, [], (None, None), None)]
+    df = spark.createDataFrame(rows, "k int, a array<int>, s struct<x:int,y:int>, v double")
+    c = DistinctCounter(df)
+    assert [c.count(s) for s in (["a"], ["s"], ["v"], ["k", "v"], ["k", "a"], [])] == [5, 4, 3, 3, 5, 1]
+    assert c.count_many([["a", "s"], ["k", "s"], ["v", "s"]]) == {frozenset("as"): 5, frozenset("ks"): 5, frozenset("vs"): 5}
+    assert sorted_profile(df, ["k", "v", "s"], 3) == [2, 3, 5]
+
+
+def test_determined_agrees_with_descendants(spark):
+    df = purchases(spark)
+    nodes = ["ord", "item", "buyer", "age", "weight"]
+    assert determined(df, nodes) == {n: descendants(df, n) for n in nodes}
+    assert collapse_equivalents(df.withColumn("twin", F.concat("buyer", "buyer"))) == {"twin": "buyer", "ship_cost": "weight"}

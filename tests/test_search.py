@@ -163,3 +163,81 @@ def test_least_error_first(spark):
     grid = baselines.grid_min_error(p, ["0.0", "0.06", "0.2"], 3)
     assert grid.error >= best[0] and grid.found
     assert not shortest.shortest_min_error(Problem(p.counter, ROW, 0, pool=["day", "kind"]), 2).found
+
+
+def literal_additions(error, order, eps, limit):
+    """Columns added until the test passes, the last one kept, again before it; no assumption on the test."""
+    kept, pool = (), list(order)
+    while error(kept) > eps and len(kept) < limit:
+        for i in range(len(pool)):
+            if error((*kept, *pool[: i + 1])) <= eps:
+                kept, pool = (*kept, pool[i]), pool[:i]
+                break
+        else:
+            return None
+    return kept if error(kept) <= eps else None
+
+
+def test_ratio_error_may_rise(spark):
+    df = spark.createDataFrame([(a, 0, 0) for a in range(1, 10)] + [(0, b, y) for b in range(3) for y in range(2)], "a int, b int, y int")
+    rng = random.Random(21)
+    tried = [df, spark.createDataFrame([tuple(rng.randrange(k) for k in (3, 4, 3, 2)) for _ in range(30)], "a int, b int, c int, y int")]
+    missed = 0
+    for df in tried:
+        counter = DistinctCounter(df)
+        pool = [c for c in df.columns if c != "y"]
+        error = lambda s: counter.stats(s, "y").ratio  # noqa: B023, E731
+        for eps in ("0.1", "0.3", "0.45", "0.5"):
+            for order in permutations(pool):
+                want = literal_additions(error, order, Fraction(eps), 3)
+                for sweep in ("auto", "linear", "rollup", "sorted") if order == tuple(pool) else ("auto",):
+                    got = forward.forward_search(Problem(counter, "y", Fraction(eps), "ratio", pool), order, 3, sweep=sweep)
+                    assert (got.columns if got.found else None) == want, (sweep, eps, order)
+                missed += want is not None and error(pool) > Fraction(eps)
+    assert missed  # answers that a test of the whole pool denies
+    with pytest.raises(ValueError):
+        forward.forward_search(Problem(counter, "y", 0.1, "ratio", pool), pool, sweep="bisect")
+
+
+def test_ratio_error_of_a_known_case(spark):
+    """One column passes at .0909; with the other the error is .2, yet the first alone is an answer."""
+    df = spark.createDataFrame([(a, 0, 0) for a in range(1, 10)] + [(0, b, y) for b in range(3) for y in range(2)], "a int, b int, y int")
+    p = Problem(DistinctCounter(df), "y", 0.1, "ratio")
+    assert (p.error(["a"]), p.error(["a", "b"])) == (Fraction(1, 11), Fraction(1, 5))
+    got = forward.forward_search(p, ["a", "b"])
+    assert got.columns == ("a",) and got.minimal is None
+    assert shortest.shortest_within_error(p, 2).columns == ("a",)
+
+
+def test_ratio_error_below_the_target(spark):
+    df = purchases(spark, dirty=True)
+    p = Problem(DistinctCounter(df), "item", 0.2, "ratio")
+    assert not p.monotone
+    inside = p.below_target()
+    assert inside.monotone and set(inside.pool) == {"kind", "weight", "ship_cost"}
+    got = shortest.shortest_min_error(Problem(DistinctCounter(purchases(spark)), "ord", 0.5, "ratio"), 3)
+    assert got.error == 0 and not set(got.columns) & {"item", "kind", "price"}
+
+
+def test_more_columns_than_a_grouping_has_bits(spark):
+    rng = random.Random(23)
+    rows = [tuple(rng.randrange(2) for _ in range(70)) for _ in range(300)]
+    cols = [f"c{i}" for i in range(70)]
+    df = spark.createDataFrame(rows, ", ".join(f"{c} int" for c in cols))
+    p = Problem(DistinctCounter(df))
+    got = forward.forward_key(p, permute(cols, 1))
+    assert got.found and got.minimal and len({tuple(r[cols.index(c)] for c in got.columns) for r in rows}) == len(set(rows))
+    assert got.evaluations <= theory.forward_bound(70, got.size)
+    assert all(len({tuple(r[cols.index(c)] for c in got.columns if c != x) for r in rows}) < len(set(rows)) for x in got.columns)
+    twice = spark.createDataFrame([(*r[:-1], i % 2) for i, r in enumerate(rows[:40])], ", ".join(f"{c} int" for c in cols))
+    assert baselines.agree_sets(twice.select(*cols[:40]))
+
+
+def test_evaluations_are_counted_once(spark):
+    df = purchases(spark).select("ord", "item", "buyer", "day", "channel", "price")
+    batched = shortest.shortest_within_error(Problem(DistinctCounter(df)), 3, sweep="auto")
+    plain = shortest.shortest_within_error(Problem(DistinctCounter(df)), 3, sweep=forward.SWEEPS["bisect"])
+    assert batched == plain and batched.evaluations > 0
+    p = Problem(DistinctCounter(df))
+    shortest.shortest_within_error(p, 3)
+    assert p.counter.meter.ahead > 0
