@@ -47,11 +47,11 @@ def direct_features(df: DataFrame, tree: SchemaTree, anchor: str, equivalents: S
 
 
 def aggregation_path(tree: SchemaTree, node: str, anchor: str) -> Path:
-    """Shortest way through the tree, without the row id."""
+    """Shortest way through the tree, without the row id and without combinations of columns, which are no entities."""
     up, to = tree.path_up(node), tree.path_up(anchor)
     meet = next(x for x in up if x in to)
     way = up[: up.index(meet) + 1] + to[: to.index(meet)][::-1]
-    return Path(node, tuple(x for x in way[1:] if x != ROW), meet == ROW)
+    return Path(node, tuple(x for x in way[1:] if x != ROW and x not in tree.combinations), meet == ROW)
 
 
 def simplify_path(df: DataFrame, path: Path) -> Path:

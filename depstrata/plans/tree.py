@@ -4,6 +4,9 @@ A node is a column; the root is the virtual row id.  A split of a node is a shor
 so node and split determine each other.  The columns of a split are its children.  Columns left over hang on the deepest node that
 determines them.  Each column appears once.
 
+A combination of some, but not all, columns of a split can be a node of its own, named "a + b": it stands beside its columns, below the parent of their split, and what
+hangs on it is determined by the columns together.
+
 Searches below a node run on the distinct rows of the node and the columns that it determines: as many rows as the node has
 values, which shrink from level to level.
 """
@@ -21,7 +24,7 @@ from pyspark.sql import functions as F
 
 from depstrata.functions.columns import canonical, decimal_columns
 from depstrata.operators.counting import ROW, DistinctCounter
-from depstrata.operators.dependency import descendants
+from depstrata.operators.dependency import collapse_equivalents, descendants
 from depstrata.plans.problem import Problem
 from depstrata.plans.shortest import shortest_min_error, shortest_within_error
 from depstrata.sources import staged
@@ -40,15 +43,21 @@ class SchemaTree:
     splits: list[Split] = field(default_factory=list)
     leaves: dict[str, str] = field(default_factory=dict)  # column -> node
     eps: Fraction = Fraction(0)
+    combinations: dict[str, tuple[str, ...]] = field(default_factory=dict)  # name of a node -> its columns
 
     # -- shape ------------------------------------------------------------
     @property
     def skeleton(self) -> list[str]:
-        return [ROW, *[c for s in self.splits for c in s.children]]
+        return [ROW, *[c for s in self.splits for c in s.children], *self.combinations]
+
+    def key(self, node: str) -> tuple[str, ...]:
+        """Columns of a node; none of the row id."""
+        return () if node == ROW else self.combinations.get(node, (node,))
 
     def parent(self, column: str) -> str | None:
         if column == ROW:
             return None
+        column = self.key(column)[0]
         return self.leaves.get(column) or next(s.parent for s in self.splits if column in s.children)
 
     def path_up(self, column: str) -> list[str]:
@@ -69,12 +78,13 @@ class SchemaTree:
 
     def signature(self) -> tuple:
         """Equal for equal trees."""
-        return tuple(sorted((s.parent, tuple(sorted(s.children))) for s in self.splits)), tuple(sorted(self.leaves.items()))
+        return tuple(sorted((s.parent, tuple(sorted(s.children))) for s in self.splits)), tuple(sorted(self.leaves.items())), tuple(sorted(self.combinations))
 
     def rows(self) -> list[tuple]:
         out = [(ROW, None, 0, "root", None, None)]
         for i, s in enumerate(self.splits):
             out += [(c, s.parent, self.depth(c), "skeleton", i, float(s.error)) for c in s.children]
+        out += [(c, self.parent(c), self.depth(c), "combination", None, None) for c in self.combinations]
         return out + [(c, n, self.depth(c), "leaf", None, None) for c, n in sorted(self.leaves.items())]
 
     def to_df(self, spark: SparkSession) -> DataFrame:
@@ -84,8 +94,8 @@ class SchemaTree:
         """lhs, rhs, kind: joint relations in both directions where exact, and one-way relations of leaves."""
         out = []
         for s in self.splits:
-            out.append((" ".join(sorted(s.children)), s.parent, "both" if s.error == 0 else "approximate", float(s.error)))
-        out += [(n, c, "one-way", 0.0) for c, n in sorted(self.leaves.items())]
+            out.append((" ".join(sorted(s.children)), " ".join(self.key(s.parent)) or ROW, "both" if s.error == 0 else "approximate", float(s.error)))
+        out += [(" ".join(self.key(n)) or ROW, c, "one-way", 0.0) for c, n in sorted(self.leaves.items())]
         return spark.createDataFrame(out, "lhs string, rhs string, kind string, error double")
 
     def stats(self) -> dict[str, int]:
@@ -100,9 +110,9 @@ class SchemaTree:
     def render(self, fmt: str = "text") -> str:
         if fmt == "json":
             splits = [{"parent": s.parent, "children": list(s.children), "error": str(s.error)} for s in self.splits]
-            return json.dumps({"columns": list(self.columns), "splits": splits, "leaves": self.leaves, "eps": str(self.eps)})
+            return json.dumps({"columns": list(self.columns), "splits": splits, "leaves": self.leaves, "eps": str(self.eps), "combinations": self.combinations})
         if fmt == "dot":
-            edges = [f'  "{self.parent(c)}" -> "{c}"' + (" [style=dashed]" if c in self.leaves else "") + ";" for c in self.columns if c in self.leaves or c in self.skeleton]
+            edges = [f'  "{self.parent(c)}" -> "{c}"' + (" [style=dashed]" if c in self.leaves else "") + ";" for c in [*self.columns, *self.combinations] if c in self.leaves or c in self.skeleton]
             return "digraph tree {\n" + "\n".join(edges) + "\n}"
         lines: list[str] = []
 
@@ -113,6 +123,8 @@ class SchemaTree:
                 walk(c, level + 1)
             for c in sorted(c for c, n in self.leaves.items() if n == node):
                 walk(c, level + 1)
+            for c in [c for c in self.combinations if self.parent(c) == node]:
+                walk(c, level + 1)
 
         walk(ROW, 0)
         return "\n".join(lines)
@@ -121,7 +133,7 @@ class SchemaTree:
     def from_json(text: str) -> SchemaTree:
         d = json.loads(text)
         splits = [Split(s["parent"], tuple(s["children"]), Fraction(s["error"])) for s in d["splits"]]
-        return SchemaTree(tuple(d["columns"]), splits, d["leaves"], Fraction(d["eps"]))
+        return SchemaTree(tuple(d["columns"]), splits, d["leaves"], Fraction(d["eps"]), {n: tuple(c) for n, c in d.get("combinations", {}).items()})
 
     # -- data -------------------------------------------------------------
     @staticmethod
@@ -139,7 +151,7 @@ class SchemaTree:
             s = self.split_of(node)
             own = [*(s.children if s else ()), *sorted(c for c, n in self.leaves.items() if n == node)]
             if own or node == ROW:
-                out[node] = tuple(([] if node == ROW else [node]) + own)
+                out[node] = (*self.key(node), *own)
         return out
 
     def decompose(self, df: DataFrame) -> dict[str, DataFrame]:
@@ -147,11 +159,16 @@ class SchemaTree:
 
     def recompose(self, layers: dict[str, DataFrame]) -> DataFrame:
         """Join the layers again, NULL matching NULL."""
-        out = layers[ROW]
-        for node in self.skeleton[1:]:
-            if node in layers:
-                right = layers[node].withColumnRenamed(node, "key__")
-                out = out.join(right, F.col(f"`{node}`").eqNullSafe(F.col("key__"))).drop("key__")
+        out, left = layers[ROW], [n for n in self.skeleton[1:] if n in layers]
+        while left:
+            # A combination waits for its columns, and what is below it for the combination.
+            node = next(n for n in left if set(self.key(n)) <= set(out.columns))
+            left.remove(node)
+            right, on = layers[node], []
+            for i, c in enumerate(self.key(node)):
+                right = right.withColumnRenamed(c, f"key__{i}")
+                on.append(F.col(f"`{c}`").eqNullSafe(F.col(f"key__{i}")))
+            out = out.join(right, on).drop(*[f"key__{i}" for i in range(len(on))])
         return out.select(*self.columns)
 
     def compression(self, df: DataFrame) -> float:
@@ -164,8 +181,9 @@ class SchemaTree:
         out = []
         for node, cols in self.layers().items():
             if node != ROW:
-                kept = descendants(df, node, [c for c in cols if c != node])
-                out += [(node, c) for c in cols if c != node and c not in kept]
+                own = [c for c in cols if c not in self.key(node)]
+                kept = descendants(df, self.key(node), own)
+                out += [(node, c) for c in own if c not in kept]
         return out
 
 
@@ -179,15 +197,20 @@ def node_table(df: DataFrame, node: str, pool: Sequence[str], weighted: bool) ->
 
 def build_skeleton(
     df: DataFrame, D: int = 3, eps: float = 0.0, finder: str = "shortest", decimals: str = "value", split_combinations: bool = False, seed: int = 0,
-    failures: int = 10, measure: str = "rows", sweep: str = "auto", set_aside: Sequence[str] = (), memo: dict | None = None,
+    failures: int = 10, measure: str = "rows", sweep: str = "auto", set_aside: Sequence[str] = (), memo: dict | None = None, twins: str = "collapse",
 ) -> SchemaTree:
     """Depth-first splits from the row id.  finder: shortest (within eps) or min_error (least error first).
 
+    twins: of columns that determine each other one takes part in splits (collapse), or all do (keep); the others hang below it as leaves.
     memo: node tables and their counts, kept for further trees of the same table.
     """
     df, memo = canonical(df), {} if memo is None else memo
     tree = SchemaTree(tuple(df.columns), eps=Fraction(str(eps)))
     used: set[str] = set(decimal_columns(df, decimals)) | set(set_aside)
+    if twins == "collapse":
+        if "twins" not in memo:
+            memo["twins"] = collapse_equivalents(df, [c for c in tree.columns if c not in set_aside])
+        used |= set(memo["twins"])
 
     def find(target: Sequence[str] | str, table: DataFrame, pool: list[str], key: tuple):
         weighted = "weight__" in table.columns
@@ -223,17 +246,20 @@ def build_skeleton(
         base = df if weighted or (eps > 0 and measure == "rows") else own
         for c in children:
             split(c, base)
-        if split_combinations and len(children) > 1:
-            for size in range(2, len(children)):
-                for combo in combinations(children, size):
-                    left = [c for c in tree.columns if c not in used and c in base.columns]
-                    left = [c for c in left if c in descendants(base.select(*combo, *left), list(combo), left)] if left else []
-                    if left:
-                        got, error = find(combo, base.select(*combo, *left).distinct(), left, (combo, frozenset(left), False))
-                        if got.found and got.columns:
-                            name = combo[-1]
-                            tree.splits.append(Split(name, tuple(got.columns), error))
-                            used.update(got.columns)
+        if split_combinations:
+            for combo in (c for size in range(2, len(children)) for c in combinations(children, size)):
+                left = [c for c in tree.columns if c not in used and c in base.columns]
+                left = [c for c in left if c in descendants(base.select(*combo, *left), list(combo), left)] if left else []
+                if left:
+                    got, error = find(combo, base.select(*combo, *left).distinct(), left, (combo, frozenset(left), False))
+                    # The combination has to determine what is found, or layers would not join without loss: so left is what it determines.
+                    if got.found and got.columns:
+                        name = " + ".join(combo)
+                        tree.combinations[name] = combo
+                        tree.splits.append(Split(name, tuple(c for c in tree.columns if c in got.columns), error))
+                        used.update(got.columns)
+                        for c in tree.splits[-1].children:
+                            split(c, base)
 
     split(ROW, df)
     return tree
@@ -247,11 +273,12 @@ def attach_columns(df: DataFrame, tree: SchemaTree) -> None:
     df = canonical(df)
     left = [c for c in tree.columns if c not in tree.skeleton]
     nodes = [n for n in tree.skeleton if n != ROW]
-    r = DistinctCounter(df, nodes).count_many([[n] for n in nodes]) if nodes and left else {}
-    for node in sorted(nodes, key=lambda n: (-tree.depth(n), r.get(frozenset([n]), 0), n)):
+    keys = list(dict.fromkeys(c for n in nodes for c in tree.key(n)))
+    r = DistinctCounter(df, keys).count_many([tree.key(n) for n in nodes]) if nodes and left else {}
+    for node in sorted(nodes, key=lambda n: (-tree.depth(n), r.get(frozenset(tree.key(n)), 0), n)):
         if not left:
             break
-        for c in sorted(descendants(df.select(node, *left), node, left)):
+        for c in sorted(descendants(df.select(*dict.fromkeys([*tree.key(node), *left])), tree.key(node), left)):
             tree.leaves[c] = node
             left.remove(c)
     tree.leaves.update({c: ROW for c in left})

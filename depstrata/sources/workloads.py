@@ -53,6 +53,12 @@ def widened(base: DataFrame, n: int, seed: int = 1) -> DataFrame:
     return base.select("*", *made)
 
 
+def twinned(base: DataFrame, n: int) -> DataFrame:
+    """W5: twins of the base columns up to n columns, x<i> of column i modulo their number: as many answers as a wide table has, all known by rule."""
+    have = base.columns
+    return base.select("*", *[F.xxhash64(F.lit(i), F.col(have[i % len(have)])).alias(f"x{i}") for i in range(n - len(have))])
+
+
 def pages_parsed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """W8: pages with host and path of the url."""
     part = lambda p: F.parse_url(F.col("url"), F.lit(p))

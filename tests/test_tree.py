@@ -60,6 +60,37 @@ def test_set_aside_combinations_and_sinks(table, tmp_path):
     assert SchemaTree.from_json((tmp_path / "t.json").read_text()).signature() == t.signature()
 
 
+def test_combinations_are_nodes(spark):
+    """a, b and c are a key; a and b together determine d and e, and d and e them, but neither does alone."""
+    rows = [(a, b, c, (a + b) % 4, (a + 2 * b) % 4 + 4 * (a // 2), 10 * a + b) for a in range(4) for b in range(4) for c in range(3)]
+    df = spark.createDataFrame(rows, "a int, b int, c int, d int, e int, f int")
+    for seed in range(2):
+        for on in (False, True):
+            t = SchemaTree.discover(df, D=3, seed=seed, split_combinations=on)
+            assert same_rows(t.recompose(t.decompose(df)), df), (seed, on)
+            assert SchemaTree.from_json(t.render("json")).signature() == t.signature()
+            assert sorted([*t.leaves, *(c for s in t.splits for c in s.children)]) == sorted(df.columns)
+    # Any two of x, y, p and q determine the other two: whichever two the key takes are a combination with a split.
+    wide = spark.createDataFrame([(a, b, c, (a + b) % 7, (a + 2 * b) % 7) for a in range(7) for b in range(7) for c in range(2)], "x int, y int, z int, p int, q int")
+    t = SchemaTree.discover(wide, D=3, seed=0, split_combinations=True)
+    nodes = list(t.combinations)
+    assert len(nodes) == 1 and set(t.combinations[nodes[0]]) == set(t.split_of(ROW).children) - {"z"}
+    assert set(t.split_of(nodes[0]).children) == {"x", "y", "p", "q"} - set(t.combinations[nodes[0]])
+    for n in nodes:
+        assert t.split_of(n) and t.parent(n) == ROW and n in t.render() and n in t.render("dot") and n in t.layers()
+        assert t.broken_edges(wide) == []
+    assert same_rows(t.recompose(t.decompose(wide)), wide.select(*t.columns))
+    assert t.to_df(spark).where("kind = 'combination'").count() == len(nodes) and t.relations(spark).count() > 0
+
+
+def test_twins_hang_on_one_of_them(spark, table):
+    twin = table.withColumn("buyer_no", F.concat(F.lit("n"), "buyer")).withColumn("day_no", F.hash("day"))
+    t = SchemaTree.discover(twin, D=3, seed=1)
+    assert t.leaves["buyer_no"] == "buyer" and t.leaves["day_no"] == "day"
+    assert {s.parent: set(s.children) for s in t.splits} == {ROW: {"ord", "item"}, "ord": {"buyer", "day"}}
+    assert same_rows(t.recompose(t.decompose(twin)), twin)
+
+
 def test_degenerate_tables(spark):
     one = SchemaTree.discover(spark.createDataFrame([(1, None)], "a int, b string"))
     assert set(one.columns) == {"a", "b"}
