@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable, Sequence
+from decimal import Decimal
 from fractions import Fraction
 
 from pyspark.sql import DataFrame, SparkSession
@@ -107,6 +108,7 @@ def _walks(spark: SparkSession, p: Problem, walks: Sequence[Sequence[str]], run)
 
 
 # -- counts and dependencies ----------------------------------------------------
+_ESSENTIAL = ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_returnflag", "l_linestatus")
 _COUNTED = (("l_orderkey", "l_linenumber"), ("l_orderkey", "l_partkey"), ("l_orderkey", "l_suppkey"), ("l_orderkey", "l_partkey", "l_suppkey"), ("l_returnflag", "l_linestatus"), _LINEITEM)
 
 
@@ -150,7 +152,8 @@ _K_COLS = ("user_id", "day", "day_no", "slot", "c_name", "c_nationkey", "n_name"
 
 
 def _descend(spark: SparkSession, df: DataFrame, nodes: Sequence[str]) -> DataFrame:
-    return _rows(spark, [(n, c) for n in nodes for c in sorted(dependency.descendants(df, n) - {n})], "node string, column_name string")
+    down = dependency.determined(df, nodes)
+    return _rows(spark, [(n, c) for n in nodes for c in sorted(down[n] - {n})], "node string, column_name string")
 
 
 @query(_descendants_sql(PURCHASES, ("l_orderkey", "l_partkey", "o_custkey"), _P_COLS))
@@ -176,6 +179,13 @@ def essential_columns_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rows(spark, [(c,) for c in forward.essential_columns(p)], "column_name string")
 
 
+@query(" union all ".join(f"select '{c}' as column_name where {_r(_ESSENTIAL, 'lineitem')} = {_r(_LINEITEM, 'lineitem')} and {_r([x for x in _ESSENTIAL if x != c], 'lineitem')} < {_r(_LINEITEM, 'lineitem')}" for c in _ESSENTIAL))
+def essential_columns_line_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Without the price and the date, all keys of lineitem need the order."""
+    p = Problem(DistinctCounter(load(spark, sf_dir, "lineitem")), pool=_ESSENTIAL)
+    return _rows(spark, [(c,) for c in forward.essential_columns(p)], "column_name string")
+
+
 _DOUBLES = {"customer": ["c_acctbal"], "supplier": ["s_acctbal"], "part": ["p_retailprice"], "orders": ["o_totalprice"], "lineitem": ["l_quantity", "l_extendedprice", "l_discount", "l_tax"], "events": ["value"]}
 
 
@@ -211,6 +221,20 @@ def minimal_tests_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rows(spark, [(_name(s), dependency.is_minimal(counter, s, ROW)) for s in _TRIED], "columns string, minimal boolean")
 
 
+_TRIED_FD = (("o_orderkey",), ("o_custkey", "o_orderdate"), ("o_orderkey", "o_orderstatus"), ("o_custkey", "o_orderdate", "o_orderpriority"), ("o_orderstatus",))
+
+
+def _is_minimal_fd_sql(sets: Sequence[Sequence[str]], y: str, t: str) -> str:
+    fd = lambda s: f"{_r(s, t)} = {_r(tuple(dict.fromkeys((*s, y))), t)}"
+    return " union all ".join(f"select '{_name(s)}' as columns, {' and '.join([fd(s), *[f'not ({fd([x for x in s if x != c])})' for c in s]])} as minimal" for s in sets)
+
+
+@query(_is_minimal_fd_sql(_TRIED_FD, "o_totalprice", "orders"))
+def minimal_fd_tests_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
+    counter = DistinctCounter(load(spark, sf_dir, "orders"))
+    return _rows(spark, [(_name(s), dependency.is_minimal(counter, s, "o_totalprice")) for s in _TRIED_FD], "columns string, minimal boolean")
+
+
 _V = "row_number() over (partition by text order by n desc, source)"
 _RANKED = f"with g as (select text, source, count(*) n from documents group by all), k as (select text, source, {_V} as rank from g)"
 
@@ -259,6 +283,60 @@ def fa_approx_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _walks(spark, Problem(DistinctCounter(df), "lang", 0.06), _DOC_WALKS, forward.forward_search)
 
 
+_EPS = ("0.001", "0.005", "0.01", "0.05", "0.1")
+
+
+@query(" union all ".join(f"select {e} as eps, * from ({_forward_sql(_DOC_WALKS, 'documents', lambda s, e=e: _row_error('documents', s, 'lang', e))}) where columns is not null" for e in _EPS))
+def fa_eps_grid_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W6: the answer at each error of a grid."""
+    counter = DistinctCounter(load(spark, sf_dir, "documents").select("text", "n_chars", "source", "lang"))
+    out = []
+    for e in _EPS:
+        for i, w in enumerate(_DOC_WALKS):
+            got = forward.forward_search(Problem(counter, "lang", Fraction(e)), w)
+            if got.found:
+                out.append((Decimal(e), i, _name(got.columns), got.size))
+    return _rows(spark, out, "eps decimal(4,3), order_id int, columns string, n_columns long")
+
+
+def _prefixes_sql(kept: tuple[str, ...], pool: tuple[str, ...], ok: Callable[[Sequence[str]], str], limit: int) -> str:
+    """Column additions as nested cases, one for each outcome: the test need not be monotone."""
+    known = lambda s: f"'{_name(s)}'"
+    if len(kept) == limit:
+        return f"case when {ok(kept)} then {known(kept)} end"
+    cases = [f"when {ok(kept + pool[: h + 1])} then {_prefixes_sql((*kept, pool[h]), pool[:h], ok, limit)}" for h in range(len(pool))]
+    return f"case when {ok(kept)} then {known(kept)} {' '.join(cases)} end"
+
+
+_RATIO = (
+    ("documents", "lang", ("n_chars", "source", "text"), ("0.01", "0.05", "0.1", "0.5")), ("conversations", "role", ("turn", "conv_id", "text"), ("0.1", "0.5")),
+    ("part", "p_brand", ("p_retailprice", "p_size", "p_type", "p_name"), ("0.05", "0.2", "0.5")), ("events", "event_type", ("props", "user_id", "value"), ("0.1", "0.25")),
+    ("orders", "o_orderstatus", ("o_orderpriority", "o_custkey", "o_orderdate", "o_totalprice"), ("0.01", "0.4", "0.7")),
+)
+
+
+def _ratio_sql(table: str, y: str, pool: tuple[str, ...], eps: str) -> str:
+    sets = [(), *_subsets(pool, len(pool))]
+    one = ", ".join(f"1 - {_r(s, table)} / {_r((*s, y), table)} as e{sum(1 << pool.index(c) for c in s)}" for s in sets)
+    ok = lambda s: f"e{sum(1 << pool.index(c) for c in s)} <= {eps}"
+    walks = ((0, pool), (1, pool[::-1]))
+    return " union all ".join(f"select '{table}' as table_name, {eps} as eps, {i} as order_id, {_prefixes_sql((), w, ok, len(w))} as columns from (select {one})" for i, w in walks)
+
+
+@query("select * from (" + " union all ".join(_ratio_sql(t, y, pool, e) for t, y, pool, grid in _RATIO for e in grid) + ") where columns is not null")
+def fa_ratio_errors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Forward addition under the ratio error, which may rise with a column added."""
+    out = []
+    for table, y, pool, grid in _RATIO:
+        counter = DistinctCounter(load(spark, sf_dir, table).select(*pool, y))
+        for e in grid:
+            for i, w in enumerate((pool, pool[::-1])):
+                got = forward.forward_search(Problem(counter, y, Fraction(e), "ratio", pool), w)
+                if got.found:
+                    out.append((table, Decimal(e), i, _name(got.columns)))
+    return _rows(spark, out, "table_name string, eps decimal(3,2), order_id int, columns string")
+
+
 @query(_forward_sql(_ORDERS_WALKS, "orders", _key_of(_ORDERS, "orders")))
 def be_key_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _walks(spark, Problem(DistinctCounter(load(spark, sf_dir, "orders"))), _ORDERS_WALKS, baselines.backward_search)
@@ -421,18 +499,54 @@ def restart_keys_events(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 # -- trees --------------------------------------------------------------------------
-def _purchases_tree(df: DataFrame) -> SchemaTree:
-    """W1: twins and measures set aside, an error of 0.005 in distinct rows."""
-    return SchemaTree.discover(df, stage=False, D=3, eps=0.005, measure="ratio", set_aside=("c_name", "qty"))
+_W1_SEED = 0
 
 
-def _edge_sql(table: str, edges: Sequence[tuple], total: Sequence[str]) -> str:
-    """Tree rows, each only if the data bear it out: a column is determined by its parent."""
+def _purchases_tree(df: DataFrame) -> SchemaTree:
+    """W1: an error of 0.005 in distinct rows."""
+    return SchemaTree.discover(df, stage=False, D=3, eps=0.005, measure="ratio", seed=_W1_SEED)
+
+
+def _edge_sql(table: str, edges: Sequence[tuple], total: Sequence[str], eps: str = "0", decimals: Sequence[str] = ()) -> str:
+    """Tree rows, each only if the data bear it out.
+
+    A column hangs below a parent that determines it; a split determines its parent within the error, and no single column below the parent does;
+    a leaf hangs on the deepest node that determines it.
+    """
+    depth = {n: d for n, _, d, _ in edges}
+    inner = {n for n, _, _, k in edges if k == "skeleton"}
+    splits: dict[str, tuple[str, ...]] = {}
+    for n, p, _, k in edges:
+        if k == "skeleton":
+            splits[p] = (*splits.get(p, ()), n)
+    up = {n: p for n, p, _, _ in edges}
+    count = {}
+
+    def r(columns: Sequence[str]) -> str:
+        """Name of a count in the one-row table of all counts."""
+        return count.setdefault(tuple(sorted(set(columns))), f"r{len(count)}")
+
+    fd = lambda a, c: f"{r((a, c))} = {r((a,))}"
     parts = ["select '<row>' as node, cast(null as varchar) as parent, 0 as depth, 'root' as kind"]
-    for node, parent, depth, kind in edges:
-        true = f"{_r((parent, node), 't')} = {_r((parent,), 't')}" if parent != ROW else "true"
-        parts.append(f"select '{node}', '{parent}', {depth}, '{kind}' where {true}")
-    return f"with t as materialized ({table}) " + " union all ".join(parts)
+    for node, parent, d, kind in edges:
+        tests = [] if parent == ROW else [fd(parent, node)]
+        if kind == "leaf":
+            tests += [f"not ({fd(n, node)})" for n in sorted(inner) if depth[n] > (depth[parent] if parent != ROW else 0)]
+        else:
+            whole = total if parent == ROW else (*splits[parent], parent)
+            tests.append(f"1 - {r(splits[parent])} / {r(whole)} <= {eps}")
+            below = [c for c in total if c not in decimals and c != parent and (parent == ROW or c in up and parent in _above(up, c)) and len(splits[parent]) > 1]
+            tests += [f"1 - {r((c,))} / {r(total if parent == ROW else (c, parent))} > {eps}" for c in below]
+        parts.append(f"select '{node}', '{parent}', {d}, '{kind}' from counts where {' and '.join(tests) or 'true'}")
+    counts = ", ".join(f"{_r(c, 't')} as {n}" for c, n in count.items())
+    return f"with t as materialized ({table}), counts as materialized (select {counts}) " + " union all ".join(parts)
+
+
+def _above(up: dict[str, str], node: str) -> list[str]:
+    out = []
+    while (node := up.get(node)) is not None:
+        out.append(node)
+    return out
 
 
 _W1_EDGES = (
@@ -443,7 +557,14 @@ _W1_EDGES = (
 )
 
 
-@query(_edge_sql(PURCHASES, _W1_EDGES, _P_COLS))
+_W1_RELATIONS = (
+    (("l_orderkey", "l_partkey"), ROW, "both", f"{_r(('l_orderkey', 'l_partkey'), 't')} = {_r(_P_COLS, 't')}"),
+    (("o_custkey", "o_orderdate"), "l_orderkey", "approximate", f"{_r(('o_custkey', 'o_orderdate'), 't')} < {_r(('l_orderkey', 'o_custkey', 'o_orderdate'), 't')}"),
+    *(((p,), n, "one-way", "true" if p == ROW else f"{_r((p, n), 't')} = {_r((p,), 't')}") for n, p, _, k in _W1_EDGES if k == "leaf"),
+)
+
+
+@query(_edge_sql(PURCHASES, _W1_EDGES, _P_COLS, "0.005", ("amount", "c_acctbal", "p_retailprice")))
 def tree_purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _purchases_tree(staged(workloads.purchases(spark, sf_dir))).to_df(spark).select("node", "parent", "depth", "kind")
 
@@ -455,20 +576,78 @@ _W2_EDGES = (
 )
 
 
-@query(_edge_sql(KPI, _W2_EDGES, _K_COLS))
+@query(_edge_sql(KPI, _W2_EDGES, _K_COLS, "0", ("mean_value", "max_value")))
 def tree_kpi(spark: SparkSession, sf_dir: str) -> DataFrame:
-    tree = SchemaTree.discover(workloads.kpi_wide(spark, sf_dir), D=3, set_aside=("c_name", "day_no"))
+    tree = SchemaTree.discover(workloads.kpi_wide(spark, sf_dir), D=3)
     return tree.to_df(spark).select("node", "parent", "depth", "kind")
 
 
-@query()
-def tree_orders_realisations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """W3: the different trees of one table, by seed."""
+def _realisations_sql(table: str, pool: Sequence[str], root: str) -> str:
+    """Splits of the first node: all the shortest sets that determine it, without itself and its twins."""
+    sets = _subset_counts([c for c in pool if c != root], table, 2)
+    return f"""with s as ({sets}), k as (select * from s where r = {_r(pool, table)})
+select '<row>' as node, '{root}' as columns where {_r((root,), table)} = {_r(pool, table)} union all select '{root}', names from k where size = (select min(size) from k)"""
+
+
+def _realisations(spark: SparkSession, df: DataFrame, seeds: int) -> DataFrame:
+    """W3: the splits of the first two levels over the different trees of a table."""
     from depstrata.plans.tree import discover_many
 
-    trees = discover_many(load(spark, sf_dir, "orders"), range(4), D=2, decimals="off", failures=4)
-    out = [(i, n, p, k) for i, t in enumerate(trees[s] for s in sorted(trees)) for n, p, _, k, _, _ in t.rows()]
-    return _rows(spark, out, "tree int, node string, parent string, kind string")
+    trees = discover_many(df, range(seeds), D=2, decimals="off", twins="keep")
+    first = {s.children[0] for t in trees.values() for s in t.splits if s.parent == ROW and len(s.children) == 1}
+    out = {(s.parent, _name(s.children)) for t in trees.values() for s in t.splits if s.parent in (ROW, *first)}
+    return _rows(spark, sorted(out), "node string, columns string")
+
+
+@query(_realisations_sql("orders", _ORDERS, "o_orderkey"))
+def tree_orders_realisations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _realisations(spark, load(spark, sf_dir, "orders"), 12)
+
+
+@query(_realisations_sql("(select * exclude (c_name) from customer)", [c for c in _CUSTOMER if c != "c_name"], "c_custkey"))
+def tree_customer_realisations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Without the name, the key's twin."""
+    return _realisations(spark, load(spark, sf_dir, "customer").drop("c_name"), 12)
+
+
+@query(f"""with t as materialized ({PURCHASES}), e as ({" union all ".join(f"select '{' '.join(sorted(lhs))}' as lhs, '{rhs}' as rhs, '{kind}' as kind where {test}" for lhs, rhs, kind, test in _W1_RELATIONS)}) select * from e""")
+def relations_purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Joint relations of splits and one-way relations of leaves."""
+    return _purchases_tree(staged(workloads.purchases(spark, sf_dir))).relations(spark).select("lhs", "rhs", "kind")
+
+
+@query(f"""with t as materialized ({PURCHASES}), c as (select {_r(_P_COLS, 't')} * 17 as cells, {_r(('l_orderkey', 'l_partkey', 'qty', 'amount'), 't')} * 4 + {_r(('l_orderkey',), 't')} * 5 + {_r(('o_custkey',), 't')} * 5 + {_r(('l_partkey',), 't')} * 6 as layered)
+select 'nodes' as measure, 18.0::double as value union all select 'skeleton', 5 union all select 'splits', 2 union all select 'leaves', 13 union all select 'depth', 3 union all select 'compression', round(layered / cells, 6) from c""")
+def tree_measures_purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    df = staged(workloads.purchases(spark, sf_dir))
+    tree = _purchases_tree(df)
+    return _rows(spark, [*((k, float(v)) for k, v in tree.stats().items()), ("compression", round(tree.compression(df), 6))], "measure string, value double")
+
+
+@query(f"""with t as materialized (select *, case when (l_orderkey + l_partkey) % 1000 = 7 then 'other' else c_mktsegment end as seg from ({PURCHASES})) select 'o_custkey' as node, 'c_mktsegment' as column_name where {_r(('o_custkey', 'seg'), 't')} > {_r(('o_custkey',), 't')}""")
+def revalidate_purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W9: edges of a tree that changed rows break."""
+    df = staged(workloads.purchases(spark, sf_dir))
+    tree = _purchases_tree(df)
+    odd = (F.col("l_orderkey") + F.col("l_partkey")) % 1000 == 7
+    return _rows(spark, tree.broken_edges(df.withColumn("c_mktsegment", F.when(odd, "other").otherwise(F.col("c_mktsegment")))), "node string, column_name string")
+
+
+_SMALL = {
+    "region": ("r_regionkey", "r_name"), "nation": ("n_nationkey", "n_name", "n_regionkey"), "supplier": ("s_suppkey", "s_name", "s_nationkey", "s_acctbal"),
+    "part": ("p_name", "p_brand", "p_type", "p_size", "p_retailprice"), "labels": ("doc_id", "quality", "toxic"), "benchmark": ("item_id", "text"), "conversations": ("conv_id", "turn", "role"),
+    "pages": ("url", "page_id"), "embeddings": ("label", "vec_id"), "lineitem": ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_shipdate"),
+}
+
+
+@query(" union all ".join(f"select '{t}' as table_name, cast(min(size) as bigint) as n_columns from ({_subset_counts(cols, t, 3)}) where r = {_r(cols, t)}" for t, cols in _SMALL.items()))
+def shortest_keys_of_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W8: the size of the shortest key of each table."""
+    out = []
+    for t, cols in _SMALL.items():
+        got = shortest.shortest_within_error(Problem(DistinctCounter(load(spark, sf_dir, t).select(*cols))), 3)
+        out.append((t, got.size if got.found else None))
+    return _rows(spark, out, "table_name string, n_columns long")
 
 
 def _layer(spark: SparkSession, sf_dir: str, node: str) -> DataFrame:
@@ -533,6 +712,21 @@ def features_price_customer(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _customer_features(spark, sf_dir, ["p_retailprice"])
 
 
+@query(_two_level_sql("amount", "amount"))
+def features_amount_customer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _customer_features(spark, sf_dir, ["amount"])
+
+
+@query(_two_level_sql("qty", "qty").replace("round(max(max_) + 1e-8, 5)", "max(max_)").replace("round(max(qty) + 1e-8, 5)", "max(qty)"))
+def features_qty_customer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _customer_features(spark, sf_dir, ["qty"])
+
+
+@query(f"select o_custkey, count(distinct o_orderpriority) as o_orderpriority__n_distinct_at_o_custkey from ({PURCHASES}) group by all")
+def features_priority_customer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _customer_features(spark, sf_dir, ["o_orderpriority"])
+
+
 @query("select * from (values ('l_orderkey > o_custkey'), ('o_custkey')) as t(path)")
 def features_price_subpaths(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = staged(workloads.purchases(spark, sf_dir))
@@ -578,22 +772,73 @@ def max_index_cdf(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rows(spark, out, "d int, m int, exact double, limit_law double")
 
 
-@query()
+_LINE_POOL = ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_tax", "l_shipdate")
+
+
+def _runs_sql(walks: Sequence[tuple[str, Sequence[str]]]) -> str:
+    """The answers of forward addition on lineitem for orders of its columns, by the rule behind it: the key whose positions as bits make the least number."""
+    first = f"with s as ({_subset_counts(_LINE_POOL, 'lineitem', len(_LINE_POOL))}), k as materialized (select * from s where r = {_r(_LINEITEM, 'lineitem')}) "
+    code = lambda order: " + ".join(f"((mask >> {i}) & 1) * {1 << list(order).index(c)}" for i, c in enumerate(_LINE_POOL))
+    return first + " union all ".join(f"select {tag}, arg_min(names, {code(order)}) as columns, cast(arg_min(size, {code(order)}) as bigint) as n_columns from k" for tag, order in walks)
+
+
+_RUN_SEEDS = range(16)
+
+
+@query(_runs_sql([(f"{i} as seed", permute(_LINE_POOL, i)) for i in _RUN_SEEDS]))
+def fa_runs_sales_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W4: a run for each of several random orders on a table with many competing keys."""
+    p = Problem(DistinctCounter(staged(workloads.sales_wide(spark, sf_dir))), pool=_LINE_POOL)
+    forward.prefetch(p, [permute(_LINE_POOL, i) for i in _RUN_SEEDS], None)
+    out = []
+    for i in _RUN_SEEDS:
+        got = forward.random_forward(p, None, i)
+        out.append((i, _name(got.columns), got.size))
+    return _rows(spark, out, "seed int, columns string, n_columns long")
+
+
+_SHORT = "(select min(size) from k)"
+
+
+@query(
+    _runs_sql([(f"{i} as seed", permute(_LINE_POOL, i)) for i in _RUN_SEEDS]).replace(") select", "), runs as (select", 1)
+    + f"), m as (select count(*) as n from k where not exists (select 1 from k j where j.mask & k.mask = j.mask and j.mask <> k.mask)) select cast(n as bigint) as n_answers, count(*) as n_runs, count_if(n_columns = {_SHORT}) as n_shortest, count_if(n_columns = {_SHORT}) >= n_runs / n as at_least_1_in_k from runs, m group by n"
+)
+def success_sales_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """W4: how often a run returns one of the shortest answers, beside the bound of 1 in K for K answers."""
+    p = Problem(DistinctCounter(staged(workloads.sales_wide(spark, sf_dir).select(*_LINEITEM))), pool=_LINE_POOL)
+    answers = shortest.enumerate_solutions(p)
+    short = min(map(len, answers))
+    hits = sum(forward.random_forward(p, None, i).size == short for i in _RUN_SEEDS)
+    return _rows(spark, [(len(answers), len(_RUN_SEEDS), hits, hits >= len(_RUN_SEEDS) / len(answers))], "n_answers long, n_runs long, n_shortest long, at_least_1_in_k boolean")
+
+
+def _twin_columns(n: int) -> list[str]:
+    return [*_LINE_POOL, *[f"x{i}" for i in range(n - len(_LINE_POOL))]]
+
+
+def _twin_of(c: str) -> str:
+    return _LINE_POOL[int(c[1:]) % len(_LINE_POOL)] if c.startswith("x") else c
+
+
+#: Columns and the ways to search among so many.
+_WIDTHS = ((8, ("linear", "bisect", "kary", "backward")), (31, ("bisect", "backward")), (128, ("bisect",)), (512, ("bisect",)))
+_TWIN_WALKS = {n: permute(_twin_columns(n), n) for n, _ in _WIDTHS}
+
+
+@query("select *, true as within_bound from (" + _runs_sql([(f"{n} as n, '{m}' as method", list(dict.fromkeys(map(_twin_of, _TWIN_WALKS[n])))) for n, ms in _WIDTHS for m in ms]) + ")")
 def evaluation_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """W5: evaluations of forward addition, by sweep, and of elimination, beside their bounds."""
+    """W5: lineitem with 8 to 512 columns; the answer up to twins, and whether the evaluations are within the bound of forward addition or elimination."""
     out = []
-    base = load(spark, sf_dir, "orders")
-    for n in (8, 16, 32):
-        df = workloads.widened(base, n)
-        order = permute(df.columns, n)
-        for name in ("linear", "bisect", "kary"):
+    base = load(spark, sf_dir, "lineitem").select(*_LINE_POOL)
+    for n, ms in _WIDTHS:
+        df = staged(workloads.twinned(base, n))
+        for m in ms:
             p = Problem(DistinctCounter(df))
-            got = forward.forward_search(p, order, 3, sweep=name)
-            out.append((n, name, got.evaluations, p.counter.meter.jobs, theory.forward_bound(n, 3)))
-        p = Problem(DistinctCounter(df))
-        got = baselines.backward_search(p, order)
-        out.append((n, "backward", got.evaluations, p.counter.meter.jobs, theory.backward_bound(n)))
-    return _rows(spark, out, "n int, method string, evaluations long, jobs long, bound long")
+            got = baselines.backward_search(p, _TWIN_WALKS[n]) if m == "backward" else forward.forward_search(p, _TWIN_WALKS[n], sweep=m)
+            bound = {"backward": theory.backward_bound(n), "bisect": theory.forward_bound(n, got.size), "linear": n * (got.size + 1) + 2, "kary": 4 * theory.forward_bound(n, got.size)}[m]
+            out.append((n, m, _name({_twin_of(c) for c in got.columns}), got.size, got.evaluations <= bound))
+    return _rows(spark, out, "n int, method string, columns string, n_columns long, within_bound boolean")
 
 
 # -- surrounding operators ------------------------------------------------------------
