@@ -39,15 +39,17 @@ def digest(columns: Sequence[str], bits: int = 128) -> Column:
     return F.struct(*[F.xxhash64(F.lit(i), *cols).alias(f"h{i}") for i in range(bits // 64)], mask.alias("nulls"))
 
 
-def value_keys(name: str, kind: T.DataType, alias: str) -> list[Column]:
-    """Two numbers for a column's value, alias0 and alias1, with independent seeds; NULL has numbers of its own.
-
-    What nests goes by its JSON, as hashes skip NULLs inside.
-    """
+def value_parts(name: str, kind: T.DataType) -> tuple[Column, Column]:
+    """What a hash has to see of a column, as hashes skip NULLs: whether it is NULL, and its value; what nests goes by its JSON."""
     c = F.col(f"`{name}`")
     if isinstance(kind, (T.ArrayType, T.StructType)):
         c = F.to_json(F.struct(c), {"ignoreNullFields": "false"})
-    return [F.xxhash64(F.lit(2 + h), c.isNull(), c).alias(f"{alias}{h}") for h in (0, 1)]
+    return F.col(f"`{name}`").isNull(), c
+
+
+def value_keys(name: str, kind: T.DataType, alias: str) -> list[Column]:
+    """Two numbers for a column's value, alias0 and alias1, with independent seeds; NULL has numbers of its own."""
+    return [F.xxhash64(F.lit(2 + h), *value_parts(name, kind)).alias(f"{alias}{h}") for h in (0, 1)]
 
 
 def _is_decimal(c: Column) -> Column:

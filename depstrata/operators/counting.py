@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from depstrata.functions.columns import canonical, value_keys
+from depstrata.functions.columns import canonical, value_keys, value_parts
 
 #: The virtual row id as a target: it is never a physical column.
 ROW = "<row>"
@@ -89,14 +89,16 @@ class DistinctCounter:
 
     def _run(self, sets: list[frozenset[str]]) -> None:
         self.meter.jobs += 1
+        kinds = self.df.schema
+        if len(sets) == 1:
+            values = [v for c in self._ordered(sets[0]) for v in value_parts(c, kinds[c].dataType)]
+            self._r[sets[0]] = self.df.select(*[F.xxhash64(F.lit(h), *values).alias(f"h{h}") for h in (0, 1)]).distinct().count()
+            return
+        # Each column is hashed once for all sets of the batch.
         used = self._ordered(frozenset().union(*sets))
         keys = {c: f"k{i}_" for i, c in enumerate(used)}
-        kinds = self.df.schema
         each = self.df.select(*[k for c in used for k in value_keys(c, kinds[c].dataType, keys[c])])
         key = lambda i, s: F.struct(F.lit(i).alias("set_id"), *[F.xxhash64(F.lit(h), *[f"{keys[c]}{h}" for c in self._ordered(s)]).alias(f"h{h}") for h in (0, 1)])
-        if len(sets) == 1:
-            self._r[sets[0]] = each.select(key(0, sets[0]).alias("k")).select("k.h0", "k.h1").distinct().count()
-            return
         rows = each.select(F.explode(F.array(*[key(i, s) for i, s in enumerate(sets)])).alias("k")).select("k.*")
         found = {r.set_id: r["count"] for r in rows.distinct().groupBy("set_id").count().collect()}
         for i, s in enumerate(sets):
