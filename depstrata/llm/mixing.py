@@ -18,7 +18,7 @@ from collections.abc import Sequence
 from fractions import Fraction
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from depstrata.llm.common import WORD, apart, staged
@@ -162,9 +162,17 @@ def mixed(docs: DataFrame, weights: Sequence[int] = (5, 2, 1), most: int = 3, ch
 
 def repeat(docs: DataFrame, **how) -> DataFrame:
     """Each document as often as the mix takes it, with the columns it has; documents are told apart by doc_id, source and text."""
-    taken = mixed(docs, **how).groupBy(F.col("doc_id").alias("mix__id"), F.col("th").alias("mix__th"), F.col("source").alias("mix__of")).agg(F.sum("copies").cast("int").alias("mix__copies"))
-    key = {"d": F.col("doc_id").cast("long"), "t": F.xxhash64(F.col("text").cast("string")), "s": F.col("source").cast("string")}
+    taken = mixed(docs, **how).select(*_key(F.col("doc_id"), F.col("th"), F.col("source")), "copies").groupBy(*_KEY).agg(F.sum("copies").cast("int").alias("mix__copies"))
     own, back = apart(docs)
-    known = docs.select(*own, *[c.alias(n) for n, c in key.items()]).dropDuplicates(list(key))
-    known = known.join(taken.where("mix__copies > 0"), F.col("d").eqNullSafe(F.col("mix__id")) & (F.col("t") == F.col("mix__th")) & F.col("s").eqNullSafe(F.col("mix__of")))
+    key = _key(F.col("doc_id").cast("long"), F.xxhash64(F.col("text").cast("string")), F.col("source").cast("string"))
+    # Keys without NULLs: one shuffle serves the distinct rows and the join.
+    known = docs.select(*own, *key).dropDuplicates(_KEY).join(taken.where("mix__copies > 0"), _KEY)
     return known.select(*back, F.explode(F.array_repeat(F.lit(0), F.col("mix__copies"))).alias("mix__n")).select(*[F.col(f"`{c}`") for c in docs.columns])
+
+
+_KEY = ["mix__dn", "mix__d", "mix__t", "mix__sn", "mix__s"]
+
+
+def _key(doc_id: Column, th: Column, source: Column) -> list[Column]:
+    values = (doc_id.isNull(), F.coalesce(doc_id, F.lit(0)), th, source.isNull(), F.coalesce(source, F.lit("")))
+    return [v.alias(n) for v, n in zip(values, _KEY)]

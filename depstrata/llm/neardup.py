@@ -330,10 +330,12 @@ def _left(met: DataFrame, joined: DataFrame, least: float) -> DataFrame:
 
 def keep_one(docs: DataFrame, **how) -> DataFrame:
     """One row of each class, that of the smallest doc_id, with the columns it has; rows without words stay as they are."""
-    first = grouped(docs, **how).select(F.col("class_id").alias("near__id"), F.col("class_th").alias("near__th")).distinct()
+    # Keys without NULLs: one shuffle serves the join and the distinct rows.
+    key = lambda d, t: [d.isNull().alias("near__dn"), F.coalesce(d, F.lit(0)).alias("near__d"), t.alias("near__t")]
+    names = ["near__dn", "near__d", "near__t"]
+    first = grouped(docs, **how).select(*key(F.col("class_id"), F.col("class_th"))).distinct()
     text = F.col("text").cast("string")
     worded = F.coalesce(text.rlike(WORD), F.lit(False))
     own, back = apart(docs)
-    known = docs.where(worded).select(*own, F.col("doc_id").cast("long").alias("d"), F.xxhash64(text).alias("t"))
-    known = known.join(first, F.col("d").eqNullSafe(F.col("near__id")) & (F.col("t") == F.col("near__th")), "left_semi").dropDuplicates(["d", "t"])
+    known = docs.where(worded).select(*own, *key(F.col("doc_id").cast("long"), F.xxhash64(text))).join(first, names, "left_semi").dropDuplicates(names)
     return known.select(*back).unionByName(docs.where(~worded))
