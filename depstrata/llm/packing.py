@@ -31,7 +31,7 @@ _NUMBERS = "0-9²³¹¼-¾"
 _SPLIT = re.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[{_NUMBERS}]|[^\s{_LETTERS}{_NUMBERS}]+")
 #: Texts with anything else go through the library as a whole.
 _OTHER = re.compile("[^\t-\r -~ -įı-ſ]|<\\|")
-_CACHE = 500_000
+_CACHE = 250_000
 #: The vocabulary writes each byte as one character: itself if it prints, else the next one from 256 on.
 _PRINTS = [*range(33, 127), *range(161, 173), *range(174, 256)]
 _AS_CHARACTER = {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in _PRINTS)}
