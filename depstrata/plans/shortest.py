@@ -5,7 +5,9 @@ from __future__ import annotations
 from collections.abc import Iterable, Iterator, Sequence
 from fractions import Fraction
 from itertools import combinations, count
+from math import comb
 
+from depstrata.operators.counting import ROW
 from depstrata.plans.forward import essential_columns, forward_search, prefetch, random_forward
 from depstrata.plans.problem import Problem, SearchResult, permute
 
@@ -18,12 +20,15 @@ def shortest_within_error(
     initial: an answer to start from.  essential: none; first, columns that all answers need lead every run; after_first, only those of the first answer are tested.
     """
     began, best, failed = p.evaluations, tuple(initial) if initial is not None else None, 0
-    batched = isinstance(p, Problem) and p.monotone and sweep in ("auto", "bisect")
+    # With a part of the rows at hand few tests need a job, and what one run learns saves the next ones more than a common job does.
+    batched = isinstance(p, Problem) and p.monotone and sweep in ("auto", "bisect") and not p.counter.part
     required: Sequence[str] = essential_columns(p) if essential == "first" else ()
     for run in count():
         if failed >= failures or (best is not None and len(best) <= max(1, len(required))):
             break
         most = limit if best is None else len(best) - 1
+        if failed == 0 and isinstance(p, Problem) and p.excluded(most):
+            break
         if failed == 0 and batched:
             # The runs up to the next failure limit, in step; the loop below replays them from what is known then.
             prefetch(p, [permute(p.pool, seed + i) for i in range(run, run + failures)], most, required)
@@ -37,6 +42,23 @@ def shortest_within_error(
     return SearchResult(best is not None, best or (), p.evaluations - began)
 
 
+def least_error(p: Problem, columns: Sequence[str], most: int = 256) -> tuple[str, ...]:
+    """Of the sets of as many columns within the error the one with the least: all of them are tested, unless there are more than most; ties go to the set that is given, then to the first of the pool."""
+    best, error = tuple(columns), p.error(columns)
+    if not error or comb(len(p.pool), len(best)) > most:
+        return best
+    others = [s for s in combinations(p.pool, len(best)) if set(s) != set(best)]
+    below = lambda: p.with_eps(error * (1 - Fraction(1, 10**30)))
+    if p.target == ROW and p.counter.part:
+        others = [s for s, no in zip(others, p.counter.refuted([frozenset(s) for s in others], below().eps)) if not no]
+    else:
+        others = [s for s, good in zip(others, below().ok_many(others)) if good]
+    for s in others:
+        if error and below().ok(s):
+            best, error = s, p.error(s)
+    return best
+
+
 def extend_columns(p: Problem, columns: Iterable[str], limit: int, policy: str = "greedy", order: Sequence[str] | None = None) -> tuple[tuple[str, ...], Fraction]:
     """Add columns that lower the error, limit in all; greedy: the best each time, sequential: any that helps, in order."""
     out = list(columns)

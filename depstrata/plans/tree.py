@@ -15,7 +15,7 @@ from __future__ import annotations
 
 import json
 from collections.abc import Sequence
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 from fractions import Fraction
 from itertools import combinations
 
@@ -23,10 +23,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from depstrata.functions.columns import canonical, decimal_columns
-from depstrata.operators.counting import ROW, DistinctCounter
-from depstrata.operators.dependency import collapse_equivalents, descendants
+from depstrata.operators.counting import ROW, DistinctCounter, Part
+from depstrata.operators.dependency import Below, collapse_equivalents, descendants
 from depstrata.plans.problem import Problem
-from depstrata.plans.shortest import shortest_min_error, shortest_within_error
+from depstrata.plans.shortest import least_error, shortest_min_error, shortest_within_error
 from depstrata.sources import staged
 
 
@@ -140,8 +140,9 @@ class SchemaTree:
     def discover(df: DataFrame, stage: bool = True, **how) -> SchemaTree:
         """Skeleton and leaves.  stage: write the table once, as it is read for every count; no, if it is a stored table."""
         df = staged(canonical(df), "table") if stage else canonical(df)
+        how["memo"] = how.get("memo") if how.get("memo") is not None else {}
         tree = build_skeleton(df, **how)
-        attach_columns(df, tree)
+        attach_columns(df, tree, how["memo"]["below"])
         return tree
 
     def layers(self) -> dict[str, tuple[str, ...]]:
@@ -199,35 +200,43 @@ def build_skeleton(
     df: DataFrame, D: int = 3, eps: float = 0.0, finder: str = "shortest", decimals: str = "value", split_combinations: bool = False, seed: int = 0,
     failures: int = 10, measure: str = "rows", sweep: str = "auto", set_aside: Sequence[str] = (), memo: dict | None = None, twins: str = "collapse",
 ) -> SchemaTree:
-    """Depth-first splits from the row id.  finder: shortest (within eps) or min_error (least error first).
+    """Depth-first splits from the row id.  finder: shortest (within eps; of equally short splits the one with the least error) or min_error (least error first).
 
     twins: of columns that determine each other one takes part in splits (collapse), or all do (keep); the others hang below it as leaves.
     memo: node tables and their counts, kept for further trees of the same table.
     """
     df, memo = canonical(df), {} if memo is None else memo
     tree = SchemaTree(tuple(df.columns), eps=Fraction(str(eps)))
-    used: set[str] = set(decimal_columns(df, decimals)) | set(set_aside)
+    if "below" not in memo:
+        memo["part", ROW] = Part.of(df, lambda t: staged(t, "part"))
+        memo["below"] = Below(df, memo["part", ROW])
+    below: Below = memo["below"]
+    fractions = decimal_columns(df, decimals)
+    used: set[str] = set(fractions) | set(set_aside)
     if twins == "collapse":
         if "twins" not in memo:
-            memo["twins"] = collapse_equivalents(df, [c for c in tree.columns if c not in set_aside])
+            memo["twins"] = collapse_equivalents(df, [c for c in tree.columns if c not in set_aside], memo["part", ROW], fractions if decimals == "value" else None)
         used |= set(memo["twins"])
 
     def find(target: Sequence[str] | str, table: DataFrame, pool: list[str], key: tuple):
         weighted = "weight__" in table.columns
         columns = [c for c in table.columns if c != "weight__"]
-        counter = memo.setdefault(("counter", *key), DistinctCounter(table, columns, "weight__" if weighted else None))
+        if ("counter", *key) not in memo:
+            part = None if weighted or isinstance(target, tuple) else memo["part", ROW] if target == ROW else Part.of(table, lambda t: staged(t, "part"))
+            memo["counter", *key] = DistinctCounter(table, columns, "weight__" if weighted else None, 16 if part is None else 1, part)
+        counter = memo["counter", *key]
         # A table reduced to a node and what it determines has one row for each of its values: the node is its row id.
         p = Problem(counter, target if weighted or not isinstance(target, str) else ROW, eps, measure, pool)
         search = shortest_within_error if finder == "shortest" or not eps else shortest_min_error
         got = search(p, D, failures, seed) if search is shortest_min_error else search(p, D, failures, seed, sweep=sweep)
+        if got.found and search is shortest_within_error and eps:
+            got = replace(got, columns=least_error(p, got.columns))
         return got, (p.error(got.columns) if got.found else None)
 
     def split(node: str, table: DataFrame) -> None:
         pool = [c for c in tree.columns if c not in used and c != node and c in table.columns]
         if node != ROW and pool:
-            if ("below", node) not in memo:
-                memo["below", node] = descendants(df, node)
-            pool = [c for c in pool if c in memo["below", node]]
+            pool = [c for c in pool if c in below.of(node)]
         if not pool:
             return
         # The root counts distinct rows over all columns; below, the weight is only needed for an error in rows.
@@ -265,22 +274,27 @@ def build_skeleton(
     return tree
 
 
-def attach_columns(df: DataFrame, tree: SchemaTree) -> None:
-    """Hang each column outside the skeleton on the deepest node that determines it; one job for each node.
+def attach_columns(df: DataFrame, tree: SchemaTree, below: Below | None = None) -> None:
+    """Hang each column outside the skeleton on the deepest node that determines it; one job for each node that is not known yet.
 
-    Of nodes equally deep the one with fewest values wins, then the first by name.
+    Of nodes equally deep the one with fewest values wins, then the first by name; they are counted where a column could hang on several.
     """
     df = canonical(df)
+    below = below or Below(df)
     left = [c for c in tree.columns if c not in tree.skeleton]
     nodes = [n for n in tree.skeleton if n != ROW]
-    keys = list(dict.fromkeys(c for n in nodes for c in tree.key(n)))
-    r = DistinctCounter(df, keys).count_many([tree.key(n) for n in nodes]) if nodes and left else {}
-    for node in sorted(nodes, key=lambda n: (-tree.depth(n), r.get(frozenset(tree.key(n)), 0), n)):
+    for depth in sorted({tree.depth(n) for n in nodes}, reverse=True):
         if not left:
             break
-        for c in sorted(descendants(df.select(*dict.fromkeys([*tree.key(node), *left])), tree.key(node), left)):
-            tree.leaves[c] = node
-            left.remove(c)
+        level = sorted(n for n in nodes if tree.depth(n) == depth)
+        down = {n: below.of(n) & set(left) if n not in tree.combinations else descendants(df.select(*dict.fromkeys([*tree.key(n), *left])), tree.key(n), left) for n in level}
+        rivals = [n for n in level if any(down[n] & down[m] for m in level if m != n)]
+        keys = list(dict.fromkeys(c for n in rivals for c in tree.key(n)))
+        r = DistinctCounter(df, keys).count_many([tree.key(n) for n in rivals]) if rivals else {}
+        for node in sorted(level, key=lambda n: (r.get(frozenset(tree.key(n)), 0), n)):
+            for c in sorted(down[node] & set(left)):
+                tree.leaves[c] = node
+                left.remove(c)
     tree.leaves.update({c: ROW for c in left})
 
 
