@@ -43,19 +43,23 @@ def shortest_within_error(
 
 
 def least_error(p: Problem, columns: Sequence[str], most: int = 256) -> tuple[str, ...]:
-    """Of the sets of as many columns within the error the one with the least: all of them are tested, unless there are more than most; ties go to the set that is given, then to the first of the pool."""
+    """Of the sets of as many columns within the error the one with the least, and of equal ones the first in the order of the pool, whatever set is given: all of them are tested, unless there are more than most."""
     best, error = tuple(columns), p.error(columns)
-    if not error or comb(len(p.pool), len(best)) > most:
+    if comb(len(p.pool), len(best)) > most:
         return best
-    others = [s for s in combinations(p.pool, len(best)) if set(s) != set(best)]
-    below = lambda: p.with_eps(error * (1 - Fraction(1, 10**30)))
+    every = list(combinations(p.pool, len(best)))
+    at = next(i for i, s in enumerate(every) if set(s) == set(best))
+    # A set before the one that is given wins with the same error, one after it only with less.
+    others = every[:at] + (every[at + 1 :] if error else [])
     if p.target == ROW and p.counter.part:
-        others = [s for s, no in zip(others, p.counter.refuted([frozenset(s) for s in others], below().eps)) if not no]
+        left = [s for s, no in zip(others, p.counter.refuted([frozenset(s) for s in others], error)) if not no]
     else:
-        others = [s for s, good in zip(others, below().ok_many(others)) if good]
-    for s in others:
-        if error and below().ok(s):
-            best, error = s, p.error(s)
+        left = [s for s, good in zip(others, p.with_eps(error).ok_many(others)) if good]
+    before, moved = set(every[:at]), False
+    for s in left:
+        same = s in before and not moved
+        if (same or error) and p.with_eps(error if same else error * (1 - Fraction(1, 10**30))).ok(s):
+            best, error, moved = s, p.error(s), True
     return best
 
 
