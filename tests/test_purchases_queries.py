@@ -5,7 +5,7 @@ import pytest
 
 from depstrata.queries import oracle_sql, queries
 
-NAMES = ("relations_purchases", "tree_measures_purchases", "features_price_customer", "features_qty_customer", "features_categorical")
+NAMES = ("relations_purchases", "tree_measures_purchases", "features_price_customer", "features_qty_customer", "features_categorical", "features_interval_quantile")
 
 #: Rows of one copy; each line of an order has another part.
 CUSTOMERS, PARTS, ORDERS, LINES = 40, 331, 1200, 4
