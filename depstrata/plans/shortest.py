@@ -42,6 +42,25 @@ def shortest_within_error(
     return SearchResult(best is not None, best or (), p.evaluations - began)
 
 
+def settled(p: Problem, columns: Sequence[str], limit: int, most: int = 256) -> tuple[str, ...]:
+    """A set within the error that is shorter than the one given, which failures in a row may miss, or else that one; none given: one of up to limit columns.
+
+    Each smaller number of columns is gone through as a whole, unless it has more than most sets.
+    """
+    for size in range(1, len(columns) if columns else limit + 1):
+        if comb(len(p.pool), size) > most:
+            continue
+        left = [s for s in combinations(p.pool, size) if p.known(frozenset(s)) is not False]
+        if p.target == ROW and p.counter.part:
+            left = [s for s, no in zip(left, p.counter.refuted([frozenset(s) for s in left], p.eps)) if not no]
+            found = next((s for s in left if p.ok(s)), None)
+        else:
+            found = next((s for s, good in zip(left, p.ok_many(left)) if good), None)
+        if found:
+            return found
+    return tuple(columns)
+
+
 def least_error(p: Problem, columns: Sequence[str], most: int = 256) -> tuple[str, ...]:
     """Of the sets of as many columns within the error the one with the least, and of equal ones the first in the order of the pool, whatever set is given: all of them are tested, unless there are more than most."""
     best, error = tuple(columns), p.error(columns)

@@ -26,7 +26,7 @@ from depstrata.functions.columns import canonical, decimal_columns
 from depstrata.operators.counting import ROW, DistinctCounter, Part
 from depstrata.operators.dependency import Below, collapse_equivalents, descendants
 from depstrata.plans.problem import Problem
-from depstrata.plans.shortest import least_error, shortest_min_error, shortest_within_error
+from depstrata.plans.shortest import least_error, settled, shortest_min_error, shortest_within_error
 from depstrata.sources import staged
 
 
@@ -229,6 +229,9 @@ def build_skeleton(
         p = Problem(counter, target if weighted or not isinstance(target, str) else ROW, eps, measure, pool)
         search = shortest_within_error if finder == "shortest" or not eps else shortest_min_error
         got = search(p, D, failures, seed) if search is shortest_min_error else search(p, D, failures, seed, sweep=sweep)
+        if search is shortest_within_error and (got.columns or not got.found):
+            columns = settled(p, got.columns, D)
+            got = replace(got, found=bool(columns), columns=columns)
         if got.found and search is shortest_within_error and eps:
             got = replace(got, columns=least_error(p, got.columns))
         return got, (p.error(got.columns) if got.found else None)
