@@ -28,7 +28,7 @@ def odd_seed():
         yield
 
 
-@pytest.mark.parametrize("name", ["tree_measures_purchases", "features_categorical", "features_interval_quantile", "features_price_customer"])
+@pytest.mark.parametrize("name", ["tree_measures_purchases", "features_categorical", "features_interval_quantile", "features_price_customer", "features_qty_customer"])
 def test_rows_of_the_sql_whatever_the_seed(spark, odd_seed, name):
     folder, db = "/root/testdata/sf0.01", duckdb.connect()
     for t in ("customer", "part", "orders", "lineitem"):
